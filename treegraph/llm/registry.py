@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import ngram_join
+from . import bpe, language, line_dedup, ngram_join
 
-_MODULES = (ngram_join,)
+_MODULES = (bpe, language, line_dedup, ngram_join)
 
 
 def queries() -> dict:

@@ -34,13 +34,16 @@ def with_row_key(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.xxhash64(F.col(id_col), F.col(text_col)).alias("rk"), F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
 
 
-def signatures(rows: DataFrame, *, width: int, percent: int, by_line: bool, full: bool = False) -> DataFrame:
-    """(rk, id, line, n, s1, s2, head): each item's set size and name, and its first tokens in hash order (all if full)."""
+def signatures(rows: DataFrame, *, width: int, percent: int, by_line: bool, min_words: int = 1, full: bool = False) -> DataFrame:
+    """(rk, id, line, n, s1, s2, head): each item's set size and name, and its first tokens in hash order (all if full).
+
+    Items of fewer than min_words words count as empty.
+    """
 
     def run(it):
         for batch in it:
             for at, x in S.batches(batch.column(2), width, by_line):
-                n = x.size
+                n = np.where(x.words >= min_words, x.size, 0)
                 if full:
                     length = n
                 else:
@@ -145,9 +148,9 @@ def side(postings: DataFrame, tag: str, *more: str) -> DataFrame:
     return postings.select("token", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", *more)])
 
 
-def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(members, sets, postings) as written tables; members: (rk, id, line, n, s1, s2) of every item."""
-    sig = materialise(signatures(rows, width=width, percent=percent, by_line=by_line), "signatures")
+    sig = materialise(signatures(rows, width=width, percent=percent, by_line=by_line, min_words=min_words), "signatures")
     reps = representatives(sig)
     kept = materialise(survivors(reps, percent), "survivors")
     sets = materialise(whole_sets(rows, kept, width=width, percent=percent, by_line=by_line), "sets")

@@ -57,6 +57,7 @@ class Items:
 
     row: np.ndarray
     line: np.ndarray
+    words: np.ndarray
     size: np.ndarray
     start: np.ndarray
     tokens: np.ndarray
@@ -123,7 +124,7 @@ def chunk_items(raw: np.ndarray, row_start: np.ndarray, width: int, by_line: boo
     if len(full):
         s1[full] = np.add.reduceat(mix(token + _PLACE[40]), start[full])
         s2[full] = np.add.reduceat(mix(token ^ _PLACE[41]), start[full])
-    return Items(row, line, size, start, token.view(np.int64), s1.view(np.int64), s2.view(np.int64))
+    return Items(row, line, words, size, start, token.view(np.int64), s1.view(np.int64), s2.view(np.int64))
 
 
 def text_buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
