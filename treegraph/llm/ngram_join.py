@@ -6,20 +6,21 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import setjoin as J
-from .common import components, materialise, table, union_all
+from .common import components, materialise, maybe_broadcast, table, union_all
 
 #: Largest number of shared prefix tokens that a document may ask for.
 MOST_MATCHES = 8
 
 
 def similar_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80) -> DataFrame:
-    """One row per input row: (doc_id, n_shingles, component_id).
+    """One row per input row: (rk, doc_id, n_shingles, component_id, first).
 
     Two documents link when the Jaccard similarity of their sets of width-word shingles is at least percent / 100; a
-    component is what links reach, named by its smallest id. Documents of fewer words have one shingle, their words; null,
-    empty and wordless texts have none and link with nothing. Rows that repeat id and text count as one document but each
-    gets its row; equal sets are linked without comparison. A null id never names a component unless all its ids are null.
-    Other columns are ignored. An empty table gives an empty result.
+    component is what links reach, named by its smallest id; first marks its member of that id. Documents of fewer words
+    have one shingle, their words; null, empty and wordless texts have none, link with nothing and are first. rk is a hash
+    of id and text: rows that repeat both count as one document but each gets its row; equal sets are linked without
+    comparison. A null id names a component only if all its ids are null. Other columns are ignored. An empty table gives
+    an empty result.
     """
     rows = J.with_row_key(docs, id_col, text_col)
     members, sets, postings = J.prepared(rows, width=width, percent=percent, by_line=False, most=MOST_MATCHES)
@@ -31,17 +32,35 @@ def similar_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     a, b = J.side(known, "a", "label"), J.side(known, "b", "label")
     second = materialise(J.verified(J.across(a, b, F.col("labela") < F.col("labelb"), percent), sets, percent), "links")
     group = components(union_all([first, second]).toDF("u", "v"))
-    name = members.where("n > 0").join(group.select(F.col("node").alias("s1"), "label"), "s1", "left")
-    name = name.withColumn("label", F.coalesce("label", "s1"))
-    smallest = name.groupBy("label", "s1").agg(F.min("id").alias("id"))
-    wide = smallest.groupBy("label").agg(F.min("id").alias("component_id"))
-    by_set = smallest.join(wide, "label").select("s1", "component_id")
-    by_set = materialise(by_set, "groups")
-    return members.join(by_set, "s1", "left").select(F.col("id").alias("doc_id"), F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
+    lead = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "rk")).alias("lead")
+    by_set = members.where("n > 0").groupBy("s1").agg(lead).join(group.select(F.col("node").alias("s1"), "label"), "s1", "left")
+    by_set = by_set.withColumn("label", F.coalesce("label", "s1"))
+    smallest = by_set.groupBy("label").agg(F.min("lead").alias("lead"))
+    by_set = materialise(by_set.drop("lead").join(smallest, "label").select("s1", F.col("lead.id").alias("component_id"), F.col("lead.rk").alias("lead_rk")), "groups")
+    empty = F.col("n") == 0
+    return members.join(by_set, "s1", "left").select(
+        "rk",
+        F.col("id").alias("doc_id"),
+        F.col("n").cast("long").alias("n_shingles"),
+        F.when(empty, F.col("id")).otherwise(F.col("component_id")).alias("component_id"),
+        F.when(empty, True).otherwise(F.col("rk") == F.col("lead_rk")).alias("first"),
+    )
+
+
+def keep_first(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of docs, all columns, that are the first of their group; of rows that repeat id and text one stays."""
+    groups = materialise(similar_groups(docs, id_col=id_col, text_col=text_col, **options).select("rk", "first"), "groups")
+    gone = groups.where(~F.col("first")).select(F.col("rk").alias("__rk")).distinct()
+    more = materialise(groups.groupBy("rk").count().where("count > 1").select(F.col("rk").alias("__rk")), "repeated")
+    kept = docs.withColumn("__rk", F.xxhash64(F.col(id_col), F.col(text_col))).join(maybe_broadcast(gone), "__rk", "left_anti")
+    if not more.isEmpty():
+        more = maybe_broadcast(more)
+        kept = kept.join(more, "__rk", "left_anti").unionByName(kept.join(more, "__rk", "left_semi").dropDuplicates(["__rk"]))
+    return kept.drop("__rk")
 
 
 def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return similar_groups(table(spark, sf_dir, "documents"))
+    return similar_groups(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
 QUERIES = {"op9_ngram_jaccard_join": op9_ngram_jaccard_join}

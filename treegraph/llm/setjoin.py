@@ -89,25 +89,30 @@ def whole_sets(rows: DataFrame, kept: DataFrame, *, width: int, percent: int, by
 
 
 def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
-    """Step 2: postings (token, s, n, first, pos, need) over prefixes in rarity order (document frequency, then token).
+    """Step 2: postings (token, s, n, first, pos, need, prefix) over prefixes in rarity order (document frequency, then token).
 
     need is how many prefix tokens a candidate must share: the number l whose prefix of n - must_share + l tokens has the
     least estimated cost, the postings it writes plus the comparison of the at most postings / l sets met l times.
-    With most = 1 it is plain prefix filtering. pos counts from 1. Tokens that no other set has give no posting.
+    With most = 1 it is plain prefix filtering. pos counts from 1 over all tokens of the set; those that no other set has
+    come first and give no posting, so that prefix, the others in order, may be shorter than the prefix proper.
     """
-    token = sets.select("s", "n", "first", F.explode("tokens").alias("token"))
+    token = sets.select("s", "n", F.explode("tokens").alias("token"))
     df = token.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
     shared = token.join(df, "token")
-    w = Window.partitionBy("s").orderBy("df", "token")
-    shared = shared.withColumns({"k": F.row_number().over(w), "of": F.count(F.lit(1)).over(Window.partitionBy("s")), "met": F.sum(F.col("df") - 1).over(w.rowsBetween(Window.unboundedPreceding, 0))})
+    own = Window.partitionBy("s")
+    w = own.orderBy("df", "token")
+    shared = shared.withColumns({"k": F.row_number().over(w), "of": F.count(F.lit(1)).over(own), "met": F.sum(F.col("df") - 1).over(w.rowsBetween(Window.unboundedPreceding, 0))})
     shared = shared.withColumn("pos", (F.col("n") - F.col("of") + F.col("k")).cast("int"))
-    spare = F.col("n") - F.ceil(F.col("n") * percent / 100)
-    shared = shared.withColumn("l", F.col("pos") - spare).where(F.col("l") <= most)
+    shared = shared.withColumn("l", F.col("pos") - (F.col("n") - F.ceil(F.col("n") * percent / 100))).where(F.col("l") <= most)
     if most == 1:
-        return shared.select("token", "s", "n", "first", "pos", F.lit(1).alias("need"))
-    cost = F.when(F.col("l") >= 1, F.struct((F.col("met") * (1 + F.col("n") / 8 / F.col("l"))).alias("cost"), F.col("l").alias("l")))
-    best = F.coalesce(F.min(cost).over(Window.partitionBy("s"))["l"], F.lit(1))
-    return shared.withColumn("need", best.cast("int")).where("l <= need").select("token", "s", "n", "first", "pos", "need")
+        shared = shared.withColumn("need", F.lit(1))
+    else:
+        cost = F.when(F.col("l") >= 1, F.struct((F.col("met") * (1 + F.col("n") / 8 / F.col("l"))).alias("cost"), F.col("l").alias("l")))
+        shared = shared.withColumn("need", F.coalesce(F.min(cost).over(own)["l"], F.lit(1)).cast("int")).where("l <= need")
+    item = F.struct("pos", "token")
+    prefix = shared.groupBy("s").agg(F.array_sort(F.collect_list(item)).alias("prefix"), F.first("need").alias("need"))
+    prefix = prefix.join(sets.select("s", "n", "first"), "s")
+    return prefix.select(F.explode("prefix").alias("p"), "s", "n", "first", "need", F.col("prefix.token").alias("prefix")).select("p.token", "s", "n", "first", "p.pos", "need", "prefix")
 
 
 def lengths_fit(a: str, b: str, percent: int) -> Column:
@@ -133,19 +138,23 @@ def star(postings: DataFrame, percent: int) -> DataFrame:
 
 
 def across(left: DataFrame, right: DataFrame, condition: Column, percent: int) -> DataFrame:
-    """Candidates (a, b) of two posting tables (columns suffixed a and b), by length, position and number of shared prefix tokens.
+    """Candidates (a, b) of two posting tables (columns suffixed a and b), each pair once, where its first shared prefix token is.
 
-    The bound by position holds for the first token that two sets share, so a similar pair keeps at least that row.
+    Besides length, what is left behind the positions of that token and the number of shared prefix tokens must leave room
+    for the overlap that the threshold asks for. need of the one that needs fewer is a bound for both.
     """
+    met = F.array_intersect("prefixa", "prefixb")
+    asked = overlap_needed("na", "nb", percent)
     room = 1 + F.least(F.col("na") - F.col("posa"), F.col("nb") - F.col("posb"))
-    hit = left.join(right, "token").where(condition).where(lengths_fit("na", "nb", percent))
-    hit = hit.withColumn("fits", room >= overlap_needed("na", "nb", percent))
-    need = F.max(F.least("needa", "needb"))
-    return hit.groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"), need.alias("need"), F.max("fits").alias("fits")).where("fits").where(F.col("shared") >= F.col("need")).select("a", "b")
+    behind = F.greatest(*[F.ceil(F.col(n) * percent / 100) - F.col(need) for n, need in (("na", "needa"), ("nb", "needb"))])
+    fits = condition & lengths_fit("na", "nb", percent) & (room >= asked)
+    fits &= (F.get(met, F.lit(0)) == F.col("right_token")) & (F.size(met) >= F.least("needa", "needb")) & (F.size(met) + behind >= asked)
+    right = right.withColumnRenamed("token", "right_token")
+    return left.join(right, (F.col("token") == F.col("right_token")) & fits).select("a", "b")
 
 
 def side(postings: DataFrame, tag: str, *more: str) -> DataFrame:
-    return postings.select("token", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", *more)])
+    return postings.select("token", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", "prefix", *more)])
 
 
 def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame]:
