@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import bpe, language, line_dedup, ngram_join
+from . import bpe, decontaminate, language, line_dedup, ngram_join
 
-_MODULES = (bpe, language, line_dedup, ngram_join)
+_MODULES = (bpe, decontaminate, language, line_dedup, ngram_join)
 
 
 def queries() -> dict:
