@@ -21,6 +21,7 @@ def scratch_root(spark: SparkSession) -> str:
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Cut the lineage: write df as Parquet in the shared folder and read it back. Survives the loss of any executor."""
     spark = df.sparkSession
+    spark.sparkContext._jvm.System.gc()  # Spark deletes the shuffle files of plans that are no longer held
     path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -41,11 +41,10 @@ def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     rk = F.xxhash64(F.col(id_col), F.col(text_col))
     gone = materialise(removed_lines(J.with_row_key(docs, id_col, text_col), **options), "removed")
     own = [c for c in docs.columns if c not in ("n_lines", "n_removed")]
-    tagged = docs.select(*own, rk.alias("__rk")).join(gone.toDF("__rk", "__lines"), "__rk", "left")
-    lines = F.split(F.col(text_col), "\n", -1)
-    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__lines"))
-    text = F.when(F.col("__lines").isNull(), F.col(text_col)).otherwise(F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n"))
-    n = F.when(F.col(text_col).isNull(), 0).otherwise(F.size(lines)).cast("int")
+    tagged = docs.select(*own, rk.alias("__rk"), F.split(F.col(text_col), "\n", -1).alias("__parts")).join(gone.toDF("__rk", "__lines"), "__rk", "left")
+    stay = F.array_except(F.sequence(F.lit(0), F.size("__parts") - 1), F.col("__lines"))
+    text = F.when(F.col("__lines").isNull(), F.col(text_col)).otherwise(F.array_join(F.transform(stay, lambda i: F.get("__parts", i)), "\n"))
+    n = F.when(F.col(text_col).isNull(), 0).otherwise(F.size("__parts")).cast("int")
     return tagged.select(*[text.alias(c) if c == text_col else F.col(c) for c in own], n.alias("n_lines"), F.coalesce(F.size("__lines"), F.lit(0)).alias("n_removed"))
 
 

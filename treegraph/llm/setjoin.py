@@ -21,7 +21,7 @@ from . import shingles as S
 from .common import BROADCAST_ROWS, materialise
 
 #: Share of extra tokens in the prefixes of step 1: one more needed match for each so many tokens of a set.
-EXTRA = 16
+EXTRA = 32
 
 
 def must_share(n, percent: int):
