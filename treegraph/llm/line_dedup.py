@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,6 +32,19 @@ def removed_lines(rows: DataFrame, *, width: int = 5, percent: int = 80, min_wor
     return hit.groupBy("rk").agg(F.array_sort(F.collect_set("line")).alias("lines"))
 
 
+@F.arrow_udf("string")
+def without(texts: pa.Array, lines: pa.Array) -> pa.Array:
+    """Texts without the lines of these numbers; null where there is nothing to remove."""
+    out = []
+    for text, gone in zip(texts, lines):
+        if text.is_valid:
+            gone = set(gone.values.to_pylist())
+            out.append("\n".join([x for i, x in enumerate(text.as_py().split("\n")) if i not in gone]))
+        else:
+            out.append(None)
+    return pa.array(out, pa.string())
+
+
 def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """Every input row with all its columns, text_col without its removed lines, and n_lines and n_removed.
 
@@ -41,11 +55,11 @@ def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     rk = F.xxhash64(F.col(id_col), F.col(text_col))
     gone = materialise(removed_lines(J.with_row_key(docs, id_col, text_col), **options), "removed")
     own = [c for c in docs.columns if c not in ("n_lines", "n_removed")]
-    tagged = docs.select(*own, rk.alias("__rk"), F.split(F.col(text_col), "\n", -1).alias("__parts")).join(gone.toDF("__rk", "__lines"), "__rk", "left")
-    stay = F.array_except(F.sequence(F.lit(0), F.size("__parts") - 1), F.col("__lines"))
-    text = F.when(F.col("__lines").isNull(), F.col(text_col)).otherwise(F.array_join(F.transform(stay, lambda i: F.get("__parts", i)), "\n"))
-    n = F.when(F.col(text_col).isNull(), 0).otherwise(F.size("__parts")).cast("int")
-    return tagged.select(*[text.alias(c) if c == text_col else F.col(c) for c in own], n.alias("n_lines"), F.coalesce(F.size("__lines"), F.lit(0)).alias("n_removed"))
+    tagged = docs.select(*own, rk.alias("__rk")).join(gone.toDF("__rk", "__lines"), "__rk", "left")
+    old = F.col(text_col)
+    new = F.coalesce(without(F.when(F.col("__lines").isNotNull(), old), F.col("__lines")), old)
+    n = F.when(old.isNull(), 0).otherwise(F.length(old) - F.length(F.replace(old, F.lit("\n"), F.lit(""))) + 1).cast("int")
+    return tagged.select(*[new.alias(c) if c == text_col else F.col(c) for c in own], n.alias("n_lines"), F.coalesce(F.size("__lines"), F.lit(0)).alias("n_removed"))
 
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
