@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, language, line_dedup, ngram_join
+from . import bpe, decontaminate, language, line_dedup, main_text, ngram_join, quality
 
-_MODULES = (bpe, decontaminate, language, line_dedup, ngram_join)
+_MODULES = (bpe, decontaminate, language, line_dedup, main_text, ngram_join, quality)
 
 
 def queries() -> dict:
