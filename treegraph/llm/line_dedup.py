@@ -5,6 +5,7 @@ from __future__ import annotations
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import setjoin as J
 from .common import materialise, table
@@ -32,7 +33,7 @@ def removed_lines(rows: DataFrame, *, width: int = 5, percent: int = 80, min_wor
     return hit.groupBy("rk").agg(F.array_sort(F.collect_set("line")).alias("lines"))
 
 
-@F.arrow_udf("string")
+@F.arrow_udf(T.StringType())
 def without(texts: pa.Array, lines: pa.Array) -> pa.Array:
     """Texts without the lines of these numbers; null where there is nothing to remove."""
     out = []

@@ -68,11 +68,21 @@ def representatives(sig: DataFrame) -> DataFrame:
     return sig.where("n > 0").groupBy("s1", "s2").agg(F.min(place()).alias("first"), F.first("n").alias("n"), F.first("head").alias("head"))
 
 
+def with_frequency(token: DataFrame, owner: str) -> DataFrame:
+    """Rows of token(token, owner, ...) whose token has more than one row, with the number df of its rows.
+
+    One shuffle by token serves the count and the join. A set shows a token once and many tokens, so that no token has more
+    than a small share of the rows. Counting owner keeps both sides' columns, and so their exchange, the same.
+    """
+    dealt = token.where(F.col(owner).isNotNull() & F.col("token").isNotNull()).repartition("token")
+    df = dealt.groupBy("token").agg(F.count(owner).alias("df")).where("df > 1")
+    return dealt.join(df.hint("shuffle_hash"), "token")
+
+
 def survivors(reps: DataFrame, percent: int) -> DataFrame:
     """Step 1: (s1, s2, n, first) of the sets whose hash-order prefix is shared enough to leave room for a partner."""
     token = reps.select("s1", F.explode("head").alias("token"))
-    common = token.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where("df > 1").select("token")
-    seen = token.join(common, "token").groupBy("s1").agg(F.count(F.lit(1)).alias("shared"))
+    seen = with_frequency(token, "s1").groupBy("s1").agg(F.count(F.lit(1)).alias("shared"))
     least = 1 + F.floor(F.ceil(F.col("n") * percent / 100) / EXTRA)  # what the smallest possible partner asks for
     return reps.select("s1", "s2", "n", "first").join(seen, "s1").where(F.col("shared") >= least).drop("shared")
 
@@ -96,9 +106,7 @@ def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
     With most = 1 it is plain prefix filtering. pos counts from 1 over all tokens of the set; those that no other set has
     come first and give no posting, so that prefix, the others in order, may be shorter than the prefix proper.
     """
-    token = sets.select("s", "n", F.explode("tokens").alias("token"))
-    df = token.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
-    shared = token.join(df, "token")
+    shared = with_frequency(sets.select(F.explode("tokens").alias("token"), F.struct("s", "n").alias("own")), "own").select("token", "own.*", "df")
     own = Window.partitionBy("s")
     w = own.orderBy("df", "token")
     shared = shared.withColumns({"k": F.row_number().over(w), "of": F.count(F.lit(1)).over(own), "met": F.sum(F.col("df") - 1).over(w.rowsBetween(Window.unboundedPreceding, 0))})
@@ -160,7 +168,7 @@ def side(postings: DataFrame, tag: str, *more: str) -> DataFrame:
 def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(members, sets, postings) as written tables; members: (rk, id, line, n, s1, s2) of every item."""
     sig = materialise(signatures(rows, width=width, percent=percent, by_line=by_line, min_words=min_words), "signatures")
-    reps = representatives(sig)
+    reps = materialise(representatives(sig), "representatives")
     kept = materialise(survivors(reps, percent), "survivors")
     sets = materialise(whole_sets(rows, kept, width=width, percent=percent, by_line=by_line), "sets")
     postings = materialise(rare_prefixes(sets, percent, most), "postings")

@@ -23,7 +23,7 @@ _STEP_INV = U(pow(0x9E3779B97F4A7C15, -1, 2**64))
 _PLACE = _rng.integers(1, 2**63, 64, dtype=np.uint64) * U(2) + U(1)
 TOKEN_BITS = 48
 _MASK = U(2**TOKEN_BITS - 1)
-CHUNK_BYTES, CHUNK_ITEMS = 1 << 20, 60_000
+CHUNK_BYTES, CHUNK_ITEMS = 1 << 18, 60_000
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -45,7 +45,7 @@ _POW, _INV = _powers(_STEP, CHUNK_BYTES), _powers(_STEP_INV, CHUNK_BYTES)
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     global _POW, _INV
     if len(_POW) <= n:
-        if n > 16 * CHUNK_BYTES:  # a giant text: not kept
+        if n > 8 << 20:  # a giant text: not kept
             return _powers(_STEP, n), _powers(_STEP_INV, n)
         _POW, _INV = _powers(_STEP, n), _powers(_STEP_INV, n)
     return _POW, _INV
