@@ -70,28 +70,40 @@ class Codec:
         self.by_piece = [-1, *sorted(self.ranks.values())]
         self.model = sentencepiece.SentencePieceProcessor(model_proto=model_bytes(self.ranks))
         self.split = regex.compile(pattern).findall
+        self.plain = pattern == public_tokenizers.PATTERN
         self.letters = byte_alphabet()
         self.map = {b: c for b, c in enumerate(self.letters)}
         self.known: dict[str, tuple[int, ...]] = {}
 
+    def cut(self, part: str) -> list[str]:
+        """Pre-tokens of a stretch. A word of letters alone, and one with a last stop or comma, need no pattern."""
+        if not self.plain:
+            return self.split(part)
+        word = part[1:] if part[:1] == " " else part
+        if word.isalpha():
+            return [part]
+        if word[-1:] in (".", ",") and word[:-1].isalpha():
+            return [part[:-1], part[-1]]
+        return self.split(part)
+
     def learn(self, parts: list[str]) -> None:
         """Remember the ids of stretches of text that start and end where pre-tokens do."""
-        split = {p: self.split(p) for p in parts}
+        known, ranks, ids = self.known, self.ranks, self.by_piece
+        split = [self.cut(p) for p in parts]
         fresh, mapped = [], []
-        pre: dict[str, tuple[int, ...]] = {}
-        for token in set(chain.from_iterable(split.values())):
+        for token in set(chain.from_iterable(split)).difference(known):
             data = token.encode("utf-8", "replace")
-            whole = self.ranks.get(data)
+            whole = ranks.get(data)
             if whole is not None:  # also tokens that merges don't reach
-                pre[token] = (whole,)
+                known[token] = (whole,)
             else:
                 fresh.append(token)
                 mapped.append(data.decode("latin-1").translate(self.map))
-        ids = self.by_piece
         for token, pieces in zip(fresh, self.model.encode(mapped, num_threads=1)):
-            pre[token] = tuple([ids[i] for i in pieces])
-        for part, tokens in split.items():
-            self.known[part] = pre[tokens[0]] if len(tokens) == 1 else tuple(chain.from_iterable([pre[t] for t in tokens]))
+            known[token] = tuple([ids[i] for i in pieces])
+        for part, tokens in zip(parts, split):
+            if len(tokens) != 1:
+                known[part] = tuple(chain.from_iterable([known[t] for t in tokens]))
 
     @staticmethod
     def stretches(text: str) -> list[str]:
@@ -114,7 +126,7 @@ class Codec:
         out = [list(chain.from_iterable(map(known.__getitem__, p))) for p in parts]
         for p in new:
             if len(p) > 64:
-                del known[p]
+                known.pop(p, None)
         return out
 
     def decode(self, ids: list[int]) -> bytes:
