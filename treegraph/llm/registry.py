@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, language, lattice, line_dedup, main_text, ngram_join, quality
+from . import bpe, decontaminate, language, language_model, lattice, line_dedup, main_text, ngram_join, quality, warc
 
-_MODULES = (bpe, decontaminate, language, lattice, line_dedup, main_text, ngram_join, quality)
+_MODULES = (bpe, decontaminate, language, language_model, lattice, line_dedup, main_text, ngram_join, quality, warc)
 
 
 def queries() -> dict:
