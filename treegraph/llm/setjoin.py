@@ -14,14 +14,14 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
-from .common import BROADCAST_ROWS, materialise
+from .common import BROADCAST_ROWS, drop_table, materialise
 
 #: Share of extra tokens in the prefixes of step 1: one more needed match for each so many tokens of a set.
-EXTRA = 32
+EXTRA = 16
 
 
 def must_share(n, percent: int):
@@ -106,21 +106,22 @@ def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
     With most = 1 it is plain prefix filtering. pos counts from 1 over all tokens of the set; those that no other set has
     come first and give no posting, so that prefix, the others in order, may be shorter than the prefix proper.
     """
-    shared = with_frequency(sets.select(F.explode("tokens").alias("token"), F.struct("s", "n").alias("own")), "own").select("token", "own.*", "df")
-    own = Window.partitionBy("s")
-    w = own.orderBy("df", "token")
-    shared = shared.withColumns({"k": F.row_number().over(w), "of": F.count(F.lit(1)).over(own), "met": F.sum(F.col("df") - 1).over(w.rowsBetween(Window.unboundedPreceding, 0))})
-    shared = shared.withColumn("pos", (F.col("n") - F.col("of") + F.col("k")).cast("int"))
-    shared = shared.withColumn("l", F.col("pos") - (F.col("n") - F.ceil(F.col("n") * percent / 100))).where(F.col("l") <= most)
-    if most == 1:
-        shared = shared.withColumn("need", F.lit(1))
-    else:
-        cost = F.when(F.col("l") >= 1, F.struct((F.col("met") * (1 + F.col("n") / 8 / F.col("l"))).alias("cost"), F.col("l").alias("l")))
-        shared = shared.withColumn("need", F.coalesce(F.min(cost).over(own)["l"], F.lit(1)).cast("int")).where("l <= need")
-    item = F.struct("pos", "token")
-    prefix = shared.groupBy("s").agg(F.array_sort(F.collect_list(item)).alias("prefix"), F.first("need").alias("need"))
-    prefix = prefix.join(sets.select("s", "n", "first"), "s")
-    return prefix.select(F.explode("prefix").alias("p"), "s", "n", "first", "need", F.col("prefix.token").alias("prefix")).select("p.token", "s", "n", "first", "p.pos", "need", "prefix")
+    seen = with_frequency(sets.select("s", F.explode("tokens").alias("token")), "s")
+    rare = seen.groupBy("s").agg(F.array_sort(F.collect_list(F.struct("df", "token"))).alias("rare")).join(sets.select("s", "n", "first"), "s")
+    spare = (F.col("n") - F.ceil(F.col("n") * percent / 100)).cast("int")
+    rare = rare.withColumns({"alone": (F.col("n") - F.size("rare")).cast("int"), "spare": spare})
+    rare = rare.where(F.col("spare") + 1 > F.col("alone"))  # else the first prefix holds no shared token
+    until = lambda l: F.greatest(F.lit(0), F.col("spare") + l - F.col("alone"))
+
+    def cost(l: Column) -> Column:
+        met = F.aggregate(F.slice("rare", F.lit(1), until(l)), F.lit(0.0), lambda a, x: a + x["df"] - 1)
+        return F.struct((met * (1 + F.col("n") / 8 / l)).alias("cost"), l.alias("l"))
+
+    need = F.lit(1) if most == 1 else F.array_min(F.transform(F.sequence(F.lit(1), F.lit(most)), cost))["l"].cast("int")
+    rare = rare.withColumn("need", need)
+    rare = rare.withColumn("prefix", F.transform(F.slice("rare", F.lit(1), until(F.col("need"))), lambda x: x["token"]))
+    rare = rare.select("s", "n", "first", "need", "alone", "prefix", F.posexplode_outer("prefix").alias("k", "token"))
+    return rare.where(F.col("token").isNotNull()).select("token", "s", "n", "first", (F.col("alone") + F.col("k") + 1).alias("pos"), "need", "prefix")
 
 
 def lengths_fit(a: str, b: str, percent: int) -> Column:
@@ -168,8 +169,11 @@ def side(postings: DataFrame, tag: str, *more: str) -> DataFrame:
 def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(members, sets, postings) as written tables; members: (rk, id, line, n, s1, s2) of every item."""
     sig = materialise(signatures(rows, width=width, percent=percent, by_line=by_line, min_words=min_words), "signatures")
+    members = materialise(sig.drop("head"), "members")
     reps = materialise(representatives(sig), "representatives")
+    drop_table(sig)
     kept = materialise(survivors(reps, percent), "survivors")
+    drop_table(reps)
     sets = materialise(whole_sets(rows, kept, width=width, percent=percent, by_line=by_line), "sets")
     postings = materialise(rare_prefixes(sets, percent, most), "postings")
-    return sig.drop("head"), sets, postings
+    return members, sets, postings
