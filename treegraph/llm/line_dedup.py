@@ -21,10 +21,11 @@ def removed_lines(rows: DataFrame, *, width: int = 5, percent: int = 80, min_wor
     Tokens are ordered by rarity; prefix, length and positional filters choose candidates, whole sets decide. A line goes if
     some line before it, by (id, row, line number), nulls first, has a Jaccard similarity of percent / 100 or more.
     """
-    members, sets, postings = J.prepared(rows, width=width, percent=percent, by_line=True, most=1, min_words=min_words)
-    first = materialise(J.verified(J.star(postings, percent), sets, percent).select(F.col("a").alias("s")).distinct(), "late")
-    open_ = postings.join(first, "s", "left_anti")
-    a, b = J.side(open_, "a"), J.side(postings, "b")
+    members, sets, prefixes = J.prepared(rows, width=width, percent=percent, by_line=True, most=1, min_words=min_words)
+    first = materialise(J.verified(J.star(prefixes, percent), sets, percent).select(F.col("a").alias("s")).distinct(), "late")
+    later = J.postings(prefixes.join(first, "s", "left_anti"))
+    earlier = J.postings(prefixes).join(later.select("token").distinct(), "token", "left_semi")
+    a, b = J.side(J.with_prefix(later, prefixes), "a"), J.side(J.with_prefix(earlier, prefixes), "b")
     more = J.verified(J.across(a, b, F.col("firstb") < F.col("firsta"), percent), sets, percent).select(F.col("a").alias("s"))
     late = materialise(first.union(more).distinct().select(F.col("s").alias("s1"), F.lit(True).alias("late")), "late")
     repeated = members.where("n > 0").groupBy("s1", "s2").agg(F.min(J.place()).alias("first"), F.count(F.lit(1)).alias("c"))

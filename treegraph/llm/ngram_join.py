@@ -23,12 +23,13 @@ def similar_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     an empty result.
     """
     rows = J.with_row_key(docs, id_col, text_col)
-    members, sets, postings = J.prepared(rows, width=width, percent=percent, by_line=False, most=MOST_MATCHES)
-    first = materialise(J.verified(J.star(postings, percent), sets, percent), "links")
+    members, sets, prefixes = J.prepared(rows, width=width, percent=percent, by_line=False, most=MOST_MATCHES)
+    first = materialise(J.verified(J.star(prefixes, percent), sets, percent), "links")
     group = components(first.toDF("u", "v"))
-    known = postings.join(group.select(F.col("node").alias("s"), "label"), "s", "left").withColumn("label", F.coalesce("label", "s"))
+    known = prefixes.join(group.select(F.col("node").alias("s"), "label"), "s", "left").withColumn("label", F.coalesce("label", "s"))
+    known = J.postings(known, "label")
     mixed = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("mixed")).where("mixed").select("token")
-    known = materialise(known.join(mixed, "token", "left_semi"), "postings")
+    known = materialise(J.with_prefix(known.join(mixed, "token", "left_semi"), prefixes), "postings")
     a, b = J.side(known, "a", "label"), J.side(known, "b", "label")
     second = materialise(J.verified(J.across(a, b, F.col("labela") < F.col("labelb"), percent), sets, percent), "links")
     group = components(union_all([first, second]).toDF("u", "v"))

@@ -99,12 +99,12 @@ def whole_sets(rows: DataFrame, kept: DataFrame, *, width: int, percent: int, by
 
 
 def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
-    """Step 2: postings (token, s, n, first, pos, need, prefix) over prefixes in rarity order (document frequency, then token).
+    """Step 2: (s, n, first, need, alone, prefix), prefixes in rarity order (document frequency, then token).
 
     need is how many prefix tokens a candidate must share: the number l whose prefix of n - must_share + l tokens has the
     least estimated cost, the postings it writes plus the comparison of the at most postings / l sets met l times.
-    With most = 1 it is plain prefix filtering. pos counts from 1 over all tokens of the set; those that no other set has
-    come first and give no posting, so that prefix, the others in order, may be shorter than the prefix proper.
+    With most = 1 it is plain prefix filtering. The alone tokens that no other set has come first and are left out of prefix.
+    Sets whose first prefix holds no shared token are left out: they have no partner.
     """
     seen = with_frequency(sets.select("s", F.explode("tokens").alias("token")), "s")
     rare = seen.groupBy("s").agg(F.array_sort(F.collect_list(F.struct("df", "token"))).alias("rare")).join(sets.select("s", "n", "first"), "s")
@@ -120,8 +120,18 @@ def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
     need = F.lit(1) if most == 1 else F.array_min(F.transform(F.sequence(F.lit(1), F.lit(most)), cost))["l"].cast("int")
     rare = rare.withColumn("need", need)
     rare = rare.withColumn("prefix", F.transform(F.slice("rare", F.lit(1), until(F.col("need"))), lambda x: x["token"]))
-    rare = rare.select("s", "n", "first", "need", "alone", "prefix", F.posexplode_outer("prefix").alias("k", "token"))
-    return rare.where(F.col("token").isNotNull()).select("token", "s", "n", "first", (F.col("alone") + F.col("k") + 1).alias("pos"), "need", "prefix")
+    return rare.select("s", "n", "first", "need", "alone", "prefix")
+
+
+def postings(prefixes: DataFrame, *more: str) -> DataFrame:
+    """(token, s, n, first, pos, need) of every prefix token; pos counts from 1 over all tokens of the set."""
+    out = prefixes.select("s", "n", "first", "need", "alone", *more, F.posexplode("prefix").alias("k", "token"))
+    return out.select("token", "s", "n", "first", (F.col("alone") + F.col("k") + 1).alias("pos"), "need", *more)
+
+
+def with_prefix(rows: DataFrame, prefixes: DataFrame) -> DataFrame:
+    """Postings with their set's prefix, which travels only with those that are left to compare."""
+    return rows.join(prefixes.select("s", "prefix"), "s")
 
 
 def lengths_fit(a: str, b: str, percent: int) -> Column:
@@ -140,10 +150,11 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(F.col("o") * 100 >= (F.col("na") + F.col("nb") - F.col("o")) * percent).select("a", "b")
 
 
-def star(postings: DataFrame, percent: int) -> DataFrame:
+def star(prefixes: DataFrame, percent: int) -> DataFrame:
     """Candidates (a, b): b the earliest set of a posting list, a any later one of fitting length."""
-    head = postings.groupBy("token").agg(F.min(F.struct("first", "s", "n")).alias("h"), F.count(F.lit(1)).alias("c")).where("c > 1").select("token", F.col("h.s").alias("b"), F.col("h.n").alias("nb"))
-    return postings.join(head, "token").where("s <> b").where(lengths_fit("n", "nb", percent)).select(F.col("s").alias("a"), "b").distinct()
+    rows = postings(prefixes)
+    head = rows.groupBy("token").agg(F.min(F.struct("first", "s", "n")).alias("h"), F.count(F.lit(1)).alias("c")).where("c > 1").select("token", F.col("h.s").alias("b"), F.col("h.n").alias("nb"))
+    return rows.join(head, "token").where("s <> b").where(lengths_fit("n", "nb", percent)).select(F.col("s").alias("a"), "b").distinct()
 
 
 def across(left: DataFrame, right: DataFrame, condition: Column, percent: int) -> DataFrame:
@@ -162,12 +173,12 @@ def across(left: DataFrame, right: DataFrame, condition: Column, percent: int) -
     return left.join(right, (F.col("token") == F.col("right_token")) & fits).select("a", "b")
 
 
-def side(postings: DataFrame, tag: str, *more: str) -> DataFrame:
-    return postings.select("token", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", "prefix", *more)])
+def side(rows: DataFrame, tag: str, *more: str) -> DataFrame:
+    return rows.select("token", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", "prefix", *more)])
 
 
 def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(members, sets, postings) as written tables; members: (rk, id, line, n, s1, s2) of every item."""
+    """(members, sets, prefixes) as written tables; members: (rk, id, line, n, s1, s2) of every item."""
     sig = materialise(signatures(rows, width=width, percent=percent, by_line=by_line, min_words=min_words), "signatures")
     members = materialise(sig.drop("head"), "members")
     reps = materialise(representatives(sig), "representatives")
@@ -175,5 +186,5 @@ def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most:
     kept = materialise(survivors(reps, percent), "survivors")
     drop_table(reps)
     sets = materialise(whole_sets(rows, kept, width=width, percent=percent, by_line=by_line), "sets")
-    postings = materialise(rare_prefixes(sets, percent, most), "postings")
-    return members, sets, postings
+    prefixes = materialise(rare_prefixes(sets, percent, most), "prefixes")
+    return members, sets, prefixes
