@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from ..operators import relational
+from ..streaming import log
 from . import workloads
 
-_MODULES = (workloads,)
+_MODULES = (workloads, relational, log)
 
 
 def queries() -> dict:
