@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from ..operators import relational
+from ..operators import benchmark, construct, relational
 from ..streaming import log
 from . import workloads
 
-_MODULES = (workloads, relational, log)
+_MODULES = (workloads, construct, benchmark, relational, log)
 
 
 def queries() -> dict:
@@ -14,4 +14,5 @@ def queries() -> dict:
 
 
 def oracles() -> dict[str, str]:
-    return {k: v for m in _MODULES for k, v in m.ORACLES.items()}
+    found = {k: v for m in (workloads, construct, relational, log) for k, v in m.ORACLES.items()}
+    return found | benchmark.oracles(workloads._BASE, workloads._LABELS)
