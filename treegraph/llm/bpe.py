@@ -9,6 +9,7 @@ from itertools import chain
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 import sentencepiece
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -17,7 +18,7 @@ from pyspark.sql import functions as F
 from .common import table
 
 #: Pieces of text whose ids a worker remembers before it starts anew.
-REMEMBERED = 400_000
+REMEMBERED = 200_000
 
 
 def byte_alphabet() -> list[str]:
@@ -133,6 +134,16 @@ class Codec:
         return b"".join(map(self.tokens.__getitem__, ids))
 
 
+def slices(texts: pa.Array, room: int = 1 << 20):
+    """Pieces of a column of about so many bytes, so that a worker holds few texts as objects at a time."""
+    size = np.cumsum(np.asarray(pc.fill_null(pc.binary_length(texts), 0)))
+    at = 0
+    while at < len(texts):
+        to = max(at + 1, int(np.searchsorted(size, (size[at - 1] if at else 0) + room, "right")))
+        yield texts.slice(at, to - at)
+        at = to
+
+
 _codecs: dict[tuple[int, str], Codec] = {}
 
 
@@ -156,23 +167,19 @@ def functions(spark: SparkSession, path: str | None = None, pattern: str = publi
     @F.arrow_udf("array<int>")
     def encode(texts: pa.Array) -> pa.Array:
         c = codec(shared.value, pattern)
-        texts = [t or "" for t in texts.to_pylist()]
-        lists, at = [], 0
-        while at < len(texts):
-            to, room = at, 1 << 20
-            while to < len(texts) and (to == at or room > 0):
-                room -= len(texts[to])
-                to += 1
-            lists += c.encode(texts[at:to])
-            at = to
-        sizes = np.fromiter(map(len, lists), dtype=np.int32, count=len(lists))
-        values = np.fromiter(chain.from_iterable(lists), dtype=np.int32, count=int(sizes.sum()))
-        return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32()), pa.array(values))
+        sizes, values = [], []
+        for part in slices(texts):
+            lists = c.encode([t or "" for t in part.to_pylist()])
+            sizes.append(np.fromiter(map(len, lists), dtype=np.int64, count=len(lists)))
+            values.append(np.fromiter(chain.from_iterable(lists), dtype=np.int32, count=int(sizes[-1].sum())))
+        none = np.zeros(0, dtype=np.int32)
+        offsets = np.concatenate([[0], np.cumsum(np.concatenate([none, *sizes]))])
+        return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate([none, *values])))
 
     @F.arrow_udf("binary")
     def decode(ids: pa.Array) -> pa.Array:
         c = codec(shared.value, pattern)
-        return pa.array([c.decode(x.values.tolist() if x.is_valid else []) for x in ids], pa.binary())
+        return pa.array([c.decode(x.values.to_pylist() if x.is_valid else []) for x in ids], pa.binary())
 
     return encode, decode
 
