@@ -14,7 +14,7 @@ def micros(column: str):
 
 def read_events(spark: SparkSession, folder: str, schema, files: int = 1) -> DataFrame:
     """Event files as they arrive, so many a batch, with ten minutes for late rows."""
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(folder).withWatermark("ts", "10 minutes")
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(folder).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "10 minutes")
 
 
 def tumbling(e: DataFrame) -> DataFrame:
