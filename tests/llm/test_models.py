@@ -78,3 +78,12 @@ def test_language_model(spark, docs, monkeypatch):
         assert g.base_score == pytest.approx(base) and g.score < 0
     sub_total = [r.score for r in language_model.score_texts(docs.limit(3), F.lit(False)).collect()]
     assert len(sub_total) == 3 and all(np.isfinite(sub_total))
+
+
+def test_every_words_count_is_in_the_score(docs, monkeypatch):
+    monkeypatch.setattr(language_model, "STEPS", 30)
+    got = []
+    for head in (100_000, 50):  # all counts broadcast; most of them joined
+        monkeypatch.setattr(language_model, "HEAD_WORDS", head)
+        got.append({r.doc_id: r.score for r in language_model.score_texts(docs, F.col("doc_id") % 7 != 2).collect()})
+    assert got[1] == pytest.approx(got[0], abs=1e-6)
