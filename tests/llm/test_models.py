@@ -87,3 +87,27 @@ def test_every_words_count_is_in_the_score(docs, monkeypatch):
         monkeypatch.setattr(language_model, "HEAD_WORDS", head)
         got.append({r.doc_id: r.score for r in language_model.score_texts(docs, F.col("doc_id") % 7 != 2).collect()})
     assert got[1] == pytest.approx(got[0], abs=1e-6)
+
+
+def test_training_reads_whole_texts_of_all_rows(spark, monkeypatch):
+    import numpy as np
+
+    rows = [(i, "one two three " * 200 + f"tail{i} " * 50) for i in range(20)]
+    seen = {}
+    fit = language_model.train
+
+    def spy(pairs, windows, counts, n_ids):
+        seen.update(pairs=pairs.copy(), windows=windows.copy(), counts=counts)
+        return fit(pairs, windows, counts, n_ids)
+
+    monkeypatch.setattr(language_model, "train", spy)
+    monkeypatch.setattr(language_model, "STEPS", 5)
+    language_model.score_texts(spark.createDataFrame(rows, "doc_id long, text string"), F.lit(True)).count()
+    ids = sum(seen["counts"].values())
+    assert seen["pairs"].sum() == ids and seen["pairs"][-1].sum() == len(rows)
+    assert len(seen["windows"]) == ids  # a small table: every place of every text
+    goals = seen["windows"][:, language_model.STRIDE + 1]
+    of = language_model.classes(seen["counts"], max(seen["counts"]) + 1)[0]
+    want = np.zeros(language_model.CLASSES, dtype=int)
+    np.add.at(want, of[list(seen["counts"])], list(seen["counts"].values()))
+    assert np.bincount(goals, minlength=language_model.CLASSES).tolist() == want.tolist()
