@@ -1,5 +1,6 @@
 """Hand-computed fusion, aggregation and measures."""
 
+import hashlib
 import math
 
 import pytest
@@ -66,3 +67,11 @@ def test_validator_names_the_step(spark):
     assert got == {"Part Of": (1, "alias", "part_of"), "within": (2, "alias", "part_of"), "rare": (3, "rejected", None), "new": (0, "accepted", None)}
     judged = construct.validate_types(p, o, strong=lambda j: F.col("name") != "new")
     assert {r.name: r.step for r in judged.collect()}["new"] == 5
+
+
+def test_every_distinct_sentence_has_a_canonical_one(spark, tmp_path):
+    rows = [(1, "Les. Erheed titionly. ***\nOne two three four five.", "fr", "web"), (51, "Les.\n***", "fr", "web")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = {r.node_id: r.canonical_id for r in construct.QUERIES["dedup_intra"](spark, str(tmp_path)).collect()}
+    names = {x: hashlib.md5(x.encode()).hexdigest() for x in ("Les.", "Erheed titionly.", "***", "One two three four five.")}
+    assert set(got) == set(names.values()) and got[names["***"]] == names["***"]

@@ -116,10 +116,11 @@ def grow_ontology(ontology: DataFrame, trace: DataFrame, proposals: DataFrame) -
 
 
 def sentence_items(spark: SparkSession, d: str) -> DataFrame:
-    """Distinct sentences with hashed vectors: (node_id, batch_id of the first one, embedding)."""
+    """Distinct sentences with hashed vectors: (node_id, batch_id of the first one, embedding); zero without tokens."""
     s = graph_d_sentences(spark, d).groupBy("sentence").agg(F.min("batch_id").alias("batch_id"))
-    s = s.select(F.md5("sentence").alias("node_id"), "batch_id", F.filter(F.split(F.lower("sentence"), r"[^\p{L}\p{N}]+"), lambda w: w != "").alias("t")).where(F.size("t") > 3)
-    return V.hash_embed(s, ["node_id", "batch_id"], "t")
+    s = s.select(F.md5("sentence").alias("node_id"), "batch_id", F.filter(F.split(F.lower("sentence"), r"[^\p{L}\p{N}]+"), lambda w: w != "").alias("t"))
+    e = V.hash_embed(s, ["node_id", "batch_id"], "t")
+    return s.select("node_id", "batch_id").join(e, ["node_id", "batch_id"], "left").withColumn("embedding", F.coalesce("embedding", F.array_repeat(F.lit(0.0), 64)))
 
 
 def relation_ontology(spark: SparkSession, d: str) -> DataFrame:
