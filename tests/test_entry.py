@@ -39,3 +39,10 @@ def test_oracles(spark, name):
     cols = sorted(df.columns)
     want = con.execute(f"SELECT {', '.join(cols)} FROM ({entry.oracle_sql()[name]})").fetchall()
     assert sorted(map(str, (tuple(r) for r in df.select(*cols).collect()))) == sorted(map(str, want))
+
+
+@pytest.mark.skipif(not os.path.isdir("/root/testdata/sf0.01"), reason="no test data")
+def test_approximate_search_finds_nine_of_ten(spark):
+    r = entry.queries()["ann_recall"](spark, "/root/testdata/sf0.01").first()
+    print("ann_recall", r)
+    assert r.recall >= 0.9

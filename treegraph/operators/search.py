@@ -65,7 +65,7 @@ def hyperplane_codes(df: DataFrame, id_col: str, bits: int, tables: int, probes:
     return d.select(id_col, "table", F.explode(each).alias("bucket"))
 
 
-def ann_topk(queries: DataFrame, nodes: DataFrame, k: int, *, bits: int = 6, tables: int = 6, probes: int = 3, seed: int = 42, dim: int = 64) -> DataFrame:
+def ann_topk(queries: DataFrame, nodes: DataFrame, k: int, *, bits: int = 6, tables: int = 16, probes: int = 4, seed: int = 42, dim: int = 64) -> DataFrame:
     """Approximate search: equal codes in some table make candidates, exact cosines rank them. Nodes shuffle once, by bucket."""
     q = hyperplane_codes(queries, "query_id", bits, tables, probes, seed, dim)
     n = hyperplane_codes(nodes, "node_id", bits, tables, 0, seed, dim)
