@@ -131,3 +131,9 @@ def test_leaks_with_substitutions(spark):
     assert kept == {i for i, _ in rows} - found
     plan = decontaminate.contaminated(docs, bench)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
+
+
+def test_short_lines_that_repeat_go(spark):
+    table = spark.createDataFrame([(1, "Les.\n\nErheed. Titionly."), (2, "les.\n\nother"), (3, "Erheed. Titionly.\nLes.")], "doc_id long, text string")
+    got = {r.doc_id: (r.text, r.n_removed) for r in line_dedup.dedup_lines(table).collect()}
+    assert got == {1: ("Les.\n\nErheed. Titionly.", 0), 2: ("\nother", 1), 3: ("", 2)}

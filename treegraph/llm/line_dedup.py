@@ -10,8 +10,8 @@ from pyspark.sql import types as T
 from . import setjoin as J
 from .common import materialise, table
 
-#: Lines of fewer words are left alone: headings and stubs of a word or two repeat by chance.
-MIN_WORDS = 3
+#: Lines of fewer words are left alone: only those without a word. A line of a word or two is one whole-line token.
+MIN_WORDS = 1
 
 
 def removed_lines(rows: DataFrame, *, width: int = 5, percent: int = 80, min_words: int = MIN_WORDS) -> DataFrame:
