@@ -46,7 +46,8 @@ def topdown(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, ki
 
 
 def both_ways(edges: DataFrame) -> DataFrame:
-    return edges.select("src", "dst", "rel_type").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "rel_type"))
+    more = [c for c in ("cross", "weight") if c in edges.columns]
+    return edges.select("src", "dst", "rel_type", *more).unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "rel_type", *more))
 
 
 def select_relations(g: Graph, mode: str = "all", top: int = TOP_TYPES, queries: DataFrame | None = None) -> DataFrame:
@@ -63,16 +64,12 @@ def select_relations(g: Graph, mode: str = "all", top: int = TOP_TYPES, queries:
 
 def hop(g: Graph, seeds: DataFrame, relations: DataFrame | None = None, cross_branch: bool = True) -> DataFrame:
     """(query_id, node_id, seed_score): seeds and the ends of one semantic edge from them in sections none of theirs shares."""
-    edges = both_ways(g.sem_edges)
+    edges = both_ways(g.sem_edges.where("cross") if cross_branch else g.sem_edges)
     if relations is not None and "query_id" not in relations.columns:
         edges = edges.join(F.broadcast(relations), "rel_type", "left_semi")  # a few types
     step = edges.join(small(seeds.withColumnRenamed("node_id", "src")), "src")
     if relations is not None and "query_id" in relations.columns:
         step = step.join(small(relations), ["query_id", "rel_type"], "left_semi")
-    if cross_branch:
-        h = g.homes
-        same = step.select("src", "dst").distinct().join(h.withColumnRenamed("node_id", "src"), "src").join(h.withColumnRenamed("node_id", "dst"), ["dst", "section_id"]).select("src", "dst").distinct()
-        step = step.join(same, ["src", "dst"], "left_anti")
     out = step.select("query_id", F.col("dst").alias("node_id"), "seed_score").unionByName(seeds.select("query_id", "node_id", "seed_score"))
     return out.groupBy("query_id", "node_id").agg(F.max("seed_score").alias("seed_score"))
 

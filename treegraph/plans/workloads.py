@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
 from ..operators import measures as A
-from ..operators import scoring as S
 from ..operators import search, traverse
 from ..operators.scoring import agg_score
 from ..sources.graphs import KINDS, graph_e, graph_s_edges, queries_e
+from ..sources.stored import stored
 from ..sources.tables import load, words
 
 K, DEPTH = 10, 100
@@ -24,9 +26,9 @@ def node_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def query_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(query_id, term): the distinct ones of the first twelve tokens of the query's own text."""
+    """(query_id, term): the distinct tokens of the query's own text."""
     t = node_texts(spark, sf_dir).withColumn("num", F.substring("node_id", 3, 20).cast("long")).where("num % 10 = 0")
-    return t.select(F.concat(F.lit("q:"), "num").alias("query_id"), F.explode(F.array_distinct(F.slice("tokens", 1, 12))).alias("term"))
+    return t.select(F.concat(F.lit("q:"), "num").alias("query_id"), F.explode(F.array_distinct("tokens")).alias("term"))
 
 
 def _b1(spark, d, k=K):
@@ -61,20 +63,18 @@ METHODS = {
     "bu_rrf": _on_graph(traverse.bottomup, variant="rrf"),
 }
 
-_runs: dict[tuple[str, str], DataFrame] = {}
+RUN_TABLES = ("embeddings", "documents")
+
+
+def run_of(spark: SparkSession, d: str, name: str) -> DataFrame:
+    """One method's run, stored: the comparisons scan it."""
+    rows = lambda: METHODS[name](spark, d).select(F.lit(name).alias("method"), "query_id", "node_id", F.col("score").cast("double").alias("score"), F.col("rank").cast("int").alias("rank"))
+    return stored(spark, d, f"run_{name}", RUN_TABLES, rows)
 
 
 def all_runs(spark: SparkSession, d: str) -> DataFrame:
-    """The twelve runs under their names, kept per session and folder."""
-    key = (spark.sparkContext.applicationId, d)
-    if key not in _runs:
-        out = None
-        for name, f in METHODS.items():
-            r = f(spark, d).select(F.lit(name).alias("method"), "query_id", "node_id", "score", "rank").persist()
-            r.count()  # each run by itself: one plan of all twelve takes the optimizer longer than the work
-            out = r if out is None else out.unionByName(r)
-        _runs[key] = out
-    return _runs[key]
+    """The twelve runs under their names."""
+    return reduce(DataFrame.unionByName, [run_of(spark, d, name) for name in METHODS])
 
 
 def measured(spark: SparkSession, d: str, **options) -> DataFrame:
@@ -85,7 +85,7 @@ def measured(spark: SparkSession, d: str, **options) -> DataFrame:
 def measured_one(name: str):
     def run(spark: SparkSession, d: str) -> DataFrame:
         q, labels = queries_e(spark, d)
-        pq = A.per_query(METHODS[name](spark, d).withColumn("method", F.lit(name)), labels, q)
+        pq = A.per_query(run_of(spark, d, name), labels, q)
         return pq.select("method", "query_id", "direction", F.col("k").cast("int").alias("k"), *[F.round(c, 6).alias(c) for c in ("ndcg", "recall", "precision", "mrr")])
 
     return run
@@ -266,25 +266,25 @@ QUERIES = {k: _rounded(f) for k, f in METHODS.items()} | {
 # Oracle SQL
 
 _BASE = """
-WITH c AS (
+WITH c AS MATERIALIZED (
   SELECT num, 'v:' || num AS node_id, label, list_transform(e, lambda x: x / sqrt(list_dot_product(e, e))) AS emb
   FROM (SELECT vec_id AS num, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings)),
 leaf AS (
   SELECT num, node_id, label AS a, num % 8 AS m FROM c
   UNION ALL SELECT num, node_id, (label + 1) % 10, num % 8 FROM c WHERE num % 5 = 0),
-anc AS (
+anc AS MATERIALIZED (
   SELECT DISTINCT num, node_id, unnest(['u:' || a || ':' || m, 's:' || a || ':' || (m % 4), 'l:' || a || ':' || (m % 2), 'c:' || a, 'b:' || (a % 3)]) AS anc FROM leaf),
-homes AS (SELECT num, node_id, anc AS section_id FROM anc WHERE anc LIKE 's:%'),
-mean AS (
+homes AS MATERIALIZED (SELECT num, node_id, anc AS section_id FROM anc WHERE anc LIKE 's:%'),
+mean AS MATERIALIZED (
   SELECT anc, list(x ORDER BY i) AS v FROM (
     SELECT anc, i, round(avg(emb[i]), 6) AS x FROM anc JOIN c USING (num), generate_series(1, 64) AS t(i) GROUP BY anc, i) GROUP BY anc),
-st AS (SELECT anc, list_transform(v, lambda x: x / sqrt(list_dot_product(v, v))) AS emb FROM mean),
-sem AS (
+st AS MATERIALIZED (SELECT anc, list_transform(v, lambda x: x / sqrt(list_dot_product(v, v))) AS emb FROM mean),
+sem AS MATERIALIZED (
   SELECT x.node_id AS src, y.node_id AS dst, x.num AS a, y.num AS b, 'r' || ((x.label + y.label) % 10) AS rel_type, round(list_dot_product(x.emb, y.emb), 9) AS weight
   FROM c x JOIN c y ON x.num < y.num AND (x.label <> y.label OR x.num % 4 <> y.num % 4)
   WHERE round(list_dot_product(x.emb, y.emb), 9) >= 0.30),
 ways AS (SELECT src, dst, a, b, rel_type, weight FROM sem UNION ALL SELECT dst, src, b, a, rel_type, weight FROM sem),
-near AS (SELECT a AS num, b AS mate FROM ways QUALIFY row_number() OVER (PARTITION BY a ORDER BY weight DESC, b) = 1),
+near AS MATERIALIZED (SELECT a AS num, b AS mate FROM ways QUALIFY row_number() OVER (PARTITION BY a ORDER BY weight DESC, b) = 1),
 qb AS (
   SELECT c.num AS q, c.label, c.emb AS own, ['NT','TD','HZ','BU','CS'][(c.num // 10) % 5 + 1] AS direction, near.mate, mv.emb AS mate_vec,
     's:' || c.label || ':' || (c.num % 4) AS section_id, 's:' || mv.label || ':' || (mv.num % 4) AS mate_section,
@@ -301,13 +301,13 @@ qv AS (
     ELSE own END AS v FROM qb),
 qs AS (SELECT *, list_transform(list_zip(v, far_vec), lambda p: p[1] + p[2] * 0.5) AS s FROM qv),
 qr AS (SELECT *, list_transform(s, lambda x: round(x / sqrt(list_dot_product(s, s)), 6)) AS r FROM qs),
-q AS (SELECT *, 'q:' || q AS query_id, list_transform(r, lambda x: x / sqrt(list_dot_product(r, r))) AS emb FROM qr),
-cs AS (SELECT query_id, node_id, c.num, round(list_dot_product(q.emb, c.emb), 9) AS cos FROM q, c),
+q AS MATERIALIZED (SELECT *, 'q:' || q AS query_id, list_transform(r, lambda x: x / sqrt(list_dot_product(r, r))) AS emb FROM qr),
+cs AS MATERIALIZED (SELECT query_id, node_id, c.num, round(list_dot_product(q.emb, c.emb), 9) AS cos FROM q, c),
 """
 _TD = """
-ms AS (SELECT query_id, anc AS section_id, round(list_dot_product(q.emb, st.emb), 9) AS seed_score FROM q, st WHERE anc LIKE 's:%'
+ms AS MATERIALIZED (SELECT query_id, anc AS section_id, round(list_dot_product(q.emb, st.emb), 9) AS seed_score FROM q, st WHERE anc LIKE 's:%'
   QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY round(list_dot_product(q.emb, st.emb), 9) DESC, anc) <= 3),
-td AS (SELECT query_id, node_id, max(seed_score) AS seed_score FROM ms JOIN homes USING (section_id) GROUP BY ALL),
+td AS MATERIALIZED (SELECT query_id, node_id, max(seed_score) AS seed_score FROM ms JOIN homes USING (section_id) GROUP BY ALL),
 tc AS (SELECT td.*, cos FROM td JOIN cs USING (query_id, node_id)),
 """
 _HZ = """
@@ -315,18 +315,18 @@ hs AS (SELECT query_id, node_id, cos AS seed_score FROM cs QUALIFY row_number()
 types AS (SELECT rel_type FROM sem GROUP BY rel_type ORDER BY count(*) DESC, rel_type LIMIT {types}),
 ext AS (SELECT query_id, dst AS node_id, seed_score FROM hs JOIN ways ON ways.src = hs.node_id
   WHERE rel_type IN (SELECT rel_type FROM types) AND NOT EXISTS (SELECT 1 FROM homes h1 JOIN homes h2 USING (section_id) WHERE h1.node_id = ways.src AND h2.node_id = ways.dst)),
-hz AS (SELECT query_id, node_id, max(seed_score) AS seed_score FROM (SELECT * FROM ext UNION ALL SELECT * FROM hs) GROUP BY ALL),
+hz AS MATERIALIZED (SELECT query_id, node_id, max(seed_score) AS seed_score FROM (SELECT * FROM ext UNION ALL SELECT * FROM hs) GROUP BY ALL),
 hc AS (SELECT hz.*, cos FROM hz JOIN cs USING (query_id, node_id)),
 """
 _BU = """
 edge AS (SELECT 'u:' || a || ':' || m AS parent_id, node_id FROM leaf),
 bn AS (SELECT query_id, node_id FROM cs QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cos DESC, node_id) <= 50),
 pa AS (SELECT DISTINCT query_id, parent_id FROM bn JOIN edge USING (node_id)),
-kid AS (SELECT query_id, parent_id, node_id, cos FROM pa JOIN edge USING (parent_id) JOIN cs USING (query_id, node_id)),
+kid AS MATERIALIZED (SELECT query_id, parent_id, node_id, cos FROM pa JOIN edge USING (parent_id) JOIN cs USING (query_id, node_id)),
 med AS (SELECT query_id, parent_id, round(median(cos), 9) AS tau FROM kid GROUP BY ALL),
-pg AS (SELECT query_id, parent_id, round(avg(cos) * ln(1 + count(*) FILTER (cos >= tau)), 9) AS agg_score, count(*) AS n_children, count(*) FILTER (cos >= tau) AS n_above
+pg AS MATERIALIZED (SELECT query_id, parent_id, round(avg(cos) * ln(1 + count(*) FILTER (cos >= tau)), 9) AS agg_score, count(*) AS n_children, count(*) FILTER (cos >= tau) AS n_above
   FROM kid JOIN med USING (query_id, parent_id) GROUP BY ALL),
-ps AS (SELECT pg.*, round(list_dot_product(q.emb, st.emb), 9) AS cos FROM pg JOIN q USING (query_id) JOIN st ON st.anc = pg.parent_id),
+ps AS MATERIALIZED (SELECT pg.*, round(list_dot_product(q.emb, st.emb), 9) AS cos FROM pg JOIN q USING (query_id) JOIN st ON st.anc = pg.parent_id),
 pr AS (SELECT *, round(1.0 / (60 + rank() OVER (PARTITION BY query_id ORDER BY cos DESC)) + 1.0 / (60 + rank() OVER (PARTITION BY query_id ORDER BY agg_score DESC)), 9) AS fused FROM ps),
 """
 
@@ -348,13 +348,13 @@ run AS (SELECT query_id, node_id, parent_score AS score, CAST(row_number() OVER
 
 _OUT = " SELECT query_id, node_id, round(score, 6) AS score, rank FROM run"
 _LEX = r"""
-tx AS (SELECT 'v:' || doc_id AS node_id, doc_id AS num, list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}]+'), lambda w: w <> '') AS tokens FROM documents WHERE doc_id IN (SELECT vec_id FROM embeddings)),
-post AS (SELECT term, node_id, count(*) AS tf FROM (SELECT unnest(tokens) AS term, node_id FROM tx) GROUP BY ALL),
-dl AS (SELECT node_id, len(tokens) AS dl FROM tx),
+tx AS MATERIALIZED (SELECT 'v:' || doc_id AS node_id, doc_id AS num, list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}]+'), lambda w: w <> '') AS tokens FROM documents WHERE doc_id IN (SELECT vec_id FROM embeddings)),
+post AS MATERIALIZED (SELECT term, node_id, count(*) AS tf FROM (SELECT unnest(tokens) AS term, node_id FROM tx) GROUP BY ALL),
+dl AS MATERIALIZED (SELECT node_id, len(tokens) AS dl FROM tx),
 stat AS (SELECT count(*) AS n, avg(dl) AS avgdl FROM dl),
 dfs AS (SELECT term, count(*) AS df FROM post GROUP BY term),
-qt AS (SELECT DISTINCT 'q:' || num AS query_id, unnest(tokens[1:12]) AS term FROM tx WHERE num % 10 = 0),
-lex AS (SELECT query_id, node_id, sum(ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (1 - 0.75 + 0.75 * dl / avgdl))) AS score
+qt AS (SELECT DISTINCT 'q:' || num AS query_id, unnest(tokens) AS term FROM tx WHERE num % 10 = 0),
+lex AS MATERIALIZED (SELECT query_id, node_id, sum(ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (1 - 0.75 + 0.75 * dl / avgdl))) AS score
   FROM qt JOIN post USING (term) JOIN dfs USING (term) JOIN dl USING (node_id), stat GROUP BY ALL),
 """
 _LABELS = """
@@ -362,7 +362,7 @@ sec AS (SELECT query_id, direction, q, mate, unnest(list_distinct(list_filter([s
 ins AS (SELECT sec.*, node_id, num, row_number() OVER (PARTITION BY query_id, section_id ORDER BY num) AS k FROM sec JOIN homes USING (section_id)),
 us AS (SELECT *, CASE WHEN direction = 'NT' THEN num = q WHEN direction = 'HZ' THEN num = q OR coalesce(num = mate, false) ELSE k <= 5 END AS used FROM ins),
 gr AS (SELECT *, row_number() OVER (PARTITION BY query_id, section_id, used ORDER BY num) AS j FROM us),
-zero AS (SELECT query_id, c.node_id FROM q, c WHERE c.num < 60 AND NOT EXISTS (SELECT 1 FROM ins WHERE ins.query_id = q.query_id AND ins.node_id = c.node_id) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY c.num) <= 5),
+zero AS (SELECT query_id, c.node_id FROM q, c WHERE NOT EXISTS (SELECT 1 FROM ins WHERE ins.query_id = q.query_id AND ins.node_id = c.node_id) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY c.num) <= 5),
 labels AS (SELECT query_id, node_id, CAST(max(grade) AS INTEGER) AS grade FROM (SELECT query_id, node_id, CASE WHEN used THEN 2 ELSE 1 END AS grade FROM gr WHERE used OR j <= 5 UNION ALL SELECT query_id, node_id, 0 FROM zero) GROUP BY ALL),
 """
 _MEASURE = """,
@@ -375,6 +375,7 @@ SELECT '{name}' AS method, query_id, direction, CAST(k AS INTEGER) AS k, round(c
   round(coalesce(found / k, 0), 6) AS precision, round(coalesce(1.0 / first, 0), 6) AS mrr
 FROM idc LEFT JOIN got USING (query_id, k) JOIN q USING (query_id)
 """
+_PLAIN = ("b1_vector", "b2_bm25", "b3_hybrid", "td_cosine", "td_rrf", "td_mmr", "hz_cosine", "hz_rrf", "hz_filtered", "bu_parent", "bu_agg", "bu_rrf")
 _ALL, _THREE = _HZ.replace("{types}", "1000"), _HZ.replace("{types}", "3")
 _RUN = {
     "b1_vector": _BASE + _cut("cs", "cos"),

@@ -4,11 +4,14 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
-from .tables import load, words
+from .stored import stored
+from .tables import load
 
 #: Levels of structural nodes below the root; content hangs below the last.
 KINDS = ("book", "chapter", "lesson", "section", "subsection")
@@ -23,11 +26,11 @@ class Graph:
     closure: DataFrame  # anc_id, node_id, depth
     homes: DataFrame  # node_id, section_id
     structural: DataFrame  # node_id, kind, embedding
-    sem_edges: DataFrame  # src, dst, rel_type, weight
+    sem_edges: DataFrame  # src, dst, rel_type, weight, cross (whether no section holds both ends)
 
 
-_built: dict[tuple[str, str], Graph] = {}
-_asked: dict[tuple[str, str], tuple[DataFrame, DataFrame]] = {}
+#: Vectors in a block of the exact product behind semantic edges.
+EDGE_BLOCK = 4_096
 
 
 def closure_of(edges: DataFrame, levels: int = 5) -> DataFrame:
@@ -45,35 +48,90 @@ def kind_of(node: str = "node_id"):
     return F.element_at(F.create_map(*[F.lit(x) for k, v in zip("bclsu", KINDS) for x in (k, v)]), F.substring(node, 1, 1))
 
 
+def near_pairs(content: DataFrame, least: float, block: int = EDGE_BLOCK) -> DataFrame:
+    """(a, b, weight): pairs of content numbers a < b whose unit vectors have a cosine of at least `least`.
+
+    Exact, by matrix products of blocks of vectors: every pair of blocks is one bounded task and gives only the pairs at the
+    threshold. Its work grows with the square of the vectors; beyond some ten million `near_pairs_by_buckets` is the way.
+    """
+    n = max(1, -(-content.count() // block))
+    own = F.pmod(F.xxhash64("num"), F.lit(n)).cast("int")
+    dealt = content.select("num", "embedding", own.alias("own")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    dealt = dealt.select("num", "embedding", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+
+    def run(key, g: pd.DataFrame) -> pd.DataFrame:
+        i, j = (int(k) for k in key)
+        left, right = g[g["own"] == i], g[g["own"] == j]
+        if not len(left) or not len(right):
+            return pd.DataFrame({"a": [], "b": [], "weight": []})
+        x, y = np.stack(left["embedding"].to_numpy()), np.stack(right["embedding"].to_numpy())
+        p, q = left["num"].to_numpy(), right["num"].to_numpy()
+        out = []
+        for at in range(0, len(x), 512):
+            s = np.round(x[at : at + 512] @ y.T, 9)
+            u, v = np.nonzero(s >= least)
+            a, b = p[at + u], q[v]
+            keep = a < b if i == j else a != b
+            out.append(pd.DataFrame({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep], "weight": s[u, v][keep]}))
+        return pd.concat(out, ignore_index=True)
+
+    return dealt.groupBy("i", "j").applyInPandas(run, "a long, b long, weight double")
+
+
+def near_pairs_by_buckets(content: DataFrame, least: float, **options) -> DataFrame:
+    """The same, but only pairs that share a code of some hash table (see search.hyperplane_codes), exact cosines deciding."""
+    from ..operators.search import hyperplane_codes
+
+    bits = {"bits": 6, "tables": 16, "probes": 0, "seed": 42, "dim": 64} | options
+    codes = hyperplane_codes(content.select("num", "embedding"), "num", **bits)
+    pairs = codes.withColumnRenamed("num", "a").join(codes.withColumnRenamed("num", "b"), ["table", "bucket"]).where("a < b").select("a", "b").distinct()
+    one, two = content.select(F.col("num").alias("a"), F.col("embedding").alias("ea")), content.select(F.col("num").alias("b"), F.col("embedding").alias("eb"))
+    return pairs.join(one, "a").join(two, "b").select("a", "b", V.cosine("ea", "eb").alias("weight")).where(F.col("weight") >= least)
+
+
+GRAPH_TABLES = ("embeddings",)
+
+
 def graph_e(spark: SparkSession, sf_dir: str) -> Graph:
-    """Vectors as content under label and id remainders; every fifth vector has a second parent. Kept per session and folder."""
-    key = (spark.sparkContext.applicationId, sf_dir)
-    if key in _built:
-        return _built[key]
-    e = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("num"), F.col("label").cast("int").alias("label"), V.l2_normalise(F.col("embedding").cast("array<double>")).alias("embedding"))
-    content = e.select(F.concat(F.lit("v:"), "num").alias("node_id"), "num", "label", "embedding").persist()
-    sub = lambda label: F.concat_ws(":", F.lit("u"), label.cast("string"), F.pmod("num", F.lit(8)).cast("string"))
-    first = content.select(sub(F.col("label")).alias("parent_id"), F.col("node_id").alias("child_id"))
-    more = content.where("num % 5 = 0").select(sub((F.col("label") + 1) % 10).alias("parent_id"), F.col("node_id").alias("child_id"))
-    leaf = first.unionByName(more)
-    u = leaf.select(F.split("parent_id", ":").alias("p")).distinct().select(F.element_at("p", 2).cast("int").alias("a"), F.element_at("p", 3).cast("int").alias("m"))
+    """Vectors as content under label and id remainders; every fifth vector has a second parent. Its tables are stored."""
+    keep = lambda name, build: stored(spark, sf_dir, name, GRAPH_TABLES, build)
     name = lambda k, *xs: F.concat_ws(":", F.lit(k), *[x.cast("string") for x in xs])
-    a, m = F.col("a"), F.col("m")
-    layers = [(name("s", a, m % 4), name("u", a, m)), (name("l", a, m % 2), name("s", a, m % 4)), (name("c", a), name("l", a, m % 2)), (name("b", a % 3), name("c", a))]
-    links = u.select(F.explode(F.array(*[F.struct(p.alias("parent_id"), c.alias("child_id")) for p, c in layers])).alias("e")).select("e.*").distinct()
-    edges = leaf.unionByName(links).persist()
-    closure = closure_of(edges).persist()
+
+    def vectors() -> DataFrame:
+        e = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("num"), F.col("label").cast("int").alias("label"), V.l2_normalise(F.col("embedding").cast("array<double>")).alias("embedding"))
+        return e.select(F.concat(F.lit("v:"), "num").alias("node_id"), "num", "label", "embedding")
+
+    content = keep("content", vectors)
+
+    def structure() -> DataFrame:
+        sub = lambda label: name("u", label, F.pmod("num", F.lit(8)))
+        first = content.select(sub(F.col("label")).alias("parent_id"), F.col("node_id").alias("child_id"))
+        more = content.where("num % 5 = 0").select(sub((F.col("label") + 1) % 10).alias("parent_id"), F.col("node_id").alias("child_id"))
+        leaf = first.unionByName(more)
+        u = leaf.select(F.split("parent_id", ":").alias("p")).distinct().select(F.element_at("p", 2).cast("int").alias("a"), F.element_at("p", 3).cast("int").alias("m"))
+        a, m = F.col("a"), F.col("m")
+        layers = [(name("s", a, m % 4), name("u", a, m)), (name("l", a, m % 2), name("s", a, m % 4)), (name("c", a), name("l", a, m % 2)), (name("b", a % 3), name("c", a))]
+        links = u.select(F.explode(F.array(*[F.struct(p.alias("parent_id"), c.alias("child_id")) for p, c in layers])).alias("e")).select("e.*").distinct()
+        return leaf.unionByName(links)
+
+    edges = keep("struct_edges", structure)
+    closure = keep("closure", lambda: closure_of(edges))
     below = closure.where("node_id like 'v:%'")
-    homes = below.where("anc_id like 's:%'").select("node_id", F.col("anc_id").alias("section_id"))
-    vecs = below.join(content.select("node_id", "embedding"), "node_id").select("anc_id", "embedding")
-    structural = V.centroid(vecs, ["anc_id"]).select(F.col("anc_id").alias("node_id"), kind_of("anc_id").alias("kind"), "embedding").persist()
-    section = name("s", F.col("label"), F.col("num") % 4)
-    one = content.select(F.col("node_id").alias("src"), F.col("num").alias("na"), F.col("label").alias("la"), F.col("embedding").alias("ea"), section.alias("sa"))
-    two = content.select(F.col("node_id").alias("dst"), F.col("num").alias("nb"), F.col("label").alias("lb"), F.col("embedding").alias("eb"), section.alias("sb"))
-    pairs = one.join(two, (F.col("na") < F.col("nb")) & (F.col("sa") != F.col("sb"))).withColumn("weight", V.cosine("ea", "eb")).where(F.col("weight") >= EDGE_COSINE)
-    sem = pairs.select("src", "dst", F.concat(F.lit("r"), (F.col("la") + F.col("lb")) % 10).alias("rel_type"), "weight").persist()
-    _built[key] = Graph(content, edges, closure, homes, structural, sem)
-    return _built[key]
+    homes = keep("homes", lambda: below.where("anc_id like 's:%'").select("node_id", F.col("anc_id").alias("section_id")))
+
+    def summaries() -> DataFrame:
+        vecs = below.join(content.select("node_id", "embedding"), "node_id").select("anc_id", "embedding")
+        return V.centroid(vecs, ["anc_id"]).select(F.col("anc_id").alias("node_id"), kind_of("anc_id").alias("kind"), "embedding")
+
+    def relations() -> DataFrame:
+        at = homes.groupBy("node_id").agg(F.collect_set("section_id").alias("sections"))
+        c = content.select("num", "node_id", "label", name("s", F.col("label"), F.col("num") % 4).alias("section")).join(at, "node_id")
+        one = c.select(F.col("num").alias("a"), F.col("node_id").alias("src"), F.col("label").alias("la"), F.col("section").alias("sa"), F.col("sections").alias("in_a"))
+        two = c.select(F.col("num").alias("b"), F.col("node_id").alias("dst"), F.col("label").alias("lb"), F.col("section").alias("sb"), F.col("sections").alias("in_b"))
+        pairs = near_pairs(content, EDGE_COSINE).join(one, "a").join(two, "b").where("sa <> sb")
+        return pairs.select("src", "dst", F.concat(F.lit("r"), (F.col("la") + F.col("lb")) % 10).alias("rel_type"), "weight", (~F.arrays_overlap("in_a", "in_b")).alias("cross"))
+
+    return Graph(content, edges, closure, homes, keep("structural", summaries), keep("sem_edges", relations))
 
 
 def graph_s_edges(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
@@ -104,9 +162,6 @@ def queries_e(spark: SparkSession, sf_dir: str, g: Graph | None = None) -> tuple
     Grades: 2 for the nodes that the query is made of (at most five of a section), 1 for five more of their sections, 0 for
     five others; the highest counts.
     """
-    key = (spark.sparkContext.applicationId, sf_dir)
-    if key in _asked:
-        return _asked[key]
     g = g or graph_e(spark, sf_dir)
     c = g.content.withColumn("section_id", F.concat_ws(":", F.lit("s"), F.col("label").cast("string"), (F.col("num") % 4).cast("string")))
     n = c.count()
@@ -125,7 +180,8 @@ def queries_e(spark: SparkSession, sf_dir: str, g: Graph | None = None) -> tuple
     v = F.when(F.col("direction").isin("TD", "BU"), F.col("summary")).when((F.col("direction") == "HZ") & F.col("mate").isNotNull(), half("own", "mate_vec"))
     v = v.when((F.col("direction") == "CS") & F.col("other_summary").isNotNull(), half("summary", "other_summary")).otherwise(F.col("own"))
     base = base.withColumn("embedding", V.l2_normalise(V.rounded(V.l2_normalise(V.add(v, V.scale("far_vec", 0.5))))))
-    base = base.withColumn("query_id", F.concat(F.lit("q:"), "q")).persist()
+    base = base.withColumn("query_id", F.concat(F.lit("q:"), "q"))
+    base = stored(spark, sf_dir, "asked", GRAPH_TABLES, lambda base=base: base)
     queries = base.select("query_id", "direction", "embedding", F.col("q").alias("num"))
 
     d = F.col("direction")
@@ -136,9 +192,10 @@ def queries_e(spark: SparkSession, sf_dir: str, g: Graph | None = None) -> tuple
     used = F.when(F.col("direction") == "NT", F.col("num") == F.col("q")).when(F.col("direction") == "HZ", (F.col("num") == F.col("q")) | F.coalesce(F.col("num") == F.col("mate"), F.lit(False))).otherwise(F.col("k") <= 5)
     graded = inside.withColumn("used", used).withColumn("j", F.row_number().over(Window.partitionBy("query_id", "section_id", "used").orderBy("num")))
     graded = graded.where("used or j <= 5").select("query_id", "node_id", F.when(F.col("used"), 2).otherwise(1).alias("grade"))
-    low = g.content.where("num < 60").select("node_id", "num")
+    # a query's own sections hold at most `most` of the first nodes, so the first most + 5 nodes hold its five others
+    most = inside.groupBy("query_id").agg(F.countDistinct("node_id").alias("n")).agg(F.max("n")).first()[0] or 0
+    low = g.content.orderBy("num").limit(most + 5).select("node_id", "num")
     none = base.select("query_id").crossJoin(F.broadcast(low)).join(inside.select("query_id", "node_id").distinct(), ["query_id", "node_id"], "left_anti")
     none = none.withColumn("k", F.row_number().over(Window.partitionBy("query_id").orderBy("num"))).where("k <= 5").select("query_id", "node_id", F.lit(0).alias("grade"))
     qrels = graded.unionByName(none).groupBy("query_id", "node_id").agg(F.max("grade").cast("int").alias("grade"))
-    _asked[key] = queries.persist(), qrels.persist()
-    return _asked[key]
+    return queries, stored(spark, sf_dir, "qrels", GRAPH_TABLES, lambda: qrels)
