@@ -34,6 +34,42 @@ def test_main_text():
     assert main_text.main_text("only text") == "only text"
 
 
+def test_main_text_keeps_all_of_the_article():
+    long, more = "first part " * 20, "second part " * 25
+    text = lambda body: main_text.main_text(f"<html><body>{body}</body></html>").split("\n")
+    a, b = long.strip(), more.strip()
+    assert text(f"<p>{long}</p><aside>buy this now</aside><p>{more}</p>") == [a, b]
+    assert text(f'<h1>T</h1><p>{long}</p><div class="ad">buy</div><p>{more}</p>') == ["T", a, b]
+    assert text(f"<article><h2>one</h2><p>{long}</p></article><article><p>{more}</p></article>") == ["one", a, b]
+    assert text(f'<div class="page has-sidebar"><article><p>{long}</p></article></div>') == [a]
+    assert text(f'<div class="search-page"><p>{long}</p></div>') == [a]
+    assert text(f'<div class="sidebar"><article><p>{long}</p></article></div>') == [a]  # the frame of the only article
+    assert text(f'<article><p>{long}</p></article><section id="comments"><article class="comment"><p>{more}</p></article></section>') == [a]
+    assert text(f"<p>{long}</p><p>Short end.</p><div><a href=x>Home</a> <a href=y>About</a></div>") == [a, "Short end."]
+
+
+def test_main_text_is_linear():
+    import time
+
+    took = []
+    for n in (20_000, 40_000):
+        began = time.process_time()
+        assert main_text.main_text("<div>x" * n).count("x") == n
+        took.append(time.process_time() - began)
+    assert took[1] < 4 * took[0] + 0.5
+    big = "<article>" + "<p>some words of a long page</p>" * 160_000 + "</article>"
+    assert len(main_text.main_text(big)) == 160_000 * 26 - 1
+
+
+def test_extract_handles_nulls_repeats_and_no_rows(spark):
+    long = "a line that is long enough to be the main text of any page at all, and then some more of it"
+    rows = [(1, "u", f"<p>{long}</p>", "x"), (1, "u", f"<p>{long}</p>", "x"), (None, None, None, None), (2, "v", "", "y")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string, text string")  # text is replaced
+    got = sorted((str(r.page_id), r.text) for r in main_text.extract(pages).collect())
+    assert got == [("1", long), ("1", long), ("2", ""), ("None", "")]
+    assert main_text.extract(pages.limit(0)).count() == 0
+
+
 def test_salvage_recovers_later_records():
     recs = [warc.record("response", i, "u", b"x" * (50 + i), warc.digest(b"x" * (50 + i)), None, None) for i in range(5)]
     zipped = [warc.member(r) for r in recs]
