@@ -86,13 +86,51 @@ def test_salvage_recovers_later_records():
     assert warc.salvage(b"").records == [] and warc.salvage(data[:-5]).gaps
 
 
+def test_salvage_takes_linear_time():
+    import os
+    import time
+
+    took = []
+    for n in (4_000, 16_000):
+        data = b"".join(warc.member(warc.record("response", i, "u", p, warc.digest(p), None, None)) for i in range(n) for p in [os.urandom(700)])
+        data = data[:300] + b"\x1f\x8b\x08" * 2_000 + data[300:]
+        began = time.process_time()
+        got = warc.salvage(data)
+        took.append(time.process_time() - began)
+        assert len(got.records) == n - 1 and len(got.gaps) == 1
+    assert took[1] < 8 * took[0] + 0.5
+
+
 def test_archives_round_trip(spark, tmp_path):
-    rows = [(1, "a", "same"), (2, "b", "same"), (3, None, None), (4, "d", ""), (5, "e", "other é")]
-    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    rows = [(1, "a", "same"), (2, "b", "same"), (3, None, None), (4, "d", ""), (5, "e", "other é"), (6, "f", "same"), (6, "g", "more"), (None, "h", "same"), (None, "i", "alone"), (5, "e", "other é")]
+    pages = spark.createDataFrame([(*r, "x", i) for i, r in enumerate(rows)], "page_id long, url string, html string, __id string, refers_to int")
     files = warc.write_archives(pages, str(tmp_path / "w"))
-    got = {r.page_id: r for r in warc.read_archives(files, str(tmp_path / "w")).collect()}
-    assert {k: (r.record_type, r.refers_to, r.payload_bytes) for k, r in got.items()} == {1: ("response", None, 4), 2: ("revisit", 1, 4), 3: ("response", None, 0), 4: ("revisit", 3, 0), 5: ("response", None, 8)}
-    assert all(r.checked for r in got.values()) and got[2].payload_digest == warc.digest(b"same")
+    got = warc.verified(files, str(tmp_path / "w")).collect()
+    key = lambda x: str(x)
+    assert sorted(((r.page_id, r.payload_digest, r.record_type, r.refers_to, r.payload_bytes) for r in got), key=key) == sorted(((p, warc.digest((h or "").encode()), "revisit" if to else "response", to, len((h or "").encode())) for (p, _, h), to in zip(rows, [None, 1, None, 3, None, 1, None, 1, None, None])), key=key)
+    none = warc.write_archives(pages.limit(0), str(tmp_path / "n"))
+    assert warc.verified(none, str(tmp_path / "n")).count() == 0
+
+
+def test_lost_records_raise(spark, tmp_path):
+    pages = spark.createDataFrame([(i, "u", f"text {i} " * 40) for i in range(50)], "page_id long, url string, html string")
+    files = warc.write_archives(pages.coalesce(1), str(tmp_path / "w"))
+    path = files.first().path
+    data = bytearray(open(path, "rb").read())
+    data[len(data) // 2] ^= 0xFF
+    open(path, "wb").write(data)
+    rows = warc.read_archives(files, str(tmp_path / "w")).collect()
+    assert sum(r.gap_bytes is not None for r in rows) == 1 and sum(bool(r.checked) for r in rows) == 49
+    with pytest.raises(ValueError):
+        warc.verified(files, str(tmp_path / "w"))
+
+
+def test_archive_query_equals_its_sql(spark):
+    import duckdb
+
+    sf = "/root/testdata/sf0.001"
+    want = duckdb.sql(warc.ORACLES["op3_warc"].replace("FROM pages", f"FROM '{sf}/pages.parquet'")).fetchall()
+    assert sorted(map(str, warc.op3_warc(spark, sf).collect())) == sorted(str(r) for r in map(lambda x: __import__("pyspark").sql.Row(page_id=x[0], payload_bytes=x[1], payload_digest=x[2], record_type=x[3], refers_to=x[4]), want))
 
 
 def test_lattice_points_are_nearest():

@@ -19,7 +19,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, scratch_root, table
+from .common import delete, materialise, scratch_root, table, unused
 
 #: A file is closed beyond so many bytes; readers hold one file and one record in memory.
 FILE_BYTES = 32 << 20
@@ -32,9 +32,12 @@ def digest(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
-def record(kind: str, page_id: int, url: str, payload: bytes, sha: str, refers_to: int | None, refers_url: str | None) -> bytes:
+def record(kind: str, page_id: int | None, url: str, payload: bytes, sha: str, refers_to: int | None, refers_url: str | None) -> bytes:
     """One record. A revisit has no payload; it names the response that has the same."""
-    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <urn:page:{page_id}>", f"WARC-Date: {DATE}", f"WARC-Target-URI: {quote(url, safe=':/?#[]@!$&()*+,;=%~-._')}", f"WARC-Payload-Digest: sha1:{sha}", f"X-Page-ID: {page_id}", f"X-Payload-Length: {len(payload)}"]
+    name = f"urn:page:{page_id}" if page_id is not None else f"urn:uuid:{uuid.uuid4()}"
+    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <{name}>", f"WARC-Date: {DATE}", f"WARC-Target-URI: {quote(url, safe=':/?#[]@!$&()*+,;=%~-._')}", f"WARC-Payload-Digest: sha1:{sha}", f"X-Payload-Length: {len(payload)}"]
+    if page_id is not None:
+        head.append(f"X-Page-ID: {page_id}")
     if kind == "revisit":
         head += [f"WARC-Refers-To: <urn:page:{refers_to}>", "WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"]
         body = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
@@ -92,25 +95,29 @@ def parse(data: bytes, at: int = 0) -> tuple[dict[str, str], bytes, int]:
     return headers, block, begin + length + 4
 
 
-def inflate(data: bytes, at: int) -> tuple[bytes, int]:
-    """The gzip member at an offset and where it ends; length and checksum are checked."""
-    d = zlib.decompressobj(31)
+def inflate(data: bytes, at: int, piece: int = 1 << 14) -> tuple[bytes, int]:
+    """The gzip member at an offset and where it ends; length and checksum are checked. Fed in pieces, of which the last may hold more."""
+    d, out = zlib.decompressobj(31), []
     try:
-        out = d.decompress(memoryview(data)[at:])
+        while not d.eof:
+            if at >= len(data):
+                raise Damaged("member is cut")
+            out.append(d.decompress(data[at : at + piece]))
+            at = min(at + piece, len(data))
     except zlib.error as e:
         raise Damaged(f"member: {e}") from None
-    if not d.eof:
-        raise Damaged("member is cut")
-    return out, len(data) - len(d.unused_data)
+    return b"".join(out), at - len(d.unused_data)
 
 
 def salvage(data: bytes) -> Read:
     """All records of an archive, compressed or plain, that pass their checks.
 
     After a failed check the search goes on one byte further for the next gzip member or version line that starts a whole
-    record; the bytes between are logged as one gap. An empty archive has neither records nor gaps.
+    record; the bytes between are logged as one gap. An empty archive has neither records nor gaps. The next places of both
+    marks are kept until they are passed, so that no byte is searched twice.
     """
     out, at, bad, why = Read(), 0, None, ""
+    magic = version = -1
     while at < len(data):
         try:
             if data.startswith(_MAGIC, at):
@@ -125,9 +132,13 @@ def salvage(data: bytes) -> Read:
         except Damaged as e:
             if bad is None:
                 bad, why = at, str(e)
-            version = _VERSION.search(data, at + 1)
-            marks = [data.find(_MAGIC, at + 1), version.start() if version else -1]
-            at = min((m for m in marks if m > 0), default=len(data))
+            if magic <= at:
+                magic = data.find(_MAGIC, at + 1)
+                magic = len(data) if magic < 0 else magic
+            if version <= at:
+                m = _VERSION.search(data, at + 1)
+                version = m.start() if m else len(data)
+            at = min(magic, version)
             continue
         if bad is not None:
             out.gaps.append((bad, at - bad, why))
@@ -142,24 +153,30 @@ def salvage(data: bytes) -> Read:
 def with_types(pages: DataFrame, *, id_col: str = "page_id", html_col: str = "html", least: int = 0) -> DataFrame:
     """pages with refers_to: for payloads of at least `least` bytes, the smallest other page id with the same; else null.
 
-    The narrow table of ids and digests is grouped with partial sums; only digests that repeat are joined back, over salted
-    keys, so that a payload that a third of all pages share is spread over many tasks.
+    A row is told by its id and its payload, so that an id may have several payloads; rows that repeat both are alike. A null
+    id refers to the smallest id of its payload, if there is one. The narrow table of ids and digests is grouped with partial
+    sums; only digests that repeat are joined back, over salted keys, so that a payload that a third of all pages share is
+    spread over many tasks.
     """
+    id_, sha, n, first, salt, back = unused(pages, "__id", "__sha", "__n", "__first", "__salt", "__refers")
     payload = F.coalesce(F.col(html_col), F.lit("")).cast("binary")
-    narrow = pages.select(F.col(id_col).alias("__id"), F.sha1(payload).alias("__sha"), F.octet_length(payload).alias("__n")).where(F.col("__n") >= least)
-    first = narrow.groupBy("__sha").agg(F.min("__id").alias("__first"), F.count(F.lit(1)).alias("c")).where("c > 1").select("__sha", "__first")
+    narrow = pages.select(F.col(id_col).alias(id_), F.sha1(payload).alias(sha), F.octet_length(payload).alias(n)).where(F.col(n) >= least)
+    found = narrow.groupBy(sha).agg(F.min(id_).alias(first), F.count(F.lit(1)).alias(n)).where(F.col(n) > 1).select(sha, first)
     salts = 64
-    first = first.select("__sha", "__first", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("__salt"))
-    salted = narrow.withColumn("__salt", F.pmod(F.xxhash64("__id"), F.lit(salts)).cast("int"))
-    again = salted.join(first, ["__sha", "__salt"]).where(F.col("__id") > F.col("__first")).select("__id", F.col("__first").alias("refers_to")).distinct()
-    again = materialise(again, "revisits")
-    return pages.drop("refers_to").join(again, pages[id_col] == again["__id"], "left").drop("__id")
+    found = found.select(sha, first, F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias(salt))
+    salted = narrow.withColumn(salt, F.pmod(F.xxhash64(id_), F.lit(salts)).cast("int"))
+    again = salted.join(found, [sha, salt]).where(F.col(id_).isNull() | (F.col(id_) > F.col(first))).where(F.col(first).isNotNull())
+    again = materialise(again.select(id_, sha, F.col(first).alias(back)).distinct(), "revisits")
+    own = [c for c in pages.columns if c != "refers_to"]
+    tagged = pages.select(*own, F.sha1(payload).alias(salt))
+    return tagged.join(again, F.col(id_col).eqNullSafe(F.col(id_)) & (F.col(salt) == F.col(sha)), "left").select(*own, F.col(back).alias("refers_to"))
 
 
 def write_archives(pages: DataFrame, folder: str, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """Write a record per page (see with_types) as .warc.gz files into folder: (path, records, bytes) of each file.
 
-    A null html is an empty payload, a null url an empty one, a null id writes -1. Run once: the result is a written table.
+    A null html is an empty payload, a null url an empty one, a null id leaves its header out. Run once: the result is a
+    written table. Other columns are ignored; an empty table writes no file.
     """
 
     def run(it):
@@ -181,7 +198,7 @@ def write_archives(pages: DataFrame, folder: str, *, id_col: str = "page_id", ur
                 payload = (text.as_py() or "").encode("utf-8", "replace")
                 to = refers.as_py()
                 key = page.as_py()
-                data = member(record("response" if to is None else "revisit", -1 if key is None else key, url.as_py() or "", payload, digest(payload), to, None))
+                data = member(record("response" if to is None else "revisit", key, url.as_py() or "", payload, digest(payload), to, None))
                 buffer.append(data)
                 size, n = size + len(data), n + 1
                 if size >= FILE_BYTES:
@@ -217,7 +234,7 @@ def read_archives(files: DataFrame, folder: str) -> DataFrame:
                     stated, size = h.get("warc-payload-digest", "").removeprefix("sha1:"), int(h.get("x-payload-length", -1))
                     refers = h.get("warc-refers-to", "").removeprefix("<urn:page:").removesuffix(">")
                     fine = kind == "revisit" or digest(payload) == stated and len(payload) == size
-                    rows.append({"path": path, "at": a, "page_id": int(h.get("x-page-id", -1)), "record_type": kind, "refers_to": int(refers) if refers else None, "payload_bytes": size, "payload_digest": stated, "checked": fine, "url": h.get("warc-target-uri"), "payload": payload if kind != "revisit" else None})
+                    rows.append({"path": path, "at": a, "page_id": int(h["x-page-id"]) if "x-page-id" in h else None, "record_type": kind, "refers_to": int(refers) if refers else None, "payload_bytes": size, "payload_digest": stated, "checked": fine, "url": h.get("warc-target-uri"), "payload": payload if kind != "revisit" else None})
                 for k in range(0, len(rows), 200):
                     yield pa.RecordBatch.from_pylist(rows[k : k + 200], schema=_schema)
 
@@ -226,12 +243,29 @@ def read_archives(files: DataFrame, folder: str) -> DataFrame:
     return few.repartition(max(1, min(10_000, few.count()))).mapInArrow(run, _ROW)
 
 
+def verified(files: DataFrame, folder: str) -> DataFrame:
+    """The records of the archives without their payloads, as a written table; raises if any is damaged, lost, or not what its headers say."""
+    found = materialise(read_archives(files, folder).drop("payload"), "records")
+    wrote = files.agg(F.coalesce(F.sum("records"), F.lit(0))).first()[0]
+    gaps, whole = found.agg(F.count_if(F.col("gap_bytes").isNotNull()), F.count_if(F.coalesce("checked", F.lit(False)))).first()
+    if gaps or whole != wrote:
+        raise ValueError(f"{wrote} records were written, {whole} came back whole, with {gaps} gaps")
+    return found
+
+
 def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = f"{scratch_root(spark)}/warc-{uuid.uuid4().hex}"
     files = write_archives(table(spark, sf_dir, "pages").select("page_id", "url", "html"), folder)
-    found = read_archives(files, folder).where(F.col("record_type").isNotNull() & F.col("checked"))
+    found = verified(files, folder)
+    delete(spark, folder)
     return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 QUERIES = {"op3_warc": op3_warc}
-ORACLES: dict[str, str] = {}
+ORACLES = {
+    "op3_warc": """
+      WITH p AS (SELECT page_id, coalesce(html, '') AS payload FROM pages), h AS (SELECT page_id, payload, sha1(payload) AS sha, min(page_id) OVER (PARTITION BY payload) AS least FROM p)
+      SELECT page_id, CAST(octet_length(encode(payload)) AS BIGINT) AS payload_bytes,
+        array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', CAST(1 + ((CAST('0x' || substr(sha, CAST(i * 5 // 4 + 1 AS BIGINT), 2) AS INTEGER) >> CAST(3 - i * 5 % 4 AS INTEGER)) & 31) AS BIGINT), 1)), '') AS payload_digest,
+        CASE WHEN page_id > least THEN 'revisit' ELSE 'response' END AS record_type, CASE WHEN page_id > least THEN least END AS refers_to FROM h"""
+}
