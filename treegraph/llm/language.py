@@ -11,12 +11,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import remainder, table
+from .common import remainder, table, unused
 
-#: The sample per language: at most so many documents (of at most so many characters) and so many characters together.
+#: The sample per language: at most so many documents, of each at most so many characters (a window at a place chosen by hash), and so many together.
 SAMPLE_DOCS, SAMPLE_DOC_CHARS, SAMPLE_CHARS = 48, 8_000, 24_000
-#: A document is parsed in stretches of so many characters, at whose ends a phrase ends.
+#: Documents are parsed in stretches of so many characters at once; where a phrase runs over the end of one, its parse is mended.
 STRETCH = 1_024
+#: Transitions are looked up in a table of states times letters up to so many entries, else among sorted ones. Results are the same.
+DENSE = 16 << 20
 UNKNOWN = "und"
 _FOLD: list[np.ndarray] = []
 
@@ -43,8 +45,8 @@ def folded(text: str) -> np.ndarray:
     return c[keep]
 
 
-def suffix_automaton(codes: np.ndarray, letters: int) -> np.ndarray:
-    """Dense transitions of the smallest automaton of all substrings; state 0 is none, state 1 the start."""
+def suffix_automaton(codes: np.ndarray) -> list[dict[int, int]]:
+    """Transitions of the smallest automaton of all substrings, by state; state 0 is none, state 1 the start."""
     step: list[dict[int, int]] = [{}, {}]
     link, depth = [0, 0], [0, 0]
     last = 1
@@ -71,28 +73,50 @@ def suffix_automaton(codes: np.ndarray, letters: int) -> np.ndarray:
                     p = link[p]
                 link[q] = link[new] = twin
         last = new
-    out = np.zeros((len(step), letters), dtype=np.int32)
-    for s, arcs in enumerate(step):
-        for c, to in arcs.items():
-            out[s, c] = to
-    return out
+    return step
 
 
 @dataclass
 class Model:
     languages: list[str]
     alphabet: np.ndarray  # sorted code points; code 0 is any other
-    table: np.ndarray  # all automata behind each other, states times letters; entries point to row starts
-    start: np.ndarray  # row start of each language's first state
+    arcs: np.ndarray  # of all automata behind each other: state times letters plus code, ascending; at most three a character
+    ends: np.ndarray  # the state that each arc leads to
+    states: int
+    start: np.ndarray  # each language's first state
     rate: np.ndarray  # phrases a character that a language's own text takes
     size: int  # characters behind an automaton
 
+    def __getstate__(self):
+        return {k: v for k, v in self.__dict__.items() if k != "dense"}  # a worker makes its own
+
     def codes(self, points: np.ndarray) -> np.ndarray:
         at = np.minimum(np.searchsorted(self.alphabet, points), len(self.alphabet) - 1)
-        return np.where(self.alphabet[at] == points, at + 1, 0).astype(np.int32)
+        return np.where(self.alphabet[at] == points, at + 1, 0).astype(np.int64)
+
+    def step(self, state: np.ndarray, code: np.ndarray) -> np.ndarray:
+        """The state after a letter, 0 where there is none."""
+        letters = len(self.alphabet) + 1
+        if self.states * letters <= DENSE:
+            if "dense" not in self.__dict__:
+                self.dense = np.zeros(self.states * letters, dtype=np.int32)
+                self.dense[self.arcs] = self.ends
+            return self.dense.take(state * letters + code)
+        key = state * letters + code
+        at = np.minimum(np.searchsorted(self.arcs, key), len(self.arcs) - 1)
+        return np.where(self.arcs[at] == key, self.ends[at], 0)
+
+    def again(self, roots: np.ndarray, code: np.ndarray) -> np.ndarray:
+        """The state of a phrase that begins with a letter; after an unknown letter it is 0, so that the next begins another."""
+        return self.step(roots, code)
 
     def phrases(self, texts: list[np.ndarray]) -> np.ndarray:
-        """Phrases of each text (folded code points) for each language: (texts, languages)."""
+        """Phrases of each text (folded code points) for each language: (texts, languages).
+
+        A phrase is the longest match from where the last one ended. Stretches are parsed side by side as if a phrase began
+        at each; then the phrase that runs over the start of a stretch goes on until both parses begin a phrase at the same
+        place, from where they agree, and the count is put right.
+        """
         sizes = np.array([len(t) for t in texts], dtype=np.int64)
         out = np.zeros((len(texts), len(self.languages)))
         if not sizes.sum():
@@ -104,22 +128,52 @@ class Model:
         begin = np.repeat(np.cumsum(sizes) - sizes, per) + nth * STRETCH
         length = np.minimum(STRETCH, np.repeat(sizes, per) - nth * STRETCH)
         order = np.argsort(-length, kind="stable")
-        owner, begin, length = owner[order], begin[order], length[order]
-        active = np.searchsorted(-length, -np.arange(length[0]), "left")  # stretches longer than t
-        roots = self.start[:, None]
-        state = np.repeat(roots, len(owner), axis=1)
-        count = np.ones((len(self.languages), len(owner)), dtype=np.int32)
-        for t, m in enumerate(active.tolist()):
-            c = codes[begin[:m] + t]
-            to = self.table.take(state[:, :m] + c)
-            dead = to == 0
-            again = self.table.take(roots + c)
-            np.copyto(to, np.where(again == 0, roots, again), where=dead)
-            if t:
-                count[:, :m] += dead
-            state[:, :m] = to
+        active = np.searchsorted(-length[order], -np.arange(length.max()), "left")  # stretches longer than t
         for k in range(len(self.languages)):
-            out[:, k] = np.bincount(owner, weights=count[k], minlength=len(texts))
+            root = self.start[k]
+            state = np.full(len(owner), root, dtype=np.int64)
+            fresh = np.zeros(len(codes), dtype=bool)  # a phrase begins here
+            fresh[begin] = True
+            for t, m in enumerate(active.tolist()):
+                at = order[:m]
+                c = codes[begin[at] + t]
+                to = self.step(state[at], c)
+                dead = np.flatnonzero(to == 0)
+                if len(dead):
+                    to[dead] = self.again(np.full(len(dead), root, dtype=np.int64), c[dead])
+                    if t:
+                        fresh[begin[at[dead]] + t] = True
+                state[at] = to
+            count = np.add.reduceat(fresh.astype(np.int64), begin)
+            # the phrase from before each stretch goes on into it
+            late = np.flatnonzero(nth > 0)
+            carried = state[late - 1]
+            while len(late):
+                go, more = np.arange(len(late)), np.zeros(len(late), dtype=np.int64)
+                for t in range(STRETCH):
+                    inside = t < length[late[go]]
+                    go = go[inside]
+                    if not len(go):
+                        break
+                    place = begin[late[go]] + t
+                    c = codes[place]
+                    to = self.step(carried[go], c)
+                    dead = to == 0
+                    if dead.any():
+                        to[dead] = self.again(np.full(int(dead.sum()), root, dtype=np.int64), c[dead])
+                    same = dead & fresh[place]
+                    more[go] += np.where(same, 0, dead.astype(np.int64) - fresh[place])
+                    fresh[place] = dead  # what is true now
+                    carried[go] = to
+                    go = go[~same]
+                count[late] += more
+                state[late[go]] = carried[go]
+                # where the parses never met, the next stretch was entered in another state than thought
+                moved = late[go] + 1
+                moved = moved[moved < len(owner)]
+                late = moved[nth[moved] > 0]
+                carried = state[late - 1]
+            out[:, k] = np.bincount(owner, weights=count, minlength=len(texts))
         return out
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray, np.ndarray]:
@@ -151,32 +205,44 @@ def learn(texts: dict[str, list[str]]) -> Model:
                 room -= len(p) + 1
         parts[lang], rest[lang] = np.concatenate([np.append(p, 32) for p in taken]), held
     languages = list(parts)
+    none = np.zeros(0, dtype=np.int64)
     if not languages:
-        return Model([], np.zeros(1, dtype=np.uint32), np.zeros(1, dtype=np.int32), np.zeros(0, dtype=np.int32), np.ones(0), 0)
+        return Model([], np.zeros(1, dtype=np.uint32), none, none, 0, none, np.ones(0), 0)
     size = min(len(p) for p in parts.values())  # the same amount of text for each language
     alphabet = np.unique(np.concatenate([p for p in parts.values()]))
     letters = len(alphabet) + 1
-    model = Model(languages, alphabet, np.zeros(0, dtype=np.int32), np.zeros(0, dtype=np.int32), np.ones(len(languages)), size)
-    tables, starts, at = [], [], 0
+    model = Model(languages, alphabet, none, none, 0, none, np.ones(len(languages)), size)
+    arcs, ends, starts, at = [], [], [], 0
     for lang in languages:
-        t = suffix_automaton(model.codes(parts[lang]), letters)
-        tables.append(np.where(t > 0, t * letters + at, 0).ravel())
-        starts.append(at + letters)
-        at += t.size
-    model.table, model.start = np.concatenate(tables).astype(np.int32), np.array(starts, dtype=np.int32)
+        step = suffix_automaton(model.codes(parts[lang]))
+        arcs.append(np.array([(at + s) * letters + c for s, x in enumerate(step) for c in x], dtype=np.int64))
+        ends.append(np.array([at + to for x in step for to in x.values()], dtype=np.int64))
+        starts.append(at + 1)
+        at += len(step)
+    arcs, ends = np.concatenate(arcs), np.concatenate(ends)
+    order = np.argsort(arcs)
+    model.arcs, model.ends, model.states, model.start = arcs[order], ends[order], at, np.array(starts, dtype=np.int64)
     for k, lang in enumerate(languages):
         model.rate[k] = model.phrases(rest[lang])[:, k].sum() / max(1, sum(map(len, rest[lang])))
     return model
 
 
 def fit(labelled: DataFrame, *, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id", docs: int = SAMPLE_DOCS) -> Model:
-    """Learn from a bounded sample of the labelled rows: per language the docs first in the order of a hash of their id."""
-    rows = labelled.select(F.col(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("h"))
-    rows = rows.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).where(F.length("text") <= SAMPLE_DOC_CHARS)
-    w = Window.partitionBy("lang").orderBy("h", "text")
-    found: dict[str, list[str]] = {}
-    for r in rows.withColumn("k", F.row_number().over(w)).where(F.col("k") <= docs).orderBy("lang", "k").collect():
-        found.setdefault(r["lang"], []).append(r["text"])
+    """Learn from a bounded sample of the labelled rows: per language the docs first in the order of a hash of their id and text.
+
+    Of a long text a window of SAMPLE_DOC_CHARS characters is taken, at a place by its hash. Rows without a text or a language
+    teach nothing; equal rows count once each; a table without labelled rows gives a model of no languages.
+    """
+    h = F.xxhash64(F.col(id_col), F.col(text_col))
+    rows = labelled.select(F.col(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang"), h.alias("h")).where(F.col("lang").isNotNull() & F.col("text").isNotNull())
+    room = F.greatest(F.length("text") - SAMPLE_DOC_CHARS, F.lit(0))
+    window = F.substring("text", (F.pmod(F.col("h"), room + 1) + 1).cast("int"), F.lit(SAMPLE_DOC_CHARS))
+    # each task keeps its own first rows before they move; then the first of all
+    first = F.slice(F.array_sort(F.collect_list(F.struct("h", "window"))), 1, docs)
+    part = rows.select("lang", "h", window.alias("window")).withColumn("p", F.spark_partition_id())
+    w = Window.partitionBy("lang", "p").orderBy("h", "window")
+    few = part.withColumn("k", F.row_number().over(w)).where(F.col("k") <= docs)
+    found = {r["lang"]: [x["window"] for x in r["first"]] for r in few.groupBy("lang").agg(first.alias("first")).collect()}
     return learn(found)
 
 
@@ -184,7 +250,8 @@ def identify(docs: DataFrame, model: Model, *, text_col: str = "text") -> DataFr
     """docs with lang_pred, score (0 to 1) and strange added (columns of these names are replaced).
 
     strange is the normalised number of phrases a character: about 1 for ordinary text of the language. A null text or one
-    without a letter gives und, 0 and 0. Whole texts are parsed; equal texts get equal results.
+    without a letter gives und, 0 and 0. Whole texts are parsed; equal texts get equal results; of languages that need equally
+    few phrases the first by name wins. Other columns stay as they are; an empty table gives an empty result.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
@@ -206,7 +273,8 @@ def identify(docs: DataFrame, model: Model, *, text_col: str = "text") -> DataFr
         return pa.StructArray.from_arrays([pa.array(langs, pa.string()), one(scores), one(strange)], ["lang_pred", "score", "strange"])
 
     own = [c for c in docs.columns if c not in ("lang_pred", "score", "strange")]
-    return docs.select(*own, parse(F.col(text_col)).alias("__p")).select(*own, "__p.*")
+    (name,) = unused(docs, "__p")
+    return docs.select(*own, parse(F.col(text_col)).alias(name)).select(*own, f"{name}.*")
 
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
