@@ -108,31 +108,84 @@ def test_lines_match_brute_force(spark):
     assert got == want
 
 
-def test_leaks_with_substitutions(spark):
+TOKEN = re.compile(r"[^\W_]+")
+
+
+def leaks(docs, items):
+    """(doc, item, agreeing, compared) by comparing all diagonals."""
+    out = set()
+    for d, text in docs:
+        w = TOKEN.findall((text or "").lower())
+        for i, passage in items:
+            x = TOKEN.findall((passage or "").lower())
+            if not w or not x or len(x) >= 8 > len(w) or len(x) < 4 and len(x) != len(w):
+                continue
+            c = len(x) if len(x) < 8 else min(len(x), len(w), 20)
+            best = 0
+            for s in range(-len(x) + 1, len(w)):
+                eq = [0 <= j + s < len(w) and w[j + s] == x[j] for j in range(len(x))]
+                best = max(best, max(sum(eq[k : k + c]) for k in range(len(x) - c + 1)))
+            if best * 100 >= c * (100 if c < 8 else 80):
+                out.add((d, i, best, c))
+    return out
+
+
+def leak_tables():
     rng = random.Random(1)
     word = lambda: "".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 9)))
-    items = [(i, " ".join(word() for _ in range(rng.choice([5, 9, 12, 30, 45])))) for i in range(40)] + [(40, None), (41, "")]
-    rows, leaks = [(0, None), (1, ""), (2, "." * 50)], set()
-    for i in range(3, 150):
-        text = [word() for _ in range(rng.randint(5, 200))]
-        if i % 3 == 0:
-            item = rng.choice([t for _, t in items if t and len(t.split()) >= 9]).split()
-            for _ in range(len(item) // 12):
-                item[rng.randrange(len(item))] = word()
-            at = rng.randrange(len(text))
-            text[at:at] = [x.upper() + "," if rng.random() < 0.3 else x for x in item]
-            leaks.add(i)
+    items = [(i, " ".join(word() for _ in range(n))) for i, n in enumerate([1, 2, 3, 4, 5, 7, 8, 9, 10, 11, 12, 13, 14, 15, 16, 17, 18, 19, 20, 21, 30, 45])] + [(40, None), (41, ""), (3, "an other one of id three")]
+    rows = [(0, None), (1, ""), (2, "." * 50)]
+    for i in range(3, 400):
+        text = [word() for _ in range(rng.choice([0, 3, 9, 60]))]
+        item = rng.choice([t for _, t in items if t]).split()
+        if rng.random() < 0.3:
+            item = item[rng.randrange(len(item)) :]
+        for k in rng.sample(range(len(item)), min(len(item), rng.choice([0, len(item) // 5, len(item) // 4]))):
+            item[k] = word()
+        at = rng.randint(0, len(text))
+        text[at:at] = [x.upper() + "," if rng.random() < 0.3 else x for x in item]
         rows.append((i, " ".join(text)))
-    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    return rows + rows[50:53] + [(60, "other text"), (None, rows[60][1])], items
+
+
+@pytest.mark.parametrize("broadcast", [True, False])
+def test_leaks_match_brute_force(spark, monkeypatch, broadcast):
+    if not broadcast:
+        monkeypatch.setattr(decontaminate, "BROADCAST_ROWS", 10)
+        monkeypatch.setattr(decontaminate, "ANCHORS", 10)
+    rows, items = leak_tables()
+    docs = spark.createDataFrame([(*r, 0, "x") for r in rows], "doc_id long, text string, __rk int, words string")
     bench = spark.createDataFrame(items, "item_id long, text string")
-    found = {r.doc_id for r in decontaminate.contaminated(docs, bench).collect()}
-    assert found <= leaks and len(found) >= 0.9 * len(leaks)
-    kept = {r.doc_id for r in decontaminate.remove_contaminated(docs, bench).collect()}
-    assert kept == {i for i, _ in rows} - found
+    want = leaks(sorted(set(rows), key=str), items)
+    found = decontaminate.overlaps(docs, bench).select("doc_id", "item_id", "agreeing", "compared").collect()
+    assert sorted(map(tuple, found), key=str) == sorted(want, key=str) and len(want) > 100
+    kept = decontaminate.remove_contaminated(docs, bench)
+    bad = {d for d, *_ in want}
+    assert kept.columns == docs.columns
+    assert sorted((r.doc_id for r in kept.collect()), key=str) == sorted((d for d, t in rows if not (d in bad and any(x[0] == d for x in leaks([(d, t)], items)))), key=str)
     plan = decontaminate.contaminated(docs, bench)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
 
 
+def test_masks_miss_no_overlap():
+    from itertools import combinations
+
+    for least, masks in decontaminate.MASKS.items():
+        for n in {least, 20 if least == 15 else least}:
+            may = n - -(-n * decontaminate.AGREE_PERCENT // 100)
+            for gone in combinations(range(n), may):
+                assert any(all(s + k not in gone for k in decontaminate.ones(m)) for m in masks for s in range(n - len(m) + 1))
+
+
+def test_leak_query_equals_its_sql(spark):
+    import duckdb
+
+    sf = "/root/testdata/sf0.001"
+    sql = decontaminate.ORACLES["op6_decontamination"].replace("FROM documents", f"FROM '{sf}/documents.parquet'").replace("FROM benchmark", f"FROM '{sf}/benchmark.parquet'")
+    got = sorted(map(tuple, decontaminate.op6_decontamination(spark, sf).collect()))
+    assert got == sorted(duckdb.sql(sql).fetchall()) and got
+
+
 def test_short_lines_that_repeat_go(spark):
     table = spark.createDataFrame([(1, "Les.\n\nErheed. Titionly."), (2, "les.\n\nother"), (3, "Erheed. Titionly.\nLes.")], "doc_id long, text string")
     got = {r.doc_id: (r.text, r.n_removed) for r in line_dedup.dedup_lines(table).collect()}
