@@ -20,7 +20,7 @@ def rank_within(df: DataFrame, score: str, out: str, by: str = "query_id", ties:
 
 def cut(df: DataFrame, k: int, score: str = "score") -> DataFrame:
     """The first k of each query by score, then node: the plan keeps k a partition before the shuffle."""
-    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "node_id")
+    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "node_id")  # of the rounded score
     return df.select("query_id", "node_id", F.round(score, 9).alias("score")).withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 

@@ -212,7 +212,9 @@ def topk_arrow(spark, d):
 
 
 def queries_table(spark, d):
-    return queries_e(spark, d)[0].select("query_id", "direction", F.round(V.dot("embedding", "embedding"), 6).alias("length"))
+    """Every component of every query's vector."""
+    q = queries_e(spark, d)[0].select("query_id", "direction", F.posexplode("embedding").alias("place", "value"))
+    return q.select("query_id", "direction", (F.col("place") + 1).cast("long").alias("place"), F.round("value", 6).alias("value"))
 
 
 def qrels_table(spark, d):
@@ -375,26 +377,85 @@ SELECT '{name}' AS method, query_id, direction, CAST(k AS INTEGER) AS k, round(c
   round(coalesce(found / k, 0), 6) AS precision, round(coalesce(1.0 / first, 0), 6) AS mrr
 FROM idc LEFT JOIN got USING (query_id, k) JOIN q USING (query_id)
 """
-_PLAIN = ("b1_vector", "b2_bm25", "b3_hybrid", "td_cosine", "td_rrf", "td_mmr", "hz_cosine", "hz_rrf", "hz_filtered", "bu_parent", "bu_agg", "bu_rrf")
+_CENTROID = """
+ends AS (SELECT rel_type, src AS node_id FROM sem UNION ALL SELECT rel_type, dst FROM sem),
+cen AS MATERIALIZED (SELECT rel_type, list(x ORDER BY i) AS v FROM (SELECT rel_type, i, round(avg(emb[i]), 6) AS x FROM ends JOIN c USING (node_id), generate_series(1, 64) AS t(i) GROUP BY rel_type, i) GROUP BY rel_type),
+near_type AS MATERIALIZED (SELECT query_id, rel_type FROM (SELECT query_id, rel_type, round(list_dot_product(q.emb, list_transform(cen.v, lambda x: x / sqrt(list_dot_product(cen.v, cen.v)))), 9) AS cos FROM q, cen)
+  QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cos DESC, rel_type) <= 3),
+"""
 _ALL, _THREE = _HZ.replace("{types}", "1000"), _HZ.replace("{types}", "3")
-_RUN = {
-    "b1_vector": _BASE + _cut("cs", "cos"),
-    "td_cosine": _BASE + _TD + _cut("tc", "cos"),
-    "td_rrf": _BASE + _TD + _fused("tc", "cos", "seed_score"),
-    "hz_cosine": _BASE + _ALL + _cut("hc", "cos"),
-    "hz_rrf": _BASE + _ALL + _fused("hc", "seed_score", "cos"),
-    "hz_filtered": _BASE + _THREE + _cut("hc", "cos"),
-    "bu_parent": _BASE + _BU + _kids("cos"),
-    "bu_agg": _BASE + _BU + _kids("agg_score"),
-    "bu_rrf": _BASE + _BU + _kids("fused"),
-    "bu_parents_agg": _BASE + _BU + _cut("pr", "agg_score", name="parent_id"),
-    "b2_bm25": "WITH " + _LEX.lstrip() + _cut("lex", "score"),
-    "b3_hybrid": _BASE + _LEX + _cut("cs", "cos", 100).replace("run AS", "r1 AS", 1) + ", " + _cut("lex", "score", 100).replace("run AS", "r2 AS", 1)
-    + ", uni AS (SELECT query_id, node_id, sum(1.0 / (60 + rank)) AS score FROM (SELECT query_id, node_id, rank FROM r1 UNION ALL SELECT query_id, node_id, rank FROM r2) GROUP BY ALL), " + _cut("uni", "score"),
+_NEAREST = _CENTROID + _ALL.replace("rel_type IN (SELECT rel_type FROM types)", "EXISTS (SELECT 1 FROM near_type nt WHERE nt.query_id = hs.query_id AND nt.rel_type = ways.rel_type)")
+
+
+def _diverse(k: int = 10, pool: int = 50, lam: float = 0.7) -> str:
+    """SQL for maximal marginal relevance over the fused candidates: one pick of each query after another."""
+    r = "(1.0 / (60 + rank() OVER (PARTITION BY query_id ORDER BY {} DESC)))"
+    out = f"""fz AS MATERIALIZED (SELECT query_id, node_id, {r.format("cos")} + {r.format("seed_score")} AS fused FROM tc),
+pool AS MATERIALIZED (SELECT query_id, node_id, round(fused, 9) AS score, row_number() OVER (PARTITION BY query_id ORDER BY fused DESC, node_id) AS rank FROM fz QUALIFY rank <= {pool}),
+s0 AS MATERIALIZED (SELECT query_id, node_id, rank, score / max(score) OVER (PARTITION BY query_id) AS rel, emb, 0.0::DOUBLE AS worst, false AS taken FROM pool JOIN c USING (node_id)),"""
+    for i in range(1, k + 1):
+        most = "list_dot_product(s.emb, p.emb)" if i == 1 else "greatest(worst, list_dot_product(s.emb, p.emb))"
+        out += f"""
+p{i} AS MATERIALIZED (SELECT query_id, node_id, emb, round({lam} * rel - {1 - lam} * worst, 9) AS value FROM s{i - 1} WHERE NOT taken QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY value DESC, rank) = 1),
+s{i} AS MATERIALIZED (SELECT s.query_id, s.node_id, rank, rel, s.emb, {most} AS worst, taken OR s.node_id = p.node_id AS taken FROM s{i - 1} s JOIN p{i} p USING (query_id)),"""
+    picks = " UNION ALL ".join(f"SELECT query_id, node_id, value AS score, {i} AS rank FROM p{i}" for i in range(1, k + 1))
+    return out + f"\nrun AS ({picks})"
+
+
+_HYBRID = _cut("cs", "cos", 100).replace("run AS", "r1 AS", 1) + ", " + _cut("lex", "score", 100).replace("run AS", "r2 AS", 1) + """,
+uni AS (SELECT query_id, node_id, sum(1.0 / (60 + rank)) AS score FROM (SELECT query_id, node_id, rank FROM r1 UNION ALL SELECT query_id, node_id, rank FROM r2) GROUP BY ALL), """ + _cut("uni", "score")
+#: What each method needs besides the graph and the queries.
+_PARTS = {
+    "b1_vector": _cut("cs", "cos"),
+    "b2_bm25": _LEX + _cut("lex", "score"),
+    "b3_hybrid": _LEX + _HYBRID,
+    "td_cosine": _TD + _cut("tc", "cos"),
+    "td_rrf": _TD + _fused("tc", "cos", "seed_score"),
+    "td_mmr": _TD + _diverse(),
+    "hz_cosine": _ALL + _cut("hc", "cos"),
+    "hz_rrf": _ALL + _fused("hc", "seed_score", "cos"),
+    "hz_filtered": _THREE + _cut("hc", "cos"),
+    "bu_parent": _BU + _kids("cos"),
+    "bu_agg": _BU + _kids("agg_score"),
+    "bu_rrf": _BU + _kids("fused"),
+    "bu_parents_agg": _BU + _cut("pr", "agg_score", name="parent_id"),
+    "hz_centroid": _NEAREST + _cut("hc", "cos"),
+}
+_RUN = {k: _BASE + v for k, v in _PARTS.items()}
+#: The runs of all methods: each in a query of its own inside, over the graph and the queries outside.
+_RUNS = "runs AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT '{k}' AS method, query_id, node_id, rank FROM (WITH {_PARTS[k]} SELECT query_id, node_id, rank FROM run)" for k in METHODS) + "),"
+_PER_QUERY = _BASE + _LABELS + _RUNS + """
+ks AS (SELECT unnest([1, 3, 5, 10]) AS k),
+idl AS (SELECT query_id, grade, row_number() OVER (PARTITION BY query_id ORDER BY grade DESC, node_id) AS r FROM labels WHERE grade > 0),
+idc AS (SELECT query_id, k, sum(CASE WHEN r <= k THEN grade / log2(r + 1) ELSE 0 END) AS idcg, count(*) AS n_rel FROM idl, ks GROUP BY ALL),
+hit AS (SELECT method, query_id, k, rank, coalesce(grade, 0) AS grade FROM runs LEFT JOIN labels USING (query_id, node_id), ks WHERE rank <= k),
+got AS (SELECT method, query_id, k, sum(grade / log2(rank + 1)) AS dcg, count(*) FILTER (grade >= 1) AS found, min(rank) FILTER (grade >= 1) AS first FROM hit GROUP BY ALL),
+pq AS MATERIALIZED (SELECT method, query_id, direction, CAST(k AS INTEGER) AS k, coalesce(dcg / idcg, 0) AS ndcg, coalesce(found / n_rel, 0) AS recall, coalesce(found / k, 0) AS precision, coalesce(1.0 / first, 0) AS mrr
+  FROM (SELECT * FROM (SELECT DISTINCT method FROM runs), idc) LEFT JOIN got USING (method, query_id, k) JOIN q USING (query_id)),
+by_k AS MATERIALIZED (SELECT method, k, round(avg(ndcg), 6) AS ndcg, round(avg(recall), 6) AS recall, round(avg(precision), 6) AS precision, round(avg(mrr), 6) AS mrr, count(*) AS n_queries FROM pq GROUP BY method, k)
+"""
+_EVAL = {
+    "eval_overall": "SELECT method, ndcg, recall, precision, mrr, n_queries FROM by_k WHERE k = 10",
+    "eval_cutoffs": "SELECT * FROM by_k",
+    "eval_directions": "SELECT method, " + ", ".join(f"round(avg(ndcg) FILTER (direction = '{x}'), 6) AS {x}" for x in ("TD", "HZ", "BU", "NT", "CS")) + " FROM pq WHERE k = 10 GROUP BY method",
+    "gain_by_k": "SELECT a.method, a.k, round((a.ndcg - b.ndcg) * 100, 4) AS points FROM by_k a JOIN by_k b ON a.k = b.k AND b.method = 'b1_vector'",
+    "variant_deltas": "SELECT one, two, round((b.ndcg - a.ndcg) * 100, 4) AS points FROM (VALUES " + ", ".join(f"('{x}', '{y}')" for x, y in PAIRS) + ") AS v(one, two) JOIN by_k a ON a.method = one AND a.k = 10 JOIN by_k b ON b.method = two AND b.k = 10",
+    "method_order": "SELECT a.method, a.ndcg, CAST(row_number() OVER (ORDER BY a.ndcg DESC, a.method) AS INTEGER) AS place, round((a.ndcg - b.ndcg) * 100, 4) AS points FROM by_k a, by_k b WHERE a.k = 10 AND b.k = 10 AND b.method = 'b1_vector'",
 }
-ORACLES = {k: v + _OUT for k, v in _RUN.items()} | {
+_DIALOGUE = r"""
+WITH conv AS (SELECT conv_id, turn, role, list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}]+'), lambda w: w <> '') AS tokens FROM conversations WHERE text IS NOT NULL),
+rep AS MATERIALIZED (SELECT 't:' || conv_id || ':' || turn AS node_id, tokens FROM conv WHERE role = 'assistant'),
+ask AS MATERIALIZED (SELECT 'q:' || conv_id || ':' || turn AS query_id, 't:' || conv_id || ':' || (turn + 1) AS own, tokens FROM conv WHERE role = 'user' AND 't:' || conv_id || ':' || (turn + 1) IN (SELECT node_id FROM rep)),
+post AS MATERIALIZED (SELECT term, node_id, count(*) AS tf FROM (SELECT unnest(tokens) AS term, node_id FROM rep) GROUP BY ALL),
+stat AS (SELECT count(*) AS n, avg(len(tokens)) AS avgdl FROM rep), dfs AS (SELECT term, count(*) AS df FROM post GROUP BY term),
+qt AS (SELECT DISTINCT query_id, unnest(tokens) AS term FROM ask),
+lex AS (SELECT query_id, node_id, sum(ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (1 - 0.75 + 0.75 * len(tokens) / avgdl))) AS score FROM qt JOIN post USING (term) JOIN dfs USING (term) JOIN rep USING (node_id), stat GROUP BY ALL),
+top AS (SELECT query_id, node_id, row_number() OVER (PARTITION BY query_id ORDER BY round(score, 9) DESC, node_id) AS rank FROM lex QUALIFY rank <= 10)
+SELECT ask.query_id, CAST(rank AS INTEGER) AS rank FROM ask LEFT JOIN top ON top.query_id = ask.query_id AND top.node_id = own"""
+ORACLES = {k: v + _OUT for k, v in _RUN.items()} | {k: _PER_QUERY + v for k, v in _EVAL.items()} | {
     "topk_arrow": _RUN["b1_vector"] + _OUT,
-    "queries_e": _BASE.rstrip().rstrip(",") + " SELECT query_id, direction, round(list_dot_product(emb, emb), 6) AS length FROM q",
+    "queries_e": _BASE.rstrip().rstrip(",") + " SELECT query_id, direction, i AS place, round(emb[i], 6) AS value FROM q, generate_series(1, 64) AS t(i)",
+    "dialogue_bm25": _DIALOGUE,
     "qrels_e": _BASE + _LABELS.rstrip().rstrip(",") + " SELECT query_id, node_id, grade FROM labels",
     "match_sections": _BASE + _TD.rstrip().rstrip(",") + " SELECT query_id, section_id, seed_score FROM ms",
     "parent_scores": _BASE + _BU.rstrip().rstrip(",") + " SELECT query_id, parent_id, round(cos, 6) AS cos, round(agg_score, 6) AS agg_score, n_children, n_above FROM ps",
