@@ -63,9 +63,9 @@ def test_union_find():
 def test_validator_names_the_step(spark):
     o = spark.createDataFrame([("part_of", [1.0, 0.0]), ("before", [0.0, 1.0])], "rel_type string, centroid array<double>")
     p = spark.createDataFrame([("Part Of", [0.0, -1.0], 9), ("within", [0.99, 0.14], 9), ("rare", [-1.0, 0.0], 1), ("new", [-1.0, 0.0], 3)], "name string, embedding array<double>, support int")
-    got = {r.name: (r.step, r.verdict, r.alias_of) for r in construct.validate_types(p, o).collect()}
+    got = {r.name: (r.step, r.verdict, r.alias_of) for r in construct.validate_types(p, o, weak=None, strong=None).collect()}
     assert got == {"Part Of": (1, "alias", "part_of"), "within": (2, "alias", "part_of"), "rare": (3, "rejected", None), "new": (0, "accepted", None)}
-    judged = construct.validate_types(p, o, strong=lambda j: F.col("name") != "new")
+    judged = construct.validate_types(p, o, weak=None, strong=lambda j: F.col("name") != "new")
     assert {r.name: r.step for r in judged.collect()}["new"] == 5
 
 

@@ -2,8 +2,14 @@
 
 from __future__ import annotations
 
+import re
+import uuid
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType
 
 from ..sources.tables import load
 
@@ -104,9 +110,9 @@ def join_left(s, d):
     return T(s, d, "embeddings", "vec_id").join(T(s, d, "documents", "doc_id", "n_chars"), D("vec_id") == D("doc_id"), "left").select("vec_id", "n_chars")
 
 
-@op("SELECT vec_id, doc_id FROM (SELECT vec_id FROM embeddings WHERE vec_id % 3 = 0) FULL JOIN (SELECT doc_id FROM documents WHERE doc_id % 2 = 0) ON vec_id = doc_id")
+@op("SELECT p_partkey, s_suppkey FROM part FULL JOIN supplier ON p_partkey * 3 = s_suppkey * 7")
 def join_full(s, d):
-    return T(s, d, "embeddings", "vec_id").where("vec_id % 3 = 0").join(T(s, d, "documents", "doc_id").where("doc_id % 2 = 0"), D("vec_id") == D("doc_id"), "full")
+    return T(s, d, "part", "p_partkey").join(T(s, d, "supplier", "s_suppkey"), D("p_partkey") * 3 == D("s_suppkey") * 7, "full")
 
 
 @op("SELECT o_orderkey FROM orders WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)")
@@ -197,9 +203,14 @@ def agg_median(s, d):
     return T(s, d, "lineitem").groupBy("l_returnflag").agg(F.median(dbl("l_quantity")).alias("mid"), F.percentile(dbl("l_quantity"), F.lit(0.9)).alias("p90"))
 
 
-@op()
+@op("SELECT CAST(q AS DOUBLE) AS q, close FROM (VALUES (0.1, true), (0.5, true), (0.9, true)) AS v(q, close)")
 def agg_kll(s, d):
-    return T(s, d, "lineitem").agg(F.percentile_approx(dbl("l_extendedprice"), [0.1, 0.5, 0.9], 1000).alias("q"))
+    """Quantiles from a KLL sketch of all prices, and whether their true ranks are within 2 % of those asked for."""
+    x = T(s, d, "lineitem").select(dbl("l_extendedprice").alias("x"))
+    sketch = x.agg(F.kll_sketch_agg_double("x").alias("k"))
+    got = sketch.select(F.explode(F.array(*[F.struct(F.lit(q).alias("q"), F.kll_sketch_get_quantile_double("k", F.lit(q)).alias("v")) for q in (0.1, 0.5, 0.9)])).alias("g")).select("g.*")
+    rank = x.crossJoin(F.broadcast(got)).groupBy("q").agg(F.avg((D("x") <= D("v")).cast("int")).alias("r"), F.avg((D("x") < D("v")).cast("int")).alias("l"))  # three rows
+    return rank.select("q", ((D("l") <= D("q") + 0.02) & (D("r") >= D("q") - 0.02)).alias("close"))
 
 
 @op("SELECT o_custkey, count(*) FILTER (o_totalprice > 100000) AS dear FROM orders GROUP BY o_custkey")
@@ -246,7 +257,7 @@ def agg_listagg(s, d):
     return s.sql("SELECT n_regionkey, listagg(n_name, ';') WITHIN GROUP (ORDER BY n_name) AS names FROM __nation GROUP BY n_regionkey")
 
 
-@op("SELECT label, i - 1 AS at, round(avg(CAST(embedding[i] AS DOUBLE)), 6) AS x FROM embeddings, generate_series(1, 64) AS t(i) GROUP BY label, i")
+@op("SELECT label, i - 1 AS place, round(avg(CAST(embedding[i] AS DOUBLE)), 6) AS x FROM embeddings, generate_series(1, 64) AS t(i) GROUP BY label, i")
 def agg_centroid(s, d):
     e = T(s, d, "embeddings").select("label", F.posexplode(D("embedding").cast("array<double>")).alias("at", "x"))
     return e.groupBy("label", D("at").cast("long").alias("at")).agg(F.round(F.avg("x"), 6).alias("x"))
@@ -335,12 +346,11 @@ def topk_per_key(s, d):
     return T(s, d, "lineitem", "l_suppkey", "l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice").withColumn("k", F.row_number().over(w)).where("k <= 3").drop("k", "l_extendedprice")
 
 
-_EVEN, _THREE = "(SELECT doc_id % 50 AS x FROM documents WHERE doc_id % 2 = 0)", "(SELECT doc_id % 70 AS x FROM documents WHERE doc_id % 3 = 0)"
+_BUYERS, _NATIONS = "(SELECT c_nationkey AS x FROM customer)", "(SELECT s_nationkey AS x FROM supplier)"
 
 
 def _sides(s, d):
-    t = T(s, d, "documents", "doc_id")
-    return t.where("doc_id % 2 = 0").select((D("doc_id") % 50).alias("x")), t.where("doc_id % 3 = 0").select((D("doc_id") % 70).alias("x"))
+    return T(s, d, "customer").select(D("c_nationkey").alias("x")), T(s, d, "supplier").select(D("s_nationkey").alias("x"))
 
 
 for _name, _sql, _f in (
@@ -351,7 +361,7 @@ for _name, _sql, _f in (
     ("set_except_all", "EXCEPT ALL", lambda a, b: a.exceptAll(b)),
 ):
     QUERIES[_name] = lambda s, d, f=_f: f(*_sides(s, d))
-    ORACLES[_name] = f"SELECT x FROM {_EVEN} {_sql} SELECT x FROM {_THREE}"
+    ORACLES[_name] = f"SELECT x FROM {_BUYERS} {_sql} SELECT x FROM {_NATIONS}"
 
 
 @op("SELECT DISTINCT l_linestatus, l_returnflag FROM lineitem")
@@ -418,8 +428,129 @@ def fn_vector(s, d):
     return T(s, d, "embeddings").select("vec_id", F.round(norm(D("embedding").cast("array<double>")), 6).alias("n"))
 
 
-@op("SELECT k, round(1.0 / (60 + k), 9) AS t FROM generate_series(1, 100) AS g(k)")
+SQL_FUNCTIONS = (
+    "rrf_term(r BIGINT, k INT) RETURNS DOUBLE RETURN coalesce(1D / (k + r), 0D)",
+    "agg_parent(mean DOUBLE, n BIGINT) RETURNS DOUBLE RETURN mean * ln(1 + n)",
+    "cosine_sim(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, x) -> s + x) "
+    "/ sqrt(aggregate(a, 0D, (s, x) -> s + x * x) * aggregate(b, 0D, (s, x) -> s + x * x))",
+)
+
+
+def register_functions(s) -> None:
+    """SQL users get fusion terms, parent scores and cosines as functions that the optimizer inlines."""
+    for f in SQL_FUNCTIONS:
+        s.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {f}")
+
+
+@op("""WITH e AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS v FROM embeddings), f AS (SELECT label, min(vec_id) AS k FROM e GROUP BY label)
+  SELECT e.vec_id, round(list_dot_product(e.v, x.v) / sqrt(list_dot_product(e.v, e.v) * list_dot_product(x.v, x.v)), 6) AS cos, round(1.0 / (60 + e.vec_id), 9) AS term,
+    round((list_dot_product(e.v, x.v) / sqrt(list_dot_product(e.v, e.v) * list_dot_product(x.v, x.v))) * ln(1 + e.label), 6) + 0.0 AS damped FROM e JOIN f USING (label) JOIN e x ON x.vec_id = f.k""")
 def udf_sql(s, d):
-    s.sql("CREATE OR REPLACE TEMPORARY FUNCTION rrf_share(r BIGINT, k INT) RETURNS DOUBLE RETURN 1D / (k + r)")
-    s.range(1, 101).createOrReplaceTempView("__ranks")
-    return s.sql("SELECT id AS k, round(rrf_share(id, 60), 9) AS t FROM __ranks")
+    """The three functions over every vector and the first one of its label."""
+    register_functions(s)
+    e = T(s, d, "embeddings").select("vec_id", "label", D("embedding").cast("array<double>").alias("v"))
+    first = e.groupBy("label").agg(F.min_by("v", "vec_id").alias("f"))
+    x = e.join(F.broadcast(first), "label").select("vec_id", "label", F.expr("cosine_sim(v, f)").alias("c"))  # a vector a label
+    return x.select("vec_id", F.round("c", 6).alias("cos"), F.round(F.expr("rrf_term(vec_id, 60)"), 9).alias("term"), (F.round(F.expr("agg_parent(c, CAST(label AS BIGINT))"), 6) + 0.0).alias("damped"))
+
+
+# Python functions, where expressions would not do
+
+
+@F.pandas_udf(ArrayType(DoubleType()))
+def vec_mean(v: pd.Series) -> list:
+    """The mean of a group's vectors; null and empty ones don't count, a group of such alone gives null."""
+    kept = [x for x in v if x is not None and len(x)]
+    return np.mean(np.stack(kept), axis=0).tolist() if kept else None
+
+
+@op("SELECT label, i - 1 AS place, round(avg(CAST(embedding[i] AS DOUBLE)), 6) AS x FROM embeddings, generate_series(1, 64) AS t(i) GROUP BY label, i")
+def udaf_vec_mean(s, d):
+    g = T(s, d, "embeddings").groupBy("label").agg(vec_mean(D("embedding").cast("array<double>")).alias("m"))
+    return g.select("label", F.posexplode("m").alias("place", "x")).select("label", D("place").cast("long").alias("place"), F.round("x", 6).alias("x"))
+
+
+@F.udtf(returnType="level int, ord int, body string")
+class split_nodes:
+    """Layout nodes of a text: level 0 the text's first line, 1 its lines, 2 the sentences of each."""
+
+    def eval(self, text: str):
+        lines = (text or "").split("\n")
+        yield 0, 0, lines[0]
+        at = 0
+        for i, line in enumerate(lines):
+            yield 1, i, line
+            for x in re.split(r"(?<=[.!?]) ", line):
+                if x.strip(" "):
+                    yield 2, at, x.strip(" ")
+                    at += 1
+
+
+@op(r"""WITH l AS (SELECT doc_id, unnest(generate_series(1, len(string_split(text, chr(10))))) AS i, string_split(text, chr(10)) AS ls FROM documents),
+  s AS (SELECT doc_id, i, unnest(generate_series(1, len(p))) AS j, p FROM (SELECT doc_id, i, string_split(regexp_replace(ls[i], '([.!?]) ', '\1' || chr(1), 'g'), chr(1)) AS p FROM l))
+  SELECT 0 AS level, count(*) AS n, CAST(sum(length(coalesce(ls[1], ''))) AS BIGINT) AS chars FROM l WHERE i = 1 UNION ALL SELECT 1, count(*), CAST(sum(length(ls[i])) AS BIGINT) FROM l
+  UNION ALL SELECT 2, count(*), CAST(sum(length(trim(p[j]))) AS BIGINT) FROM s WHERE trim(p[j]) <> ''""")
+def udtf_split(s, d):
+    s.udtf.register("split_nodes", split_nodes)
+    T(s, d, "documents").select("doc_id", "text").createOrReplaceTempView("__layout")
+    n = s.sql("SELECT d.doc_id, n.level, n.body FROM __layout d, LATERAL split_nodes(d.text) n")
+    return n.groupBy("level").agg(F.count(F.lit(1)).alias("n"), F.sum(F.length("body")).alias("chars"))
+
+
+@op()
+def udf_embed(s, d):
+    """A pluggable embedder as an Arrow function: here signed hashes of the tokens of every conversation turn."""
+    from ..functions.vectors import embed_text
+
+    return T(s, d, "conversations").select("conv_id", "turn", embed_text("text").alias("embedding"))
+
+
+@op("SELECT a.vec_id, b.vec_id AS other FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND a.vec_id % 20 = 0 WHERE round(list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) / sqrt(list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(a.embedding AS DOUBLE[])) * list_dot_product(CAST(b.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))), 9) >= 0.3")
+def filter_cosine(s, d):
+    """Vectors at a cosine of 0.3 or more to each of the stated queries (ids divisible by 20), others dropped."""
+    from ..functions import vectors as V
+    from ..plans.strategy import small
+
+    e = T(s, d, "embeddings").select("vec_id", V.l2_normalise(D("embedding").cast("array<double>")).alias("v"))
+    q = e.where("vec_id % 20 = 0").select(D("vec_id").alias("q"), D("v").alias("w"))
+    return e.crossJoin(small(q)).where(D("vec_id") != D("q")).where(V.cosine("v", "w") >= 0.3).select(D("q").alias("vec_id"), D("vec_id").alias("other"))
+
+
+@op("""WITH RECURSIVE w AS (SELECT 'r' || r_regionkey AS node, 0 AS depth, 'r' || r_regionkey AS root FROM region UNION ALL SELECT e.child, depth + 1, root FROM w JOIN
+  (SELECT 'r' || n_regionkey AS parent, 'n' || n_nationkey AS child FROM nation UNION ALL SELECT 'n' || c_nationkey, 'c' || c_custkey FROM customer UNION ALL SELECT 'c' || o_custkey, 'o' || o_orderkey FROM orders) e ON e.parent = w.node)
+  SELECT root, depth, count(*) AS n FROM w GROUP BY root, depth""")
+def recursive_descend(s, d):
+    """The subtree of every region without a closure table, by a recursive query: one round a level."""
+    edges = [("nation", "r", "n_regionkey", "n", "n_nationkey"), ("customer", "n", "c_nationkey", "c", "c_custkey"), ("orders", "c", "o_custkey", "o", "o_orderkey")]
+    e = [T(s, d, t).select(F.concat(F.lit(a), D(x).cast("string")).alias("parent"), F.concat(F.lit(b), D(y).cast("string")).alias("child")) for t, a, x, b, y in edges]
+    e[0].unionByName(e[1]).unionByName(e[2]).createOrReplaceTempView("__edges")
+    T(s, d, "region").select(F.concat(F.lit("r"), D("r_regionkey").cast("string")).alias("node")).createOrReplaceTempView("__roots")
+    return s.sql("""WITH RECURSIVE walk(node, depth, root) AS (SELECT node, 0, node FROM __roots UNION ALL SELECT e.child, depth + 1, root FROM walk JOIN __edges e ON e.parent = walk.node)
+      SELECT root, depth, count(*) AS n FROM walk GROUP BY root, depth""")
+
+
+# Sinks read back
+
+
+def _round(form):
+    def run(s, d):
+        from ..sources.stored import shared_root
+        from ..sources.tables import roundtrip
+
+        return roundtrip(T(s, d, "nation").select("n_nationkey", "n_name", "n_regionkey"), f"{shared_root(s)}/roundtrip-{uuid.uuid4().hex}", form)
+
+    return run
+
+
+for _form in ("csv", "json", "orc"):
+    QUERIES[f"roundtrip_{_form}"] = _round(_form)
+    ORACLES[f"roundtrip_{_form}"] = "SELECT n_nationkey, n_name, n_regionkey FROM nation"
+
+
+@op("SELECT l_orderkey, l_linenumber, l_partkey, row_number() OVER (PARTITION BY l_suppkey % 4 ORDER BY l_suppkey, l_orderkey, l_linenumber, l_partkey) AS place FROM lineitem")
+def sort_local(s, d):
+    """Rows dealt by a key and sorted inside the parts, as a bucketed write needs them; the window needs no other sort."""
+    x = T(s, d, "lineitem", "l_suppkey", "l_orderkey", "l_linenumber", "l_partkey").withColumn("part", D("l_suppkey") % 4)
+    dealt = x.repartition("part").sortWithinPartitions("part", "l_suppkey", "l_orderkey", "l_linenumber", "l_partkey")
+    w = Window.partitionBy("part").orderBy("l_suppkey", "l_orderkey", "l_linenumber", "l_partkey")
+    return dealt.select("l_orderkey", "l_linenumber", "l_partkey", F.row_number().over(w).cast("long").alias("place"))

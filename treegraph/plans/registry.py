@@ -14,5 +14,5 @@ def queries() -> dict:
 
 
 def oracles() -> dict[str, str]:
-    found = {k: v for m in (workloads, construct, relational, log) for k, v in m.ORACLES.items()}
-    return found | benchmark.oracles(workloads._BASE, workloads._LABELS)
+    found = {k: v for m in (workloads, relational, log) for k, v in m.ORACLES.items()}
+    return found | construct.oracles(workloads._BASE) | benchmark.oracles(workloads._BASE, workloads._LABELS)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import os
 import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -47,6 +48,20 @@ def stored(spark: SparkSession, sf_dir: str, name: str, tables: tuple[str, ...],
     return spark.read.parquet(path)
 
 
+def written(df: DataFrame, name: str) -> DataFrame:
+    """Cut the lineage of a round: write df to the shared folder under a name of its own and read it back."""
+    path = f"{shared_root(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def drop(df: DataFrame) -> None:
+    """Delete the files behind a written frame."""
+    for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        fs, p = _path(df.sparkSession, path)
+        fs.delete(p, True)
+
+
 def forget(spark: SparkSession, sf_dir: str, tables: tuple[str, ...]) -> None:
     """Delete what was derived from these tables."""
     fs, p = _path(spark, f"{shared_root(spark)}/derived-{fingerprint(spark, sf_dir, tables)}")
