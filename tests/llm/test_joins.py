@@ -108,6 +108,54 @@ def test_lines_match_brute_force(spark):
     assert got == want
 
 
+def test_words_of_one_polynomial_hash_differ(spark):
+    """A word by the parity of the bits of each place, and its complement: any polynomial modulo 2^64 takes them for the same."""
+    words = ["".join("ab"[(bin(i).count("1") + k) & 1] for i in range(2048)) for k in (0, 1)]
+    docs = spark.createDataFrame([(1, words[0]), (2, words[1]), (3, words[0].upper())], "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in ngram_join.similar_groups(docs).collect()}
+    assert got == {1: 1, 2: 2, 3: 1}
+    assert {r.doc_id for r in ngram_join.keep_first(docs).collect()} == {1, 2}
+
+
+def test_long_posting_lists_are_dealt_out(spark, monkeypatch):
+    from treegraph.llm import setjoin
+
+    monkeypatch.setattr(setjoin, "BLOCK", 64)
+    rng = random.Random(2)
+    base = [f"b{i}" for i in range(60)]
+    rows = []
+    for i in range(1500):  # near copies of one text, each with a word of its own
+        w = base[:]
+        w[rng.randrange(60)] = f"own{i}"
+        rows.append((i, " ".join(w)))
+    rows += [(1500 + i, " ".join([*base[:6], *[f"x{i}w{k}" for k in range(40)]])) for i in range(1500)]  # only a passage of it
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sets = [shingles(t) for _, t in rows]
+    parent = list(range(1500))
+
+    def root(a):
+        while parent[a] != a:
+            a = parent[a]
+        return a
+
+    for a in range(1500):
+        for b in range(a):
+            if root(a) != root(b) and alike(sets[a], sets[b]):
+                parent[max(root(a), root(b))] = min(root(a), root(b))
+    got = {r.doc_id: r.component_id for r in ngram_join.similar_groups(docs).collect()}
+    assert got == {i: root(i) if i < 1500 else i for i in range(3000)}
+
+
+def test_clashing_columns_nulls_and_repeats(spark):
+    rows = [(1, "a b c d e f\nx", 7, "p"), (1, "a b c d e f\nx", 7, "p"), (None, None, None, None), (2, "a b c d e f", 8, "q"), (3, "", 9, "r")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, __rk int, __lines string")
+    out = line_dedup.dedup_lines(docs)
+    assert out.columns == [*docs.columns, "n_lines", "n_removed"]
+    assert sorted((str(r.doc_id), r.text, r.n_removed) for r in out.collect()) == [("1", "a b c d e f\nx", 0), ("1", "a b c d e f\nx", 0), ("2", "", 1), ("3", "", 0), ("None", None, 0)]
+    kept = ngram_join.keep_first(docs)
+    assert kept.columns == docs.columns and sorted(str(r.doc_id) for r in kept.collect()) == ["1", "2", "3", "None"]
+
+
 TOKEN = re.compile(r"[^\W_]+")
 
 

@@ -1,7 +1,11 @@
 """Learned operators: held-out accuracy, bounds, nulls and empty tables."""
 
+import os
 import random
 
+import numpy as np
+import public_tokenizers
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -32,6 +36,41 @@ def test_language(spark, docs):
     assert {r.lang_pred for r in language.identify(docs, nothing).collect()} == {"und"}
 
 
+def parsed(text, sample):
+    """Phrases of a text by longest matches in a sample, one letter at a time."""
+    n = at = 0
+    while at < len(text):
+        k = 1
+        while at + k < len(text) and text[at : at + k + 1] in sample:
+            k += 1
+        at, n = at + k, n + 1
+    return n
+
+
+@pytest.mark.parametrize("dense", [language.DENSE, 0])
+def test_phrases_are_longest_matches(monkeypatch, dense):
+    rng = random.Random(7)
+    monkeypatch.setattr(language, "DENSE", dense)
+    monkeypatch.setattr(language, "STRETCH", 16)  # phrases run over the ends of many stretches, some over whole ones
+    own = {k: prose(rng, kind, 120) for k, kind in {"aa": ["th", "er", "on"], "bb": ["lo", "si", "qua"]}.items()}
+    model = language.learn({k: [v, v[:40]] for k, v in own.items()})
+    texts = [own["aa"][5:300], own["bb"][:200] + "xyz" + own["aa"][:100], "th", "q" * 50, prose(rng, ["th", "lo"], 60), own["aa"][:130] * 2]
+    got = model.phrases([language.folded(t) for t in texts])
+    fold = lambda t: "".join(map(chr, language.folded(t)))
+    assert got.tolist() == [[parsed(fold(t), fold(own[k]) + " ") for k in ("aa", "bb")] for t in texts]
+
+
+def test_language_of_long_texts_alone(spark):
+    rng = random.Random(8)
+    kinds = {"aa": ["th", "er", "on"], "bb": ["lo", "si", "qua"]}
+    rows = [(i, prose(rng, kinds[k], 3000), k, 1.0) for i, k in enumerate(["aa", "bb"] * 4)]
+    docs = spark.createDataFrame(rows + rows[:2] + [(None, None, None, None)], "doc_id long, text string, lang string, score double")  # score is replaced
+    assert all(len(t) > language.SAMPLE_DOC_CHARS for _, t, _, _ in rows)
+    got = language.identify(docs, language.fit(docs)).collect()
+    assert len(got) == len(rows) + 3 and all(r.lang_pred == (r.lang or "und") for r in got)
+    assert language.identify(docs.limit(0), language.fit(docs)).count() == 0
+
+
 def test_quality(spark):
     rng = random.Random(5)
     rows = []
@@ -55,8 +94,6 @@ def test_isotonic():
 
 
 def test_language_model(spark, docs, monkeypatch):
-    import numpy as np
-
     monkeypatch.setattr(language_model, "STEPS", 30)
     monkeypatch.setattr(language_model, "HEAD_WORDS", 50)  # so that most words are joined
     held = F.col("doc_id") % 7 == 2
@@ -90,24 +127,94 @@ def test_every_words_count_is_in_the_score(docs, monkeypatch):
 
 
 def test_training_reads_whole_texts_of_all_rows(spark, monkeypatch):
-    import numpy as np
-
     rows = [(i, "one two three " * 200 + f"tail{i} " * 50) for i in range(20)]
     seen = {}
-    fit = language_model.train
-
-    def spy(pairs, windows, counts, n_ids):
-        seen.update(pairs=pairs.copy(), windows=windows.copy(), counts=counts)
-        return fit(pairs, windows, counts, n_ids)
-
-    monkeypatch.setattr(language_model, "train", spy)
+    fit, name = language_model.train, language_model.vocabulary
+    monkeypatch.setattr(language_model, "train", lambda ids, windows: seen.update(ids=ids, windows=windows.copy()) or fit(ids, windows))
+    monkeypatch.setattr(language_model, "vocabulary", lambda count, first, number, cells, c: seen.update(count=count.copy(), first=first, pairs=c.sum()) or name(count, first, number, cells, c))
     monkeypatch.setattr(language_model, "STEPS", 5)
     language_model.score_texts(spark.createDataFrame(rows, "doc_id long, text string"), F.lit(True)).count()
-    ids = sum(seen["counts"].values())
-    assert seen["pairs"].sum() == ids and seen["pairs"][-1].sum() == len(rows)
-    assert len(seen["windows"]) == ids  # a small table: every place of every text
+    n_words = sum(len(t.split()) for _, t in rows)
+    count, first = seen["count"], seen["first"]
+    assert count[first].sum() == n_words + len(rows) and count[-1] == len(rows)  # a first id a word, an end a text
+    assert seen["pairs"] == 2 * count[~first].sum()  # each later id has one before it
+    assert len(seen["windows"]) == count.sum()  # a small table: every place of every text
     goals = seen["windows"][:, language_model.STRIDE + 1]
-    of = language_model.classes(seen["counts"], max(seen["counts"]) + 1)[0]
-    want = np.zeros(language_model.CLASSES, dtype=int)
-    np.add.at(want, of[list(seen["counts"])], list(seen["counts"].values()))
+    want = np.bincount(seen["ids"].class_of, weights=count, minlength=language_model.CLASSES)
     assert np.bincount(goals, minlength=language_model.CLASSES).tolist() == want.tolist()
+
+
+@pytest.fixture(scope="module")
+def trained(spark, docs):
+    """The model that scoring the documents trains, and the words whose counts it has."""
+    kept = {}
+    weigh, head = language_model.Model.weigh, language_model.Head.__init__
+
+    def weighed(self, *args):
+        weigh(self, *args)
+        kept["model"] = self
+
+    def made(self, found, counts, ends):
+        head(self, found, counts, ends)
+        kept["head"] = self
+
+    patch = pytest.MonkeyPatch()
+    patch.setattr(language_model, "STEPS", 60)
+    patch.setattr(language_model.Model, "weigh", weighed)
+    patch.setattr(language_model.Head, "__init__", made)
+    language_model.score_texts(docs, F.lit(True)).count()
+    patch.undo()
+    return kept["model"], kept["head"]
+
+
+def test_probabilities_sum_to_one(trained):
+    model, head = trained
+    with open(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), "rb") as f:
+        sub = language_model.Subwords(f.read())
+    start = [int(x) for x in sub.encoding.encode_ordinary(" ther on lo")]
+    every = np.arange(sub.end + 1)
+    for before in ([], start):  # all ids, first in a text and after others
+        n = len(before) + 1
+        ids = np.concatenate([np.tile(np.array(before, dtype=np.int64), (len(every), 1)), every[:, None]], axis=1).ravel()
+        own, first = (x[n - 1 :: n] for x in model.log10(ids, np.full(len(every), n)))
+        assert 0.999 < (10**own).sum() <= 1 + 1e-6  # classes without an id keep a little
+        assert (10 ** own[sub.first]).sum() == pytest.approx(10 ** first[0], abs=1e-3)
+    texts = pa.array([w.as_py() for w in head.words], pa.large_binary())  # of all known words, at the start of a text
+    c = language_model.cut(texts)
+    alone = model.words(*sub.flat(c))
+    count = head.of(c.distinct)[c.which]
+    p = model.mixed(alone, count)[np.cumsum(c.sizes) - c.sizes]
+    end = language_model.cut(pa.array([b""], pa.large_binary()))
+    p = np.append(p, model.mixed(model.words(*sub.flat(end)), np.array([head.ends])))
+    assert 0.3 < (10**p).sum() <= 1 + 1e-9
+    assert model.weight + (model.factor * model.mass).sum() == pytest.approx(1)
+
+
+def test_long_words_cost_what_they_are(trained):
+    model, head = trained
+    rng = random.Random(1)
+    with open(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), "rb") as f:
+        sub = language_model.Subwords(f.read())
+    scores = []
+    for n in (200, 400, 4000):
+        c = language_model.cut(pa.array(["".join(rng.choice("abcdefgh0123#") for _ in range(n)).encode()], pa.large_binary()))
+        scores.append(model.mixed(model.words(*sub.flat(c)), head.of(c.distinct)[c.which])[0])
+    assert scores[0] > 1.5 * scores[1] > 15 * scores[2] / 1.1 and np.isfinite(scores).all()
+
+
+@pytest.mark.skipif(not os.path.isdir("/root/testdata/sf0.1"), reason="no test data")
+def test_held_out_texts_score_above_the_unigram_base(spark):
+    got = language_model.op4_lm_scoring(spark, "/root/testdata/sf0.1").where("held_out").agg(F.sum("score").alias("score"), F.sum("base_score").alias("base")).first()
+    print("held out", got)
+    assert got.score > got.base
+
+
+def test_words_as_python_splits_them():
+    texts = [b"", b" a  B\n", b"\xc3\x89cole \xc2\xa0x\xc2\x85 \x0by", b"no", b"\t"]
+    c = language_model.cut(pa.array(texts, pa.large_binary()))
+    every = [*c.distinct.to_pylist(), None]
+    got, at = [], 0
+    for n in c.sizes.tolist():
+        got.append([every[i] for i in c.which[at : at + n]])
+        at += n
+    assert got == [[*t.lower().split(), None] for t in texts]

@@ -8,30 +8,30 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import setjoin as J
-from .common import materialise, table
+from .common import materialise, table, unused
 
 #: Lines of fewer words are left alone: only those without a word. A line of a word or two is one whole-line token.
 MIN_WORDS = 1
 
 
 def removed_lines(rows: DataFrame, *, width: int = 5, percent: int = 80, min_words: int = MIN_WORDS) -> DataFrame:
-    """(rk, lines): the numbers of the lines to remove from each row of rows(rk, id, text) that loses any.
+    """(rk, id, lines): the numbers of the lines to remove from each row of rows(rk, id, text) that loses any.
 
     Lines are what stands between line feeds; their tokens are shingles of width words, or the whole line if it has fewer.
     Tokens are ordered by rarity; prefix, length and positional filters choose candidates, whole sets decide. A line goes if
     some line before it, by (id, row, line number), nulls first, has a Jaccard similarity of percent / 100 or more.
     """
-    members, sets, prefixes = J.prepared(rows, width=width, percent=percent, by_line=True, most=1, min_words=min_words)
+    members, kept, sets, prefixes = J.prepared(rows, width=width, percent=percent, by_line=True, most=1, min_words=min_words)
     first = materialise(J.verified(J.star(prefixes, percent), sets, percent).select(F.col("a").alias("s")).distinct(), "late")
     later = J.postings(prefixes.join(first, "s", "left_anti"))
     earlier = J.postings(prefixes).join(later.select("token").distinct(), "token", "left_semi")
     a, b = J.side(J.with_prefix(later, prefixes), "a"), J.side(J.with_prefix(earlier, prefixes), "b")
     more = J.verified(J.across(a, b, F.col("firstb") < F.col("firsta"), percent), sets, percent).select(F.col("a").alias("s"))
-    late = materialise(first.union(more).distinct().select(F.col("s").alias("s1"), F.lit(True).alias("late")), "late")
+    late = materialise(first.union(more).distinct().join(kept, "s").select("s1", "s2", F.lit(True).alias("late")), "late")
     repeated = members.where("n > 0").groupBy("s1", "s2").agg(F.min(J.place()).alias("first"), F.count(F.lit(1)).alias("c"))
-    marks = repeated.join(late, "s1", "left").where("c > 1 or late")
+    marks = repeated.join(late, ["s1", "s2"], "left").where("c > 1 or late")
     hit = members.where("n > 0").join(marks, ["s1", "s2"]).where(F.col("late").isNotNull() | (F.col("first") != J.place()))
-    return hit.groupBy("rk").agg(F.array_sort(F.collect_set("line")).alias("lines"))
+    return hit.groupBy("rk", "id").agg(F.array_sort(F.collect_set("line")).alias("lines"))
 
 
 @F.arrow_udf(T.StringType())
@@ -54,14 +54,14 @@ def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     lines); an empty one has one, empty. Rows that repeat id and text are one document, so that they keep the same lines.
     Blank lines and lines of fewer than min_words words stay. Columns named n_lines or n_removed are replaced.
     """
-    rk = F.xxhash64(F.col(id_col), F.col(text_col))
     gone = materialise(removed_lines(J.with_row_key(docs, id_col, text_col), **options), "removed")
     own = [c for c in docs.columns if c not in ("n_lines", "n_removed")]
-    tagged = docs.select(*own, rk.alias("__rk")).join(gone.toDF("__rk", "__lines"), "__rk", "left")
+    rk, id_, lines, r = unused(docs, "__rk", "__id", "__lines", "__r")
+    tagged = docs.select(*own, J.row_key(id_col, text_col).alias(rk)).join(gone.toDF(r, id_, lines), (F.col(rk) == F.col(r)) & F.col(id_col).cast("long").eqNullSafe(F.col(id_)), "left")
     old = F.col(text_col)
-    new = F.coalesce(without(F.when(F.col("__lines").isNotNull(), old), F.col("__lines")), old)
+    new = F.coalesce(without(F.when(F.col(lines).isNotNull(), old), F.col(lines)), old)
     n = F.when(old.isNull(), 0).otherwise(F.length(old) - F.length(F.replace(old, F.lit("\n"), F.lit(""))) + 1).cast("int")
-    return tagged.select(*[new.alias(c) if c == text_col else F.col(c) for c in own], n.alias("n_lines"), F.coalesce(F.size("__lines"), F.lit(0)).alias("n_removed"))
+    return tagged.select(*[new.alias(c) if c == text_col else F.col(c) for c in own], n.alias("n_lines"), F.coalesce(F.size(lines), F.lit(0)).alias("n_removed"))
 
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

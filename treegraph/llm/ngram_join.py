@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import setjoin as J
-from .common import components, materialise, maybe_broadcast, table, union_all
+from .common import components, materialise, maybe_broadcast, table, union_all, unused
 
 #: Largest number of shared prefix tokens that a document may ask for.
 MOST_MATCHES = 8
@@ -23,7 +23,7 @@ def similar_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     an empty result.
     """
     rows = J.with_row_key(docs, id_col, text_col)
-    members, sets, prefixes = J.prepared(rows, width=width, percent=percent, by_line=False, most=MOST_MATCHES)
+    members, kept, sets, prefixes = J.prepared(rows, width=width, percent=percent, by_line=False, most=MOST_MATCHES)
     first = materialise(J.verified(J.star(prefixes, percent), sets, percent), "links")
     group = components(first.toDF("u", "v"))
     known = prefixes.join(group.select(F.col("node").alias("s"), "label"), "s", "left").withColumn("label", F.coalesce("label", "s"))
@@ -34,30 +34,34 @@ def similar_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     second = materialise(J.verified(J.across(a, b, F.col("labela") < F.col("labelb"), percent), sets, percent), "links")
     group = components(union_all([first, second]).toDF("u", "v"))
     lead = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "rk")).alias("lead")
-    by_set = members.where("n > 0").groupBy("s1").agg(lead).join(group.select(F.col("node").alias("s1"), "label"), "s1", "left")
-    by_set = by_set.withColumn("label", F.coalesce("label", "s1"))
-    smallest = by_set.groupBy("label").agg(F.min("lead").alias("lead"))
-    by_set = materialise(by_set.drop("lead").join(smallest, "label").select("s1", F.col("lead.id").alias("component_id"), F.col("lead.rk").alias("lead_rk")), "groups")
+    linked = group.select(F.col("node").alias("s"), "label").join(kept, "s").select("s1", "s2", "label")
+    by_set = materialise(members.where("n > 0").groupBy("s1", "s2").agg(lead).join(linked, ["s1", "s2"], "left"), "sets-named")
+    smallest = by_set.where("label is not null").groupBy("label").agg(F.min("lead").alias("least"))
+    lead = F.coalesce("least", "lead")
+    by_set = by_set.join(smallest, "label", "left").select("s1", "s2", lead["id"].alias("component_id"), lead["rk"].alias("lead_rk"))
     empty = F.col("n") == 0
-    return members.join(by_set, "s1", "left").select(
+    return members.join(by_set, ["s1", "s2"], "left").select(
         "rk",
         F.col("id").alias("doc_id"),
         F.col("n").cast("long").alias("n_shingles"),
         F.when(empty, F.col("id")).otherwise(F.col("component_id")).alias("component_id"),
-        F.when(empty, True).otherwise(F.col("rk") == F.col("lead_rk")).alias("first"),
+        F.when(empty, True).otherwise((F.col("rk") == F.col("lead_rk")) & F.col("id").eqNullSafe(F.col("component_id"))).alias("first"),
     )
 
 
 def keep_first(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of docs, all columns, that are the first of their group; of rows that repeat id and text one stays."""
-    groups = materialise(similar_groups(docs, id_col=id_col, text_col=text_col, **options).select("rk", "first"), "groups")
-    gone = groups.where(~F.col("first")).select(F.col("rk").alias("__rk")).distinct()
-    more = materialise(groups.groupBy("rk").count().where("count > 1").select(F.col("rk").alias("__rk")), "repeated")
-    kept = docs.withColumn("__rk", F.xxhash64(F.col(id_col), F.col(text_col))).join(maybe_broadcast(gone), "__rk", "left_anti")
+    groups = materialise(similar_groups(docs, id_col=id_col, text_col=text_col, **options).select("rk", "doc_id", "first"), "groups")
+    rk, r, id_ = unused(docs, "__rk", "__r", "__id")
+    same = (F.col(rk) == F.col(r)) & F.col(id_col).cast("long").eqNullSafe(F.col(id_))
+    name = groups.select(F.col("rk").alias(r), F.col("doc_id").alias(id_), "first")
+    gone = name.where(~F.col("first")).select(r, id_).distinct()
+    more = materialise(name.groupBy(r, id_).count().where("count > 1").select(r, id_), "repeated")
+    kept = docs.withColumn(rk, J.row_key(id_col, text_col)).join(maybe_broadcast(gone), same, "left_anti")
     if not more.isEmpty():
         more = maybe_broadcast(more)
-        kept = kept.join(more, "__rk", "left_anti").unionByName(kept.join(more, "__rk", "left_semi").dropDuplicates(["__rk"]))
-    return kept.drop("__rk")
+        kept = kept.join(more, same, "left_anti").unionByName(kept.join(more, same, "left_semi").dropDuplicates([rk, id_col]))
+    return kept.drop(rk)
 
 
 def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

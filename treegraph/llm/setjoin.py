@@ -22,6 +22,8 @@ from .common import BROADCAST_ROWS, drop_table, materialise
 
 #: Share of extra tokens in the prefixes of step 1: one more needed match for each so many tokens of a set.
 EXTRA = 16
+#: Members of a posting list that one task compares with all others; longer lists are dealt out in parts.
+BLOCK = 1_024
 
 
 def must_share(n, percent: int):
@@ -29,9 +31,14 @@ def must_share(n, percent: int):
     return -(-(percent * n) // 100)
 
 
+def row_key(id_col: str, text_col: str) -> Column:
+    """A 64-bit hash of a row's id and text; with the id beside it, the name of the row: only rows of one id could be confused."""
+    return F.xxhash64(F.col(id_col), F.col(text_col))
+
+
 def with_row_key(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(rk, id, text): rk names a row by id and text; rows that repeat both are one document."""
-    return docs.select(F.xxhash64(F.col(id_col), F.col(text_col)).alias("rk"), F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    """(rk, id, text): rk and id name a row; rows that repeat id and text are one document."""
+    return docs.select(row_key(id_col, text_col).alias("rk"), F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
 
 
 def signatures(rows: DataFrame, *, width: int, percent: int, by_line: bool, min_words: int = 1, full: bool = False) -> DataFrame:
@@ -48,7 +55,7 @@ def signatures(rows: DataFrame, *, width: int, percent: int, by_line: bool, min_
                     length = n
                 else:
                     length = np.minimum(n, n - must_share(n, percent) + 1 + n // EXTRA) * (n > 0)
-                offsets, values = S.take_heads(x, length)
+                offsets, values = S.take_heads(x, length, full)
                 pick = pa.array(at + x.row)
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).take(pick), batch.column(1).take(pick), pa.array(x.line, pa.int32()), pa.array(n, pa.int32()), pa.array(x.s1), pa.array(x.s2), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(values))],
@@ -80,22 +87,27 @@ def with_frequency(token: DataFrame, owner: str) -> DataFrame:
 
 
 def survivors(reps: DataFrame, percent: int) -> DataFrame:
-    """Step 1: (s1, s2, n, first) of the sets whose hash-order prefix is shared enough to leave room for a partner."""
-    token = reps.select("s1", F.explode("head").alias("token"))
+    """Step 1: (s, s1, s2, n, first) of the sets whose hash-order prefix is shared enough to leave room for a partner.
+
+    The frame is to be written before it is used: s numbers its rows. Heads show the first bits of tokens, so that tokens may
+    seem to be shared that are not: more sets stay, none is lost.
+    """
+    token = reps.select("s1", F.explode("head").alias("token"))  # sets of one s1 are counted together: at worst too many stay
     seen = with_frequency(token, "s1").groupBy("s1").agg(F.count(F.lit(1)).alias("shared"))
     least = 1 + F.floor(F.ceil(F.col("n") * percent / 100) / EXTRA)  # what the smallest possible partner asks for
-    return reps.select("s1", "s2", "n", "first").join(seen, "s1").where(F.col("shared") >= least).drop("shared")
+    own = reps.select("s1", "s2", "n", "first").join(seen, "s1").where(F.col("shared") >= least)
+    return own.select(F.monotonically_increasing_id().alias("s"), "s1", "s2", "n", "first")
 
 
 def whole_sets(rows: DataFrame, kept: DataFrame, *, width: int, percent: int, by_line: bool) -> DataFrame:
-    """(s, n, first, tokens) of the sets in kept; s is the first half of the set's name."""
-    few = kept.count() <= BROADCAST_ROWS  # two or three longs a row
+    """(s, n, first, tokens) of the sets in kept, all bits of their tokens."""
+    few = kept.count() <= BROADCAST_ROWS  # some 60 bytes a row
     hint = F.broadcast if few else (lambda d: d)
     holders = kept.select(F.col("first.rk").alias("rk")).distinct()
     sig = signatures(rows.join(hint(holders), "rk", "left_semi"), width=width, percent=percent, by_line=by_line, full=True)
-    named = kept.select("s1", "s2", "first")
-    sig = sig.join(hint(named), ["s1", "s2"]).where(F.col("rk") == F.col("first.rk")).where(F.col("line") == F.col("first.line"))
-    return sig.select(F.col("s1").alias("s"), "n", "first", F.col("head").alias("tokens")).dropDuplicates(["s"])
+    named = kept.select("s", "s1", "s2", "first")
+    sig = sig.join(hint(named), ["s1", "s2"]).where(place() == F.col("first"))
+    return sig.select("s", "n", "first", F.col("head").alias("tokens")).dropDuplicates(["s"])
 
 
 def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
@@ -104,7 +116,8 @@ def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
     need is how many prefix tokens a candidate must share: the number l whose prefix of n - must_share + l tokens has the
     least estimated cost, the postings it writes plus the comparison of the at most postings / l sets met l times.
     With most = 1 it is plain prefix filtering. The alone tokens that no other set has come first and are left out of prefix.
-    Sets whose first prefix holds no shared token are left out: they have no partner.
+    Sets whose first prefix holds no shared token are left out: they have no partner. prefix has the tokens and, of each, the
+    parts into which its posting list is dealt.
     """
     seen = with_frequency(sets.select("s", F.explode("tokens").alias("token")), "s")
     rare = seen.groupBy("s").agg(F.array_sort(F.collect_list(F.struct("df", "token"))).alias("rare")).join(sets.select("s", "n", "first"), "s")
@@ -119,14 +132,14 @@ def rare_prefixes(sets: DataFrame, percent: int, most: int = 1) -> DataFrame:
 
     need = F.lit(1) if most == 1 else F.array_min(F.transform(F.sequence(F.lit(1), F.lit(most)), cost))["l"].cast("int")
     rare = rare.withColumn("need", need)
-    rare = rare.withColumn("prefix", F.transform(F.slice("rare", F.lit(1), until(F.col("need"))), lambda x: x["token"]))
+    rare = rare.withColumn("prefix", F.transform(F.slice("rare", F.lit(1), until(F.col("need"))), lambda x: F.struct(x["token"].alias("token"), F.ceil(x["df"] / BLOCK).cast("int").alias("parts"))))
     return rare.select("s", "n", "first", "need", "alone", "prefix")
 
 
 def postings(prefixes: DataFrame, *more: str) -> DataFrame:
-    """(token, s, n, first, pos, need) of every prefix token; pos counts from 1 over all tokens of the set."""
-    out = prefixes.select("s", "n", "first", "need", "alone", *more, F.posexplode("prefix").alias("k", "token"))
-    return out.select("token", "s", "n", "first", (F.col("alone") + F.col("k") + 1).alias("pos"), "need", *more)
+    """(token, parts, s, n, first, pos, need) of every prefix token; pos counts from 1 over all tokens of the set."""
+    out = prefixes.select("s", "n", "first", "need", "alone", *more, F.posexplode("prefix").alias("k", "t"))
+    return out.select("t.token", "t.parts", "s", "n", "first", (F.col("alone") + F.col("k") + 1).alias("pos"), "need", *more)
 
 
 def with_prefix(rows: DataFrame, prefixes: DataFrame) -> DataFrame:
@@ -168,17 +181,18 @@ def across(left: DataFrame, right: DataFrame, condition: Column, percent: int) -
     room = 1 + F.least(F.col("na") - F.col("posa"), F.col("nb") - F.col("posb"))
     behind = F.greatest(*[F.ceil(F.col(n) * percent / 100) - F.col(need) for n, need in (("na", "needa"), ("nb", "needb"))])
     fits = condition & lengths_fit("na", "nb", percent) & (room >= asked)
-    fits &= (F.get(met, F.lit(0)) == F.col("right_token")) & (F.size(met) >= F.least("needa", "needb")) & (F.size(met) + behind >= asked)
-    right = right.withColumnRenamed("token", "right_token")
-    return left.join(right, (F.col("token") == F.col("right_token")) & fits).select("a", "b")
+    fits &= (F.get(met, F.lit(0))["token"] == F.col("right_token")) & (F.size(met) >= F.least("needa", "needb")) & (F.size(met) + behind >= asked)
+    left = left.withColumn("part", F.pmod(F.xxhash64("a"), F.col("parts")).cast("int")).drop("parts")
+    right = right.withColumn("right_part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts").withColumnRenamed("token", "right_token")
+    return left.join(right, (F.col("token") == F.col("right_token")) & (F.col("part") == F.col("right_part")) & fits).select("a", "b")
 
 
 def side(rows: DataFrame, tag: str, *more: str) -> DataFrame:
-    return rows.select("token", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", "prefix", *more)])
+    return rows.select("token", "parts", F.col("s").alias(tag), *[F.col(c).alias(c + tag) for c in ("n", "first", "pos", "need", "prefix", *more)])
 
 
-def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(members, sets, prefixes) as written tables; members: (rk, id, line, n, s1, s2) of every item."""
+def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most: int, min_words: int = 1) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """(members, kept, sets, prefixes) as written tables; members: (rk, id, line, n, s1, s2) of every item, kept: s by (s1, s2)."""
     sig = materialise(signatures(rows, width=width, percent=percent, by_line=by_line, min_words=min_words), "signatures")
     members = materialise(sig.drop("head"), "members")
     reps = materialise(representatives(sig), "representatives")
@@ -187,4 +201,4 @@ def prepared(rows: DataFrame, *, width: int, percent: int, by_line: bool, most:
     drop_table(reps)
     sets = materialise(whole_sets(rows, kept, width=width, percent=percent, by_line=by_line), "sets")
     prefixes = materialise(rare_prefixes(sets, percent, most), "prefixes")
-    return members, sets, prefixes
+    return members, kept.select("s", "s1", "s2"), sets, prefixes

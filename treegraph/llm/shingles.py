@@ -1,11 +1,12 @@
 """Vectorised word shingles: whole Arrow batches of text to sorted token sets, without a Python loop over words.
 
-Words are runs of bytes other than ASCII white space (0x20, 0x09-0x0D) after lower-casing A-Z. A token is the 48-bit hash of
+Words are runs of bytes other than ASCII white space (0x20, 0x09-0x0D) after lower-casing A-Z. A token is the 64-bit hash of
 `width` consecutive words; an item (a document, or a line of one) with fewer words is one token, its whole sequence.
 """
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -17,12 +18,12 @@ _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _rng = np.random.default_rng(20240229)
-_BYTE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * U(2) + U(1)
-_STEP = U(0x9E3779B97F4A7C15)
-_STEP_INV = U(pow(0x9E3779B97F4A7C15, -1, 2**64))
+#: Words of at most PLACES bytes are hashed by a table of random numbers, one for each byte at each place; longer ones by BLAKE2.
+PLACES = 32
+_TABLE = _rng.integers(0, 2**64, PLACES * 256, dtype=np.uint64)
 _PLACE = _rng.integers(1, 2**63, 64, dtype=np.uint64) * U(2) + U(1)
-TOKEN_BITS = 48
-_MASK = U(2**TOKEN_BITS - 1)
+#: Bits of a token that a head shows: the first ones, so that the order of tokens stays.
+HEAD_BITS = 48
 CHUNK_BYTES, CHUNK_ITEMS = 1 << 18, 60_000
 
 
@@ -33,24 +34,6 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(31))
 
 
-def _powers(base: np.uint64, n: int) -> np.ndarray:
-    p = np.full(n + 1, base, dtype=np.uint64)
-    p[0] = 1
-    return np.multiply.accumulate(p)
-
-
-_POW, _INV = _powers(_STEP, CHUNK_BYTES), _powers(_STEP_INV, CHUNK_BYTES)
-
-
-def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    global _POW, _INV
-    if len(_POW) <= n:
-        if n > 8 << 20:  # a giant text: not kept
-            return _powers(_STEP, n), _powers(_STEP_INV, n)
-        _POW, _INV = _powers(_STEP, n), _powers(_STEP_INV, n)
-    return _POW, _INV
-
-
 @dataclass
 class Items:
     """Token sets of consecutive items: tokens[start[i]:start[i] + size[i]] is ascending."""
@@ -76,10 +59,15 @@ def word_hashes(raw: np.ndarray, item_start: np.ndarray) -> tuple[np.ndarray, np
     first[inner] = solid[inner]
     last[inner - 1] = solid[inner - 1]
     begin, end = np.flatnonzero(first), np.flatnonzero(last) + 1
-    power, inverse = powers(n)
-    total = np.zeros(n + 1, dtype=np.uint64)
-    np.cumsum(_BYTE[_LOWER[raw]] * power[:n], out=total[1:])
-    h = mix((total[end] - total[begin]) * inverse[begin])
+    if not len(begin):
+        return np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
+    size = end - begin
+    at = np.cumsum(size) - size
+    place = np.minimum(np.arange(at[-1] + size[-1]) - np.repeat(at, size), PLACES - 1)
+    h = np.add.reduceat(_TABLE[place << 8 | _LOWER[raw[solid]]], at)
+    h = mix(h + size.astype(np.uint64) * _PLACE[42])
+    for i in np.flatnonzero(size > PLACES).tolist():
+        h[i] = int.from_bytes(hashlib.blake2b(_LOWER[raw[begin[i] : end[i]]].tobytes(), digest_size=8).digest(), "little")
     return h, np.searchsorted(item_start, begin, "right") - 1
 
 
@@ -112,11 +100,17 @@ def chunk_items(raw: np.ndarray, row_start: np.ndarray, width: int, by_line: boo
             more = words[short] > k
             acc[more] += h[at[more] + k] * _PLACE[width + 1 + k]
         token, owner = np.concatenate([token, mix(acc)]), np.concatenate([owner, short])
-    key = (owner.astype(np.uint64) << U(TOKEN_BITS)) | (token >> U(64 - TOKEN_BITS))
-    key.sort()
+    key = (owner.astype(np.uint64) << U(HEAD_BITS)) | (token >> U(64 - HEAD_BITS))
+    order = np.argsort(key)
+    key, owner, token = key[order], owner[order], token[order]
     if len(key):
-        key = key[np.concatenate([[True], key[1:] != key[:-1]])]
-    owner, token = (key >> U(TOKEN_BITS)).astype(np.int64), key & _MASK
+        new = np.concatenate([[True], token[1:] != token[:-1]])
+        if (new[1:] & (key[1:] == key[:-1])).any():  # tokens alike in their first bits alone: sort by all
+            order = np.lexsort((token, owner))
+            owner, token = owner[order], token[order]
+            new = np.concatenate([[True], token[1:] != token[:-1]])
+        new[1:] |= owner[1:] != owner[:-1]
+        owner, token = owner[new], token[new]
     size = np.bincount(owner, minlength=n_items)
     start = np.cumsum(size) - size
     s1, s2 = np.zeros(n_items, dtype=np.uint64), np.zeros(n_items, dtype=np.uint64)
@@ -124,7 +118,7 @@ def chunk_items(raw: np.ndarray, row_start: np.ndarray, width: int, by_line: boo
     if len(full):
         s1[full] = np.add.reduceat(mix(token + _PLACE[40]), start[full])
         s2[full] = np.add.reduceat(mix(token ^ _PLACE[41]), start[full])
-    return Items(row, line, words, size, start, token.view(np.int64), s1.view(np.int64), s2.view(np.int64))
+    return Items(row, line, words, size, start, token, s1.view(np.int64), s2.view(np.int64))
 
 
 def text_buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -162,8 +156,9 @@ def batches(column: pa.Array, width: int, by_line: bool):
         at = to
 
 
-def take_heads(items: Items, length: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Offsets and values of the first length[i] tokens of each item."""
+def take_heads(items: Items, length: np.ndarray, full: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Offsets and values of the first length[i] tokens of each item; the first bits of each unless full."""
     offsets = np.concatenate([[0], np.cumsum(length)])
     index = np.arange(offsets[-1]) + np.repeat(items.start - offsets[:-1], length)
-    return offsets, items.tokens[index]
+    tokens = items.tokens[index]
+    return offsets, (tokens if full else tokens >> U(64 - HEAD_BITS)).view(np.int64)
