@@ -160,3 +160,15 @@ def test_near_vectors_match_brute_force(spark):
     assert (links <= near.sum(axis=1)).all() and links.sum() >= 0.97 * near.sum()
     assert all(got[i].n_links == 0 and got[i].component_id == i and got[i].kept for i in range(300, 306))
     assert lattice.near_duplicates(df.limit(0)).count() == 0
+
+
+def test_many_equal_vectors_fill_no_cell(spark):
+    rng = np.random.default_rng(3)
+    a, b = rng.normal(size=16), rng.normal(size=16)
+    near = a + rng.normal(size=16) * 0.01
+    rows = [(i, a.tolist(), 1) for i in range(3000)] + [(3000, near.tolist(), 2), (3001, b.tolist(), 3), (None, a.tolist(), 4), (5, a.tolist(), 5)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, rk int")
+    got = lattice.near_duplicates(df).collect()
+    assert len(got) == len(rows)
+    links = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in got}
+    assert links[3000] == (3001, 0, False) and links[3001] == (0, 3001, True) and links[7] == (3001, 0, False) and links[0] == (3001, 0, True) and links[None] == (3001, 0, False)

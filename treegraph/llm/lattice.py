@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, materialise, table
+from .common import components, materialise, maybe_broadcast, table
 
 #: Tables, E8 blocks in a key, neighbouring cells probed in each table, and the edge of a cell for unit vectors.
 TABLES, BLOCKS, PROBES, EDGE, SEED = 8, 2, 8, 1.5, 11
@@ -114,8 +114,8 @@ def _lists(x: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel()))
 
 
-def compare(key: int, ids: np.ndarray, x: np.ndarray, keys: np.ndarray, part: np.ndarray, threshold: float):
-    """Links of one cell, or of one pair of its blocks: (ids, links, root) of the members that have any.
+def compare(key: int, ids: np.ndarray, x: np.ndarray, keys: np.ndarray, part: np.ndarray, threshold: float, weight: np.ndarray):
+    """Links of one cell, or of one pair of its blocks: (ids, links, root) of the members that have any; a link counts the other's weight.
 
     Only pairs at the threshold whose first common cell is this one count, so that no pair is counted twice. part holds each
     member's block, 0 or 1, with -1 for all where a block meets itself.
@@ -139,7 +139,7 @@ def compare(key: int, ids: np.ndarray, x: np.ndarray, keys: np.ndarray, part: np
         return None
     near = np.zeros((len(ids), len(ids)), dtype=bool)
     near[a, b] = near[b, a] = True
-    links = near.sum(axis=1)
+    links = near @ weight
     root = np.full(len(ids), -1)
     for i in np.flatnonzero(links):
         if root[i] < 0:
@@ -155,7 +155,7 @@ def compare(key: int, ids: np.ndarray, x: np.ndarray, keys: np.ndarray, part: np
 
 
 def link_cells(shares: DataFrame, threshold: float) -> DataFrame:
-    """(rk, links, root) from shares(key, bi, bj, own, rk, unit, keys), dealt and sorted by (key, dim, bi, bj)."""
+    """(rk, links, root) from shares(key, dim, bi, bj, own, rk, unit, keys, weight), dealt and sorted by (key, dim, bi, bj)."""
 
     def run(it):
         held: list = []
@@ -170,18 +170,18 @@ def link_cells(shares: DataFrame, threshold: float) -> DataFrame:
             x, keys = np.array([held[i][1] for i in once]), np.array([held[i][2] for i in once]).reshape(len(once), TABLES, 1 + PROBES)
             same = name[2] == name[3]
             part = np.full(len(once), -1) if same else np.array([int(held[i][3] == name[3]) for i in once])
-            return compare(name[0], ids, x, keys, part, threshold)
+            return compare(name[0], ids, x, keys, part, threshold, np.array([held[i][4] for i in once], dtype=np.int64))
 
         found: list = []
         for batch in it:
             names = list(zip(*[batch.column(i).to_pylist() for i in range(4)]))
             own, rk = batch.column(4).to_pylist(), batch.column(5).to_pylist()
-            vec, key = batch.column(6), batch.column(7)
+            vec, key, weight = batch.column(6), batch.column(7), batch.column(8).to_pylist()
             for i, n in enumerate(names):
                 if n != name:
                     found.append(close())
                     held, name = [], n
-                held.append((rk[i], vec[i].values.to_numpy(), key[i].values.to_numpy(), own[i]))
+                held.append((rk[i], vec[i].values.to_numpy(), key[i].values.to_numpy(), own[i], weight[i]))
             done = [f for f in found if f]
             found = []
             if done:
@@ -197,11 +197,17 @@ def near_duplicates(vectors: DataFrame, *, id_col: str = "vec_id", vec_col: str
 
     Links are pairs found with cosine >= threshold in double precision, none below it. Null, zero and non-finite vectors link
     with nothing, nor do vectors of different length. Rows that repeat id and vector are one vector, but each gets its row.
-    A component is named by its smallest id that is not null; kept marks its member of that id. No pair leaves a cell: cells
-    send counts of links and one edge a member. An empty table gives an empty result; other columns are ignored.
+    A component is named by its smallest id that is not null; kept marks its member of that id. Equal vectors are compared
+    once, with the number of their ids as weight, so that copies fill no cell. No pair leaves a cell: cells send counts of
+    links and one edge a member. An empty table gives an empty result; other columns are ignored.
     """
-    rows = vectors.select(F.xxhash64(F.col(id_col), F.col(vec_col)).alias("rk"), F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).alias("vector"))
-    known = materialise(cells(rows).dropDuplicates(["rk"]), "cells")
+    one, two = F.xxhash64(F.col(vec_col)), F.xxhash64(F.lit(1), F.col(vec_col))  # together the name of a vector
+    rows = vectors.select(one.alias("v1"), two.alias("v2"), F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).alias("vector"))
+    ids = rows.select("v1", "v2", "vec_id")
+    weights = ids.distinct().groupBy("v1", "v2").agg(F.count(F.lit(1)).alias("weight"), F.min("vec_id").alias("low"))
+    distinct = rows.groupBy("v1", "v2").agg(F.first("vector").alias("vector")).join(weights, ["v1", "v2"])
+    named = materialise(distinct.select(F.monotonically_increasing_id().alias("rk"), "v1", "v2", "vector", "weight", "low"), "vectors")
+    known = materialise(cells(named), "cells")
     share = known.select("rk", "dim", F.posexplode("keys").alias("at", "key")).select("rk", "dim", "key", (F.col("at") % (1 + PROBES) == 0).alias("home"))
     share = share.groupBy("key", "dim", "rk").agg(F.max("home").alias("home"))
     size = share.groupBy("key", "dim").agg(F.count(F.lit(1)).alias("c"), F.max("home").alias("any")).where("c > 1 and any").select("key", "dim", F.ceil(F.col("c") / BLOCK).cast("int").alias("blocks"))
@@ -209,16 +215,19 @@ def near_duplicates(vectors: DataFrame, *, id_col: str = "vec_id", vec_col: str
     own = F.pmod(F.xxhash64("rk", F.lit(1)), F.col("blocks")).cast("int")
     share = share.select("rk", "dim", "key", own.alias("own"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
     share = share.select("key", "dim", F.least("own", "other").alias("bi"), F.greatest("own", "other").alias("bj"), "own", "rk")
-    wide = share.join(known.select("rk", "unit", "keys"), "rk").select("key", "dim", "bi", "bj", "own", "rk", "unit", "keys")
+    wide = share.join(known.select("rk", "unit", "keys"), "rk").join(named.select("rk", "weight"), "rk").select("key", "dim", "bi", "bj", "own", "rk", "unit", "keys", "weight")
     found = materialise(link_cells(wide.repartition("key", "dim", "bi", "bj").sortWithinPartitions("key", "dim", "bi", "bj"), threshold), "links")
     group = components(found.select(F.col("rk").alias("u"), F.col("root").alias("v")))
-    links = found.groupBy("rk").agg(F.sum("links").alias("n_links"))
-    ids = rows.select("rk", "vec_id")
-    named = ids.join(group.select(F.col("node").alias("rk"), "label"), "rk").groupBy("label").agg(F.min("vec_id").alias("component_id"))
-    named = group.join(named, "label").select(F.col("node").alias("rk"), "component_id")
-    out = ids.join(links, "rk", "left").join(named, "rk", "left")
-    component = F.coalesce("component_id", "vec_id")
-    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, component.isNull()).alias("kept"))
+    links = found.groupBy("rk").agg(F.sum("links").alias("links"))
+    able = known.select("rk", F.lit(True).alias("able"))
+    by_vector = named.select("rk", "v1", "v2", "weight", "low").join(able, "rk", "left").join(links, "rk", "left").join(group.select(F.col("node").alias("rk"), "label"), "rk", "left")
+    by_vector = by_vector.withColumn("label", F.coalesce("label", "rk"))
+    least = by_vector.groupBy("label").agg(F.min("low").alias("least"))
+    n = F.when(F.col("able"), F.coalesce("links", F.lit(0)) + F.col("weight") - 1).otherwise(0).cast("long")
+    by_vector = by_vector.join(least, "label").select("v1", "v2", n.alias("n_links"), F.when(F.col("able"), F.col("least")).alias("least"))
+    out = ids.join(maybe_broadcast(materialise(by_vector, "named")), ["v1", "v2"])
+    component = F.coalesce("least", "vec_id")
+    return out.select("vec_id", "n_links", component.alias("component_id"), F.coalesce(F.col("vec_id") == component, component.isNull()).alias("kept"))
 
 
 def op10_lattice_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -226,4 +235,14 @@ def op10_lattice_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {"op10_lattice_near_dedup": op10_lattice_near_dedup}
-ORACLES: dict[str, str] = {}
+ORACLES = {
+    "op10_lattice_near_dedup": """
+      WITH RECURSIVE v AS (SELECT row_number() OVER () AS r, vec_id, CAST(embedding AS DOUBLE[]) AS e FROM (SELECT DISTINCT vec_id, embedding FROM embeddings)),
+      ok AS MATERIALIZED (SELECT r, vec_id, len(e) AS d, list_transform(e, lambda x: x / sqrt(list_dot_product(e, e))) AS u FROM v
+        WHERE len(e) > 0 AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND list_dot_product(e, e) > 0),
+      pair AS MATERIALIZED (SELECT a.r AS a, b.r AS b FROM ok a JOIN ok b ON a.r <> b.r AND a.d = b.d WHERE list_dot_product(a.u, b.u) >= 0.95),
+      reach(a, b) AS (SELECT r, r FROM v UNION SELECT reach.a, pair.b FROM reach JOIN pair ON pair.a = reach.b),
+      comp AS (SELECT reach.a AS r, min(v.vec_id) AS component_id FROM reach JOIN v ON v.r = reach.b GROUP BY reach.a),
+      n AS (SELECT a AS r, count(*) AS n_links FROM pair GROUP BY a)
+      SELECT e.vec_id, coalesce(n_links, 0) AS n_links, component_id, e.vec_id = component_id AS kept FROM embeddings e JOIN v ON v.vec_id IS NOT DISTINCT FROM e.vec_id AND v.e IS NOT DISTINCT FROM CAST(e.embedding AS DOUBLE[]) JOIN comp USING (r) LEFT JOIN n USING (r)"""
+}
