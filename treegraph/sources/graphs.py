@@ -59,7 +59,7 @@ def near_pairs(content: DataFrame, least: float, block: int = EDGE_BLOCK) -> Dat
     dealt = content.select("num", "embedding", own.alias("own")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
     dealt = dealt.select("num", "embedding", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
 
-    def run(key, g: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
         i, j = (int(k) for k in key)
         left, right = g[g["own"] == i], g[g["own"] == j]
         if not len(left) or not len(right):
