@@ -69,4 +69,14 @@ def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {"op8_line_dedup": op8_line_dedup}
-ORACLES: dict[str, str] = {}
+ORACLES = {
+    "op8_line_dedup": r"""
+      WITH l AS (SELECT doc_id, unnest(generate_series(1, len(string_split(text, chr(10))))) AS i, unnest(string_split(text, chr(10))) AS line FROM documents WHERE text IS NOT NULL),
+      d AS MATERIALIZED (SELECT *, row_number() OVER (ORDER BY doc_id NULLS FIRST, i) AS r, list_filter(regexp_split_to_array(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM l),
+      s AS MATERIALIZED (SELECT DISTINCT r, unnest(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')] ELSE list_transform(generate_series(1, len(w) - 4), lambda i: array_to_string(w[i:i + 4], ' ')) END) AS g FROM d),
+      n AS MATERIALIZED (SELECT r, count(*) AS n FROM s GROUP BY r),
+      p AS (SELECT a.r AS a, b.r AS b, count(*) AS c FROM s a JOIN s b ON a.g = b.g AND a.r < b.r GROUP BY a.r, b.r),
+      gone AS MATERIALIZED (SELECT DISTINCT b AS r FROM p JOIN n x ON x.r = a JOIN n y ON y.r = b WHERE 100 * c >= 80 * (x.n + y.n - c)),
+      kept AS (SELECT doc_id, CAST(count(*) AS INTEGER) AS n_lines, CAST(count(gone.r) AS INTEGER) AS n_removed, coalesce(array_to_string(list(line ORDER BY i) FILTER (gone.r IS NULL), chr(10)), '') AS text FROM d LEFT JOIN gone USING (r) GROUP BY doc_id)
+      SELECT doc_id, n_lines, n_removed, text FROM kept UNION ALL SELECT doc_id, 0, 0, NULL FROM documents WHERE text IS NULL"""
+}
