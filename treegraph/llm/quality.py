@@ -51,7 +51,7 @@ def statistics(text: str | None) -> np.ndarray:
             counts[w] = counts.get(w, 0) + 1
         lines = [x for x in raw.split(b"\n") if x.strip()]
         ended = sum(x.rstrip()[-1:] in b".!?" for x in lines) / len(lines)
-        upper = sum(w[:1].isupper() for w in words[:: max(1, len(words) // 512)]) / len(words[:: max(1, len(words) // 512)])
+        upper = sum(w[:1].isupper() for w in words) / len(words)
         out[k + 1 :] = [np.log1p(len(words)), np.log1p(sizes.mean()), np.log1p(sizes.std()), len(counts) / len(words) ** 0.9, max(counts.values()) / len(words), len(set(lines)) / len(lines), np.log1p(len(words) / len(lines)), ended, np.log1p(sizes.max()), upper]
     return out
 
