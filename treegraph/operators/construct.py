@@ -11,13 +11,14 @@ from typing import Protocol
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
 from ..plans.strategy import small
 from ..sources.graphs import graph_d_sentences, graph_e
 from ..sources.stored import drop, written
+from ..sources.tables import words
 from . import search
 
 
@@ -291,6 +292,23 @@ def text_items(s, d) -> DataFrame:
     return x.select(F.concat(F.md5("sentence"), F.lit(":"), F.col("batch_id").cast("string")).alias("node_id"), "batch_id", key.alias("key"))
 
 
+def lead_summaries(items: DataFrame, by: list[str], tokens: str = "tokens", n: int = 5) -> DataFrame:
+    """(by, summary): a stand-in for a written summary, the n commonest tokens of each group, ties by token.
+
+    Counts are partial sums by group and token; each task keeps its n first of a group before they move.
+    """
+    c = items.select(*by, F.explode(tokens).alias("t")).groupBy(*by, "t").agg(F.count(F.lit(1)).alias("c"))
+    first = c.withColumn("k", F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("c"), "t"))).where(F.col("k") <= n)
+    return first.groupBy(*by).agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("k", "t"))), lambda x: x["t"]), " ").alias("summary"))
+
+
+def _lead(s, d):
+    """Summaries of every chapter (language and source) and of every document of the text graph."""
+    x = graph_d_sentences(s, d).select("lang", "source", "doc_id", words("sentence").alias("tokens"))
+    chapter = lead_summaries(x, ["lang", "source"]).select(F.concat_ws(":", F.lit("chapter"), "lang", "source").alias("node_id"), "summary")
+    return chapter.unionByName(lead_summaries(x, ["doc_id"]).select(F.concat_ws(":", F.lit("document"), F.col("doc_id").cast("string")).alias("node_id"), "summary"))
+
+
 def _merged(s, d):
     """What merging does to the text graph: edges from lines to sentences, sentences and their most parents, before and after."""
     x = graph_d_sentences(s, d).select(F.concat_ws(":", F.lit("line"), F.col("doc_id").cast("string"), F.col("line").cast("string")).alias("parent_id"), F.concat(F.md5("sentence"), F.lit(":"), F.col("batch_id").cast("string")).alias("child_id")).distinct()
@@ -307,6 +325,7 @@ QUERIES = {
     "dedup_cross": lambda s, d: match_by_text(text_items(s, d)),
     "components": lambda s, d: connected_components(graph_e(s, d).sem_edges.select(F.col("src").alias("a"), F.col("dst").alias("b"))),
     "merge_study": _merged,
+    "summaries_lead": _lead,
     "centroid_filter_saving": lambda s, d: prompt_saving(centroid_filter(candidate_pairs(s, d), relation_ontology(s, d))),
     "extracted_types": lambda s, d: _extracted(s, d).groupBy("name").agg(F.count(F.lit(1)).alias("n")),
     "validator_trace": _trace,
@@ -355,6 +374,10 @@ tr AS MATERIALIZED (SELECT name, duplicate, step, CASE WHEN step IN (1, 2) THEN
         "dedup_cross": _KEYS + "SELECT * FROM hit",
         "merge_study": _KEYS + """, e AS (SELECT DISTINCT doc_id, line, md5(sentence) || ':' || batch_id AS child FROM sen), f AS (SELECT DISTINCT doc_id, line, coalesce(canonical_id, child) AS child FROM e LEFT JOIN hit ON node_id = child)
           SELECT state, CAST(sum(c) AS BIGINT) AS edges, count(*) AS sentences, max(c) AS most_parents FROM (SELECT 'before' AS state, child, count(*) AS c FROM e GROUP BY child UNION ALL SELECT 'after', child, count(*) FROM f GROUP BY child) GROUP BY state""",
+        "summaries_lead": _KEYS.rstrip() + """, tk AS (SELECT doc_id, unnest(list_filter(regexp_split_to_array(lower(sentence), '[^\\p{L}\\p{N}]+'), lambda w: w <> '')) AS t FROM sen),
+          g AS (SELECT 'document:' || doc_id AS node_id, t FROM tk UNION ALL SELECT concat_ws(':', 'chapter', lang, source), t FROM tk JOIN documents USING (doc_id)),
+          n AS (SELECT node_id, t, row_number() OVER (PARTITION BY node_id ORDER BY count(*) DESC, t) AS k FROM g GROUP BY node_id, t QUALIFY k <= 5)
+          SELECT node_id, array_to_string(list(t ORDER BY k), ' ') AS summary FROM n GROUP BY node_id""",
         "components": base.replace("WITH c", "WITH RECURSIVE c", 1) + "reach(node, top) AS (SELECT src, src FROM ways UNION SELECT ways.dst, top FROM reach JOIN ways ON ways.src = reach.node) SELECT node AS node_id, min(top) AS canonical_id FROM reach GROUP BY node",
         "centroid_filter_saving": kept + " SELECT count(*) AS pairs, count(*) FILTER (NOT kept) AS saved, round(count(*) FILTER (NOT kept) / count(*), 6) AS share FROM kp",
         "extracted_types": kept + " SELECT CASE WHEN best >= 0.2 THEN rel_type ELSE 'near_' || rel_type END AS name, count(*) AS n FROM kp WHERE kept GROUP BY 1",

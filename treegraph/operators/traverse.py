@@ -50,11 +50,13 @@ def both_ways(edges: DataFrame) -> DataFrame:
     return edges.select("src", "dst", "rel_type", *more).unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "rel_type", *more))
 
 
-def select_relations(g: Graph, mode: str = "all", top: int = TOP_TYPES, queries: DataFrame | None = None) -> DataFrame:
-    """Relation types to follow: all, the commonest, or (centroid) those nearest to each query, as (query_id, rel_type)."""
+def select_relations(g: Graph, mode: str = "all", top: int = TOP_TYPES, queries: DataFrame | None = None, allow: tuple[str, ...] = ()) -> DataFrame:
+    """Relation types to follow: all, those of allow (allowlist), the commonest (frequency), or those nearest to each query (centroid), as (query_id, rel_type)."""
     types = g.sem_edges.groupBy("rel_type").agg(F.count(F.lit(1)).alias("c"))
     if mode == "all":
         return types.select("rel_type")
+    if mode == "allowlist":
+        return types.where(F.col("rel_type").isin(list(allow))).select("rel_type")
     if mode == "frequency":
         return types.orderBy(F.desc("c"), "rel_type").limit(top).select("rel_type")
     ends = g.sem_edges.select("rel_type", F.explode(F.array("src", "dst")).alias("node_id")).join(g.content.select("node_id", "embedding"), "node_id")
@@ -74,9 +76,9 @@ def hop(g: Graph, seeds: DataFrame, relations: DataFrame | None = None, cross_br
     return out.groupBy("query_id", "node_id").agg(F.max("seed_score").alias("seed_score"))
 
 
-def horizontal(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, seeds: int = SEEDS, top_types: int = TOP_TYPES, types_by: str = "frequency") -> DataFrame:
+def horizontal(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, seeds: int = SEEDS, top_types: int = TOP_TYPES, types_by: str = "frequency", allow: tuple[str, ...] = ()) -> DataFrame:
     start = search.vector_topk(queries, g.content, seeds).select("query_id", "node_id", F.col("score").alias("seed_score"))
-    rel = select_relations(g, types_by, top_types, queries) if variant == "filtered" else None
+    rel = select_relations(g, types_by, top_types, queries, allow) if variant == "filtered" else None
     c = with_cosine(hop(g, start, rel), queries, g.content)
     return S.cut(S.rrf_columns(c, ["seed_score", "cos"]), k) if variant == "rrf" else S.cut(c, k, "cos")
 
@@ -103,7 +105,8 @@ def parent_scores(g: Graph, queries: DataFrame, c: int = CLIMBERS, child_scope:
 
 
 def bottomup(g: Graph, queries: DataFrame, k: int, variant: str = "parent", *, emit: str = "children", c: int = CLIMBERS) -> DataFrame:
-    """Parents by summary cosine, child score, or both fused; emit parents, or their children in the order of the parents."""
+    """Parents by summary cosine, child score, or both fused; emit parents, their children in the order of the parents, or both:
+    each parent before its children."""
     p = parent_scores(g, queries, c).withColumnRenamed("parent_id", "node_id")
     p = S.rrf_columns(p, ["cos", "agg_score"]) if variant == "rrf" else p.withColumn("score", F.col({"parent": "cos", "agg": "agg_score"}[variant]))
     if emit == "parents":
@@ -111,5 +114,7 @@ def bottomup(g: Graph, queries: DataFrame, k: int, variant: str = "parent", *, e
     p = p.select("query_id", F.col("node_id").alias("parent_id"), F.round("score", 9).alias("parent_score"))
     kids = g.struct_edges.where("child_id like 'v:%'").join(small(p), "parent_id").groupBy("query_id", F.col("child_id").alias("node_id")).agg(F.max("parent_score").alias("parent_score"))
     kids = with_cosine(kids, queries, g.content)
+    if emit == "both":
+        kids = kids.select("query_id", "node_id", "parent_score", "cos").unionByName(p.select("query_id", F.col("parent_id").alias("node_id"), "parent_score", F.lit(2.0).alias("cos")))
     w = Window.partitionBy("query_id").orderBy(F.desc("parent_score"), F.desc("cos"), "node_id")
     return kids.select("query_id", "node_id", F.col("parent_score").alias("score"), F.row_number().over(w).alias("rank")).where(F.col("rank") <= k)

@@ -239,6 +239,8 @@ def _rounded(f):
 QUERIES = {k: _rounded(f) for k, f in METHODS.items()} | {
     "topk_arrow": _rounded(topk_arrow),
     "bu_parents_agg": _rounded(_on_graph(traverse.bottomup, variant="agg", emit="parents")),
+    "bu_both": _rounded(_on_graph(traverse.bottomup, variant="agg", emit="both")),
+    "hz_allowed": _rounded(_on_graph(traverse.horizontal, variant="filtered", types_by="allowlist", allow=("r1", "r4"))),
     "hz_centroid": _rounded(_on_graph(traverse.horizontal, variant="filtered", types_by="centroid")),
     "queries_e": queries_table,
     "qrels_e": qrels_table,
@@ -420,6 +422,10 @@ _PARTS = {
     "bu_rrf": _BU + _kids("fused"),
     "bu_parents_agg": _BU + _cut("pr", "agg_score", name="parent_id"),
     "hz_centroid": _NEAREST + _cut("hc", "cos"),
+    "hz_allowed": _ALL.replace("rel_type IN (SELECT rel_type FROM types)", "rel_type IN ('r1', 'r4')") + _cut("hc", "cos"),
+    "bu_both": _BU + """kb AS (SELECT query_id, node_id, max(agg_score) AS parent_score FROM pr JOIN edge USING (parent_id) GROUP BY ALL),
+bo AS (SELECT query_id, node_id, parent_score, cos FROM kb JOIN cs USING (query_id, node_id) UNION ALL SELECT query_id, parent_id, agg_score, 2.0 FROM pr),
+run AS (SELECT query_id, node_id, parent_score AS score, CAST(row_number() OVER (PARTITION BY query_id ORDER BY parent_score DESC, cos DESC, node_id) AS INTEGER) AS rank FROM bo QUALIFY rank <= 10)""",
 }
 _RUN = {k: _BASE + v for k, v in _PARTS.items()}
 #: The runs of all methods: each in a query of its own inside, over the graph and the queries outside.
