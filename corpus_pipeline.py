@@ -1,4 +1,9 @@
-"""A cleaning pipeline over documents: five stages, each written as Parquet and read again as the next one's documents."""
+"""A cleaning pipeline over documents: five stages, each written as Parquet and read again as the next one's documents.
+
+Null and wordless texts have no language and go in the first stage. Rows that repeat id and text are one document: their lines
+stay alike and one of them is kept. Columns beside those named pass through the filtering stages unchanged; an empty table
+gives an empty result with the same columns.
+"""
 
 from __future__ import annotations
 
@@ -49,7 +54,7 @@ STAGES = [
     ("byte-level BPE", tokenise),
 ]
 
-ORACLE_SQL = None  # cross-parsing has no SQL; tests hold the stages against brute force
+ORACLE_SQL = None  # cross-parsing has no SQL; tests/llm/test_pipeline.py holds the other stages against brute force and the whole against planted rows
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
