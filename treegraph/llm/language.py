@@ -94,21 +94,22 @@ class Model:
         at = np.minimum(np.searchsorted(self.alphabet, points), len(self.alphabet) - 1)
         return np.where(self.alphabet[at] == points, at + 1, 0).astype(np.int64)
 
-    def step(self, state: np.ndarray, code: np.ndarray) -> np.ndarray:
-        """The state after a letter, 0 where there is none."""
+    def walk(self):
+        """(states, codes) -> the states after these letters, 0 where there is none. States are times the number of letters."""
         letters = len(self.alphabet) + 1
         if self.states * letters <= DENSE:
             if "dense" not in self.__dict__:
                 self.dense = np.zeros(self.states * letters, dtype=np.int32)
-                self.dense[self.arcs] = self.ends
-            return self.dense.take(state * letters + code)
-        key = state * letters + code
-        at = np.minimum(np.searchsorted(self.arcs, key), len(self.arcs) - 1)
-        return np.where(self.arcs[at] == key, self.ends[at], 0)
+                self.dense[self.arcs] = self.ends * letters
+            return lambda state, code: self.dense.take(state + code)
+        ends = self.ends * letters
 
-    def again(self, roots: np.ndarray, code: np.ndarray) -> np.ndarray:
-        """The state of a phrase that begins with a letter; after an unknown letter it is 0, so that the next begins another."""
-        return self.step(roots, code)
+        def look(state, code):
+            key = state + code
+            at = np.minimum(np.searchsorted(self.arcs, key), len(self.arcs) - 1)
+            return np.where(self.arcs[at] == key, ends[at], 0)
+
+        return look
 
     def phrases(self, texts: list[np.ndarray]) -> np.ndarray:
         """Phrases of each text (folded code points) for each language: (texts, languages).
@@ -129,21 +130,27 @@ class Model:
         length = np.minimum(STRETCH, np.repeat(sizes, per) - nth * STRETCH)
         order = np.argsort(-length, kind="stable")
         active = np.searchsorted(-length[order], -np.arange(length.max()), "left")  # stretches longer than t
+        letters, step, sorted_begin = len(self.alphabet) + 1, self.walk(), begin[order]
+        kind = np.int32 if self.states * letters <= DENSE else np.int64
+        codes = codes.astype(kind)
         for k in range(len(self.languages)):
-            root = self.start[k]
-            state = np.full(len(owner), root, dtype=np.int64)
+            # a phrase that begins with a letter; after an unknown one it is 0, so that the next begins another
+            again = step(np.full(letters, self.start[k] * letters, dtype=kind), np.arange(letters, dtype=kind))
+            now = np.full(len(owner), self.start[k] * letters, dtype=kind)
             fresh = np.zeros(len(codes), dtype=bool)  # a phrase begins here
             fresh[begin] = True
             for t, m in enumerate(active.tolist()):
-                at = order[:m]
-                c = codes[begin[at] + t]
-                to = self.step(state[at], c)
+                place = sorted_begin[:m] + t
+                c = codes[place]
+                to = step(now[:m], c)
                 dead = np.flatnonzero(to == 0)
                 if len(dead):
-                    to[dead] = self.again(np.full(len(dead), root, dtype=np.int64), c[dead])
+                    to[dead] = again[c[dead]]
                     if t:
-                        fresh[begin[at[dead]] + t] = True
-                state[at] = to
+                        fresh[place[dead]] = True
+                now[:m] = to
+            state = np.empty_like(now)
+            state[order] = now
             count = np.add.reduceat(fresh.astype(np.int64), begin)
             # the phrase from before each stretch goes on into it
             late = np.flatnonzero(nth > 0)
@@ -157,10 +164,9 @@ class Model:
                         break
                     place = begin[late[go]] + t
                     c = codes[place]
-                    to = self.step(carried[go], c)
+                    to = step(carried[go], c)
                     dead = to == 0
-                    if dead.any():
-                        to[dead] = self.again(np.full(int(dead.sum()), root, dtype=np.int64), c[dead])
+                    to = np.where(dead, again[c], to)
                     same = dead & fresh[place]
                     more[go] += np.where(same, 0, dead.astype(np.int64) - fresh[place])
                     fresh[place] = dead  # what is true now
@@ -260,7 +266,7 @@ def identify(docs: DataFrame, model: Model, *, text_col: str = "text") -> DataFr
         m, texts = shared.value, column.to_pylist()
         langs, scores, strange, at = [], [], [], 0
         while at < len(texts):
-            to, room = at, 3 << 20
+            to, room = at, 1 << 20
             while to < len(texts) and (to == at or room > 0):
                 room -= len(texts[to] or "")
                 to += 1
