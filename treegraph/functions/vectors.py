@@ -32,10 +32,14 @@ def add(a, b) -> Column:
     return F.zip_with(col(a), col(b), lambda x, y: x + y)
 
 
+def let(value, f) -> Column:
+    """f(value), with value evaluated once: an expression that stands inside a lambda is evaluated for every element."""
+    return F.transform(F.array(col(value)), f)[0]
+
+
 def l2_normalise(a) -> Column:
     """a over its length; a zero vector stays."""
-    n = norm(a)
-    return F.when(n > 0, F.transform(col(a), lambda x: x / n)).otherwise(col(a))
+    return let(a, lambda v: let(norm(v), lambda n: F.when(n > 0, F.transform(v, lambda x: x / n)).otherwise(v)))
 
 
 def cosine(a, b) -> Column:
@@ -57,9 +61,14 @@ def damped(mean, n_above) -> Column:
     return col(mean) * F.log(1 + col(n_above))
 
 
-def centroid(df: DataFrame, by: list[str], vec: str = "embedding", out: str = "embedding", unit: bool = True) -> DataFrame:
-    """Mean vector of each group: components are averaged as rows, with partial sums, rounded to 6 places, then normalised."""
-    parts = df.select(*by, F.posexplode(vec).alias("at", "x")).groupBy(*by, "at").agg(F.avg("x").alias("x"))
+def centroid(df: DataFrame, by: list[str], vec: str = "embedding", out: str = "embedding", unit: bool = True, weight: str | None = None) -> DataFrame:
+    """Mean vector of each group: components are averaged as rows, with partial sums, rounded to 6 places, then normalised.
+
+    A row counts `weight` times, where one is given.
+    """
+    w = F.col(weight).cast("double") if weight else F.lit(1.0)
+    mean = F.sum(F.col("x") * F.col("__w")) / F.sum("__w") if weight else F.avg("x")
+    parts = df.select(*by, w.alias("__w"), F.posexplode(vec).alias("at", "x")).groupBy(*by, "at").agg(mean.alias("x"))
     packed = parts.groupBy(*by).agg(F.array_sort(F.collect_list(F.struct("at", F.round("x", 6).alias("x")))).alias("p"))
     mean = F.transform("p", lambda s: s["x"])
     return packed.select(*by, (l2_normalise(mean) if unit else mean).alias(out))

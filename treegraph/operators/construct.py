@@ -20,6 +20,7 @@ from ..sources.graphs import graph_d_sentences, graph_e
 from ..sources.stored import drop, written
 from ..sources.tables import words
 from . import search
+from .traverse import relation_centroids
 
 
 def union_find(a: list[int], b: list[int], n: int) -> np.ndarray:
@@ -231,9 +232,7 @@ def sentence_items(spark: SparkSession, d: str) -> DataFrame:
 
 
 def relation_ontology(spark: SparkSession, d: str) -> DataFrame:
-    g = graph_e(spark, d)
-    ends = g.sem_edges.select("rel_type", F.explode(F.array("src", "dst")).alias("node_id")).join(g.content.select("node_id", "embedding"), "node_id")
-    return V.centroid(ends, ["rel_type"], out="centroid")
+    return relation_centroids(graph_e(spark, d), "centroid")
 
 
 def candidate_pairs(spark: SparkSession, d: str) -> DataFrame:

@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 
 from ..functions import vectors as V
 from ..plans.strategy import small
+from ..sources.stored import written
+from . import blocks
 from . import scoring as S
 
 
@@ -19,7 +21,8 @@ def scored(queries: DataFrame, nodes: DataFrame) -> DataFrame:
 
 
 def vector_topk(queries: DataFrame, nodes: DataFrame, k: int) -> DataFrame:
-    return S.cut(scored(queries, nodes), k, "cos")
+    """The k nearest nodes of each query, exactly: every pair of blocks keeps its k best of each query before the shuffle."""
+    return S.cut(blocks.topk(queries, nodes, k), k, "cos")
 
 
 def vector_topk_blocks(queries: DataFrame, nodes: DataFrame, k: int, block: int = 256) -> DataFrame:
@@ -66,12 +69,11 @@ def hyperplane_codes(df: DataFrame, id_col: str, bits: int, tables: int, probes:
 
 
 def ann_topk(queries: DataFrame, nodes: DataFrame, k: int, *, bits: int = 6, tables: int = 16, probes: int = 4, seed: int = 42, dim: int = 64) -> DataFrame:
-    """Approximate search: equal codes in some table make candidates, exact cosines rank them. Nodes shuffle once, by bucket."""
-    q = hyperplane_codes(queries, "query_id", bits, tables, probes, seed, dim)
-    n = hyperplane_codes(nodes, "node_id", bits, tables, 0, seed, dim)
-    pairs = n.join(small(q), ["table", "bucket"]).select("query_id", "node_id").distinct()
-    c = pairs.join(nodes.select("node_id", "embedding"), "node_id").join(small(queries.select("query_id", F.col("embedding").alias("qv"))), "query_id")
-    return S.cut(c.select("query_id", "node_id", V.cosine("qv", "embedding").alias("cos")), k, "cos")
+    """Approximate search: equal codes in some table make candidates, exact cosines rank them. A bucket's queries meet its nodes in
+    blocks, which keep the k best of each query; both sides travel once for each of their codes."""
+    q = hyperplane_codes(queries, "query_id", bits, tables, probes, seed, dim).join(queries.select("query_id", "embedding"), "query_id")
+    n = hyperplane_codes(nodes, "node_id", bits, tables, 0, seed, dim).join(nodes.select("node_id", "embedding"), "node_id")
+    return S.cut(blocks.topk(written(q, "codes"), written(n, "codes"), k, by=["table", "bucket"]).distinct(), k, "cos")
 
 
 def postings(texts: DataFrame, tokens: str = "tokens") -> tuple[DataFrame, DataFrame, DataFrame]:

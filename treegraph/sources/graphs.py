@@ -68,11 +68,11 @@ def near_pairs(content: DataFrame, least: float, block: int = EDGE_BLOCK) -> Dat
         p, q = left["num"].to_numpy(), right["num"].to_numpy()
         out = []
         for at in range(0, len(x), 512):
-            s = np.round(x[at : at + 512] @ y.T, 9)
-            u, v = np.nonzero(s >= least)
-            a, b = p[at + u], q[v]
-            keep = a < b if i == j else a != b
-            out.append(pd.DataFrame({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep], "weight": s[u, v][keep]}))
+            s = x[at : at + 512] @ y.T
+            u, v = np.nonzero(s >= least - 2e-9)  # only the few that may reach the threshold are rounded
+            a, b, w = p[at + u], q[v], np.round(s[u, v], 9)
+            keep = (a < b if i == j else a != b) & (w >= least)
+            out.append(pd.DataFrame({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep], "weight": w[keep]}))
         return pd.concat(out, ignore_index=True)
 
     return dealt.groupBy("i", "j").applyInPandas(run, "a long, b long, weight double")
