@@ -99,3 +99,33 @@ def test_weighted_centroid_counts_rows(spark):
     few = spark.createDataFrame([("a", [1.0, 0.0], 3), ("a", [0.0, 1.0], 1)], "k string, embedding array<double>, c long")
     many = spark.createDataFrame([("a", [1.0, 0.0])] * 3 + [("a", [0.0, 1.0])], "k string, embedding array<double>")
     assert V.centroid(few, ["k"], weight="c").collect() == V.centroid(many, ["k"]).collect()
+
+
+def test_lexical_search_over_many_blocks(spark, monkeypatch):
+    """Texts with frequent and rare terms, copies and empty ones, against the formula; before, a row stood for every shared term."""
+    import math
+
+    from treegraph.operators import search
+
+    rng = np.random.default_rng(2)
+    texts = [(f"v:{i}", [f"w{int(x)}" for x in rng.zipf(1.6, size=rng.integers(0, 30)) if x < 60]) for i in range(120)]
+    texts += [(f"v:c{i}", texts[5][1]) for i in range(20)]
+    asks = [(f"q:{i}", t) for i in range(0, 120, 6) for t in sorted(set(texts[i][1]) | {"nowhere"})]
+    monkeypatch.setattr(search, "ASKED", 7)
+    monkeypatch.setattr(search, "HELD", 3)
+    monkeypatch.setattr(blocks, "COLUMNS", 31)
+    t, q = spark.createDataFrame(texts, "node_id string, tokens array<string>"), spark.createDataFrame(asks, "query_id string, term string")
+    frame = search.bm25_topk(q, t, 8)
+    got = {(r.query_id, r["rank"]): (r.node_id, round(r.score, 6)) for r in frame.collect()}
+    assert "Join" not in frame._jdf.queryExecution().executedPlan().toString()  # no row for a shared term
+    n, avg = len(texts), sum(len(x) for _, x in texts) / len(texts)
+    df = {w: sum(w in x for _, x in texts) for w in {w for _, x in texts for w in x}}
+    want = {}
+    for name in {a for a, _ in asks}:
+        s = []
+        for node, x in texts:
+            both = [w for a, w in asks if a == name and w in x]
+            if both:
+                s.append((-round(sum(math.log(1 + (n - df[w] + 0.5) / (df[w] + 0.5)) * x.count(w) * 2.2 / (x.count(w) + 1.2 * (0.25 + 0.75 * len(x) / avg)) for w in both), 9), node))
+        want |= {(name, i + 1): (node, round(-v, 6)) for i, (v, node) in enumerate(sorted(s)[:8])}
+    assert got == want

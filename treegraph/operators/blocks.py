@@ -12,6 +12,8 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 #: Rows in a block of queries and of nodes; rows of a product at a time; pairs whose cosines are summed at a time.
 ROWS, COLUMNS, AT_ONCE, PAIRS = 2_048, 8_192, 256, 1 << 16
@@ -38,20 +40,34 @@ def cosines(x: np.ndarray, y: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.nd
     return nine(out)
 
 
+def places(names: pa.Array) -> np.ndarray:
+    """The place of each name in their order."""
+    order = np.empty(len(names), dtype=np.int64)
+    order[np.asarray(pc.sort_indices(names))] = np.arange(len(names))
+    return order
+
+
+def leading(s: np.ndarray, k: int):
+    """(row, column) of the k largest of each row of s, and of those that rounding may bring among them."""
+    least = np.partition(s, s.shape[1] - k, axis=1)[:, s.shape[1] - k] if k < s.shape[1] else np.full(len(s), -np.inf)
+    return np.nonzero(s >= (least - SLACK)[:, None])
+
+
+def firsts(i: np.ndarray, j: np.ndarray, score: np.ndarray, order: np.ndarray, k: int):
+    """The k largest scores of each i; equal ones go by the order of their j."""
+    o = np.lexsort((order[j], -score, i))
+    i, j, score = i[o], j[o], score[o]
+    keep = np.arange(len(i)) - np.searchsorted(i, i) < k
+    return i[keep], j[keep], score[keep]
+
+
 def best(x: np.ndarray, y: np.ndarray, names: pa.Array, k: int):
     """(row of x, row of y, cosine) of the k best of each row of x; equal cosines go by name."""
-    order = np.empty(len(y), dtype=np.int64)
-    order[np.asarray(pc.sort_indices(names))] = np.arange(len(y))
-    out = []
+    order, out = places(names), []
     for at in range(0, len(x), AT_ONCE):
-        s = x[at : at + AT_ONCE] @ y.T
-        least = np.partition(s, len(y) - k, axis=1)[:, len(y) - k] if k < len(y) else np.full(len(s), -np.inf)
-        i, j = np.nonzero(s >= (least - SLACK)[:, None])  # ties stay
-        cos = cosines(x, y, i + at, j)
-        o = np.lexsort((order[j], -cos, i))
-        i, j, cos = i[o], j[o], cos[o]
-        keep = np.arange(len(i)) - np.searchsorted(i, i) < k
-        out.append((i[keep] + at, j[keep], cos[keep]))
+        i, j = leading(x[at : at + AT_ONCE] @ y.T, k)
+        i, j, cos = firsts(i, j, cosines(x, y, i + at, j), order, k)
+        out.append((i + at, j, cos))
     return tuple(np.concatenate(c) for c in zip(*out))
 
 
@@ -66,11 +82,6 @@ def above(x: np.ndarray, y: np.ndarray, least: float):
     return tuple(np.concatenate(c) for c in zip(*out))
 
 
-def every(x: np.ndarray, y: np.ndarray):
-    i, j = (c.ravel() for c in np.indices((len(x), len(y))))
-    return i, j, cosines(x, y, i, j)
-
-
 def parts(df: DataFrame, size: int, by: list[str] = []) -> int:
     """Blocks that the largest group of df needs."""
     c = df.groupBy(*by).agg(F.count(F.lit(1)).alias("c")).agg(F.max("c")).first()[0] if by else df.count()
@@ -85,13 +96,14 @@ def each(n: int):
     return F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
 
 
-def products(left: DataFrame, right: DataFrame, run: Callable, schema: str, *, by: list[str] = [], rows: int = ROWS, columns: int | None = COLUMNS) -> DataFrame:
+def products(left: DataFrame, right: DataFrame, run: Callable, schema: str, *, by: list[str] = [], rows: int | None = None, columns: int | None = -1) -> DataFrame:
     """run(left, right) -> Table for every pair of blocks of left(query_id, embedding, ...) and right(node_id, embedding, ...), inside groups of `by`.
 
     Without columns all of a group's right side is in each of its tasks: for groups whose size is bounded.
     """
-    n, m = parts(left, rows, by), parts(right, columns, by) if columns else 1
-    empty = pa.schema([(f.name, pa.string() if f.dataType.simpleString() == "string" else pa.int64() if f.dataType.simpleString() == "bigint" else pa.float64()) for f in _fields(schema)]).empty_table()
+    n = parts(left, rows or ROWS, by)
+    m = parts(right, COLUMNS if columns == -1 else columns, by) if columns else 1
+    empty = to_arrow_schema(StructType.fromDDL(schema)).empty_table()
 
     def pair(l: pa.Table, r: pa.Table) -> pa.Table:
         return run(l, r) if l.num_rows and r.num_rows else empty
@@ -101,12 +113,6 @@ def products(left: DataFrame, right: DataFrame, run: Callable, schema: str, *, b
     return a.cogroup(b).applyInArrow(pair, schema)
 
 
-def _fields(schema: str):
-    from pyspark.sql.types import StructType
-
-    return StructType.fromDDL(schema).fields
-
-
 def picked(t: pa.Table, names: list[str], rows: np.ndarray) -> list:
     return [t.column(n).combine_chunks().take(pa.array(rows)) for n in names]
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -83,14 +84,74 @@ def postings(texts: DataFrame, tokens: str = "tokens") -> tuple[DataFrame, DataF
     return p, dl, dl.agg(F.count(F.lit(1)).alias("n"), F.avg("dl").alias("avgdl"))
 
 
+#: Queries of a block, and those whose scores of a block of texts are held at a time; the share of its cells that a term must
+#: touch to go into the dense product.
+ASKED, HELD, DENSE = 4_096, 512, 0.03
+
+
+def lexical_best(asked: pa.Table, texts: pa.Table, k: int, n: int, avgdl: float, k1: float, b: float):
+    """(row of asked, row of texts, score) of the k best texts of each query by BM25: frequent terms as a dense product, others cell by cell."""
+    lists = asked.column("terms").combine_chunks()
+    coded = pc.dictionary_encode(pc.struct_field(lists.flatten(), "term"))
+    q_term = np.asarray(coded.indices).astype(np.int64)
+    q_row = np.repeat(np.arange(len(lists)), np.asarray(pc.list_value_length(lists)))
+    df = np.zeros(len(coded.dictionary))
+    df[q_term] = np.asarray(pc.struct_field(lists.flatten(), "df"))
+    tokens = texts.column("tokens").combine_chunks()
+    dl = np.asarray(pc.fill_null(pc.list_value_length(tokens), 0)).astype(np.int64)
+    found = np.asarray(pc.fill_null(pc.index_in(tokens.flatten(), value_set=coded.dictionary), -1)).astype(np.int64)
+    cell, tf = np.unique((found * len(dl) + np.repeat(np.arange(len(dl)), dl))[found >= 0], return_counts=True)
+    d_term, d_row = np.divmod(cell, max(1, len(dl)))
+    weight = np.log(1 + (n - df + 0.5) / (df + 0.5))[d_term] * tf * (k1 + 1) / (tf + k1 * (1 - b + b * dl[d_row] / avgdl))
+    ends = np.searchsorted(d_term, np.arange(len(df) + 1))
+    order, out = blocks.places(texts.column("node_id").combine_chunks()), []
+    by_term = np.lexsort((q_row, q_term))
+    for at in range(0, len(lists), HELD):
+        rows = min(HELD, len(lists) - at)
+        mine = by_term[(q_row[by_term] >= at) & (q_row[by_term] < at + rows)]
+        qt, qr = q_term[mine], q_row[mine] - at
+        terms, first = np.unique(qt, return_index=True)
+        last = np.append(first[1:], len(qt))
+        share = (last - first) * (ends[terms + 1] - ends[terms]) / (rows * len(dl))
+        s = np.zeros((rows, len(dl)))
+        frequent = terms[share > DENSE]
+        for part in range(0, len(frequent), 512):
+            some = frequent[part : part + 512]
+            number = np.full(len(df), -1)
+            number[some] = np.arange(len(some))
+            x, y = np.zeros((rows, len(some))), np.zeros((len(some), len(dl)))
+            in_q = np.flatnonzero(number[qt] >= 0)
+            x[qr[in_q], number[qt[in_q]]] = 1
+            in_d = np.flatnonzero(number[d_term] >= 0)
+            y[number[d_term[in_d]], d_row[in_d]] = weight[in_d]
+            s += x @ y
+        for i in np.flatnonzero(share <= DENSE):
+            t = terms[i]
+            if ends[t] < ends[t + 1]:
+                s[qr[first[i] : last[i], None], d_row[ends[t] : ends[t + 1]]] += weight[ends[t] : ends[t + 1]]
+        i, j = blocks.leading(s, k)
+        hit = s[i, j] > 0  # a text without a term scores 0, one with any more
+        i, j, score = blocks.firsts(i[hit], j[hit], blocks.nine(s[i[hit], j[hit]]), order, k)
+        out.append((i + at, j, score))
+    return tuple(np.concatenate(c) for c in zip(*out))
+
+
 def bm25_topk(query_terms: DataFrame, texts: DataFrame, k: int, *, k1: float = 1.2, b: float = 0.75) -> DataFrame:
-    """Lexical search; query_terms (query_id, term) are distinct per query. Documents without a term don't appear."""
-    p, dl, stats = postings(texts)
-    df = p.groupBy("term").agg(F.count(F.lit(1)).alias("df"))
-    hit = p.join(small(query_terms), "term").join(df, "term").join(dl, "node_id").crossJoin(F.broadcast(stats))
-    idf = F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))
-    part = idf * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("dl") / F.col("avgdl")))
-    return S.cut(hit.groupBy("query_id", "node_id").agg(F.sum(part).alias("score")), k)
+    """Lexical search; query_terms (query_id, term) are distinct per query. Documents without a term don't appear.
+
+    A block of queries, with their terms' document frequencies, meets a block of texts(node_id, tokens) in one task; no row stands for a
+    shared term, nor for a posting.
+    """
+    texts = written(texts.select("node_id", "tokens"), "texts")
+    n, avgdl = texts.agg(F.count(F.lit(1)), F.avg(F.size("tokens"))).first()
+    df = texts.select(F.explode(F.array_distinct("tokens")).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("df"))
+    asked = query_terms.select("query_id", "term").join(df, "term").groupBy("query_id").agg(F.collect_list(F.struct("term", "df")).alias("terms"))
+
+    def run(l: pa.Table, r: pa.Table) -> pa.Table:
+        i, j, score = lexical_best(l, r, k, n, avgdl, k1, b)
+        return pa.Table.from_arrays([*blocks.picked(l, ["query_id"], i), *blocks.picked(r, ["node_id"], j), pa.array(score)], ["query_id", "node_id", "score"])
+
+    return S.cut(blocks.products(written(asked, "asked"), texts, run, "query_id string, node_id string, score double", rows=ASKED), k)
 
 
 def hybrid_topk(vector: DataFrame, lexical: DataFrame, k: int, k_rrf: int = 60) -> DataFrame:
