@@ -129,3 +129,27 @@ def test_lexical_search_over_many_blocks(spark, monkeypatch):
                 s.append((-round(sum(math.log(1 + (n - df[w] + 0.5) / (df[w] + 0.5)) * x.count(w) * 2.2 / (x.count(w) + 1.2 * (0.25 + 0.75 * len(x) / avg)) for w in both), 9), node))
         want |= {(name, i + 1): (node, round(-v, 6)) for i, (v, node) in enumerate(sorted(s)[:8])}
     assert got == want
+
+
+@needs_data
+def test_pairs_of_sections_as_rows_have_them(spark):
+    from treegraph.operators import construct
+
+    rows = construct.centroid_filter(construct.candidate_pairs(spark, DIR), construct.relation_ontology(spark, DIR))
+    got = construct.scored_pairs(spark, DIR)
+    few = lambda df: sorted((r.a, r.b, round(r.best, 8), r.rel_type) for r in df.where("hash(a, b) % 20 = 0").collect())
+    assert few(got) == few(rows) and got.count() == rows.count()
+
+
+def test_quantile_and_signed_sums(spark):
+    from treegraph.operators import construct
+
+    x = spark.range(1001).select(F.round(F.sin("id"), 9).alias("x"))
+    for p in (0.0, 0.37, 0.5, 1.0):
+        want = x.agg(F.percentile("x", F.lit(p))).first()[0]
+        assert abs(construct.quantile(x, "x", p) - want) < 1e-12
+    assert construct.quantile(x.limit(0), "x", 0.5) is None
+    t = spark.createDataFrame([("a", ["one", "two", "one"]), ("b", ["three"])], "k string, t array<string>")
+    one = {r.k: r.embedding for r in V.hash_embed(t, ["k"], "t").collect()}
+    two = {r.k: r.e for r in t.unionByName(spark.createDataFrame([("c", [])], t.schema)).select("k", V.signed_sums(F.transform("t", lambda w: F.xxhash64(w))).alias("e")).collect()}
+    assert two == one | {"c": [0.0] * 64}

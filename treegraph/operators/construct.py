@@ -19,7 +19,7 @@ from ..plans.strategy import small
 from ..sources.graphs import graph_d_sentences, graph_e
 from ..sources.stored import drop, written
 from ..sources.tables import words
-from . import search
+from . import blocks, search
 from .traverse import relation_centroids
 
 
@@ -45,18 +45,20 @@ def dedup_batch(items: DataFrame, tau: float = 0.9) -> DataFrame:
     A batch is bounded by its producer (some thousand items); it is one group, with one shuffle and no rounds.
     """
 
-    def run(g: pd.DataFrame) -> pd.DataFrame:
-        g = g.sort_values("node_id").reset_index(drop=True)
-        x = np.array(g["embedding"].tolist(), dtype=float)
-        a, b = [], []
+    def run(g: pa.Table) -> pa.Table:
+        g = g.sort_by("node_id")
+        x, a, b = blocks.matrix(g), [], []
         for at in range(0, len(x), 512):
-            i, j = np.nonzero(x[at : at + 512] @ x.T >= tau)
-            a += (i + at).tolist()
-            b += j.tolist()
-        g["canonical_id"] = g["node_id"].to_numpy()[union_find(a, b, len(g))]
-        return g[["batch_id", "node_id", "canonical_id"]]
+            i, j = np.nonzero(x[at : at + 512] @ x[at:].T >= tau)
+            a += (i + at)[i < j].tolist()
+            b += (j + at)[i < j].tolist()
+        top = np.arange(len(x))
+        if a:  # only what has a partner is joined
+            some, back = np.unique(a + b, return_inverse=True)
+            top[some] = some[union_find(back[: len(a)].tolist(), back[len(a) :].tolist(), len(some))]
+        return pa.Table.from_arrays([g.column("batch_id"), g.column("node_id"), g.column("node_id").take(pa.array(top))], ["batch_id", "node_id", "canonical_id"])
 
-    return items.groupBy("batch_id").applyInPandas(run, "batch_id long, node_id string, canonical_id string")
+    return items.select("batch_id", "node_id", "embedding").groupBy("batch_id").applyInArrow(run, "batch_id long, node_id string, canonical_id string")
 
 
 def match_canonical(items: DataFrame, canon: DataFrame, tau: float = 0.9, **options) -> DataFrame:
@@ -122,10 +124,26 @@ def centroid_filter(pairs: DataFrame, ontology: DataFrame, theta: float | None =
     o = small(ontology.select("rel_type", "centroid"))
     s = pairs.crossJoin(o).groupBy("a", "b").agg(F.max(F.struct(V.cosine("embedding", "centroid").alias("best"), "rel_type")).alias("m")).select("a", "b", "m.best", "m.rel_type")
     if theta is None:
-        theta = s.agg(F.percentile("best", F.lit(1 - keep_fraction))).first()[0]
+        theta = quantile(s, "best", 1 - keep_fraction)
     return s.withColumn("kept", F.col("best") >= F.lit(theta if theta is not None else 1.0))
 
 
+def quantile(df: DataFrame, c: str, p: float) -> float | None:
+    """The exact quantile of a column of cosines of nine places, between its neighbours: counts of bins, then of the values in two of them."""
+    bins = sorted(map(tuple, df.where(F.col(c).isNotNull()).groupBy(F.floor(F.col(c) * 10_000).alias("bin")).agg(F.count(F.lit(1)).alias("n")).collect()))  # at most 20,001
+    total = sum(n for _, n in bins)
+    if not total:
+        return None
+    at = p * (total - 1)
+    ranks, upto, found = (int(np.floor(at)), int(np.ceil(at))), np.cumsum([n for _, n in bins]), []
+    for r in ranks:
+        k = int(np.searchsorted(upto, r, "right"))
+        values = sorted(map(tuple, df.where(F.floor(F.col(c) * 10_000) == bins[k][0]).groupBy(c).agg(F.count(F.lit(1)).alias("n")).collect()))  # at most 100,000
+        inside = np.cumsum([n for _, n in values])
+        found.append(values[int(np.searchsorted(inside, r - (upto[k] - bins[k][1]), "right"))][0])
+    return found[0] if ranks[0] == ranks[1] or found[0] == found[1] else (ranks[1] - at) * found[0] + (at - ranks[0]) * found[1]
+
+
 def prompt_saving(filtered: DataFrame) -> DataFrame:
     return filtered.agg(F.count(F.lit(1)).alias("pairs"), F.count_if(~F.col("kept")).alias("saved"), F.round(F.count_if(~F.col("kept")) / F.count(F.lit(1)), 6).alias("share"))
 
@@ -227,8 +245,7 @@ def sentence_items(spark: SparkSession, d: str) -> DataFrame:
     """Distinct sentences with hashed vectors: (node_id, batch_id of the first one, embedding); zero without tokens."""
     s = graph_d_sentences(spark, d).groupBy("sentence").agg(F.min("batch_id").alias("batch_id"))
     s = s.select(F.md5("sentence").alias("node_id"), "batch_id", F.filter(F.split(F.lower("sentence"), r"[^\p{L}\p{N}]+"), lambda w: w != "").alias("t"))
-    e = V.hash_embed(s, ["node_id", "batch_id"], "t")
-    return s.select("node_id", "batch_id").join(e, ["node_id", "batch_id"], "left").withColumn("embedding", F.coalesce("embedding", F.array_repeat(F.lit(0.0), 64)))
+    return s.select("node_id", "batch_id", V.signed_sums(F.transform("t", lambda x: F.xxhash64(x))).alias("embedding"))
 
 
 def relation_ontology(spark: SparkSession, d: str) -> DataFrame:
@@ -274,14 +291,63 @@ def _growth(s, d):
     return n(o, "before").crossJoin(n(after, "after")).crossJoin(n(off, "without"))
 
 
-def _kept_pairs(s, d):
-    pairs = candidate_pairs(s, d)
-    return pairs.join(centroid_filter(pairs, relation_ontology(s, d)).where("kept").select("a", "b"), ["a", "b"])
+def scored_pairs(spark: SparkSession, d: str, least: float | None = None) -> DataFrame:
+    """(a, b, best, rel_type) of candidate_pairs, as centroid_filter has them; from `least` on, (a, b, embedding) of those that reach it.
+
+    A section's pairs are cells of products of its blocks; a pair of several sections counts in the first of them.
+    """
+    g = graph_e(spark, d)
+    types = sorted(relation_ontology(spark, d).collect(), reverse=True)  # some dozens; the last name wins among equals
+    names, centroids = pa.array([r["rel_type"] for r in types], pa.string()), np.array([r["centroid"] for r in types], dtype=float)
+    at = g.homes.groupBy("node_id").agg(F.collect_set("section_id").alias("sections"))
+    h = written(g.homes.join(at, "node_id").join(g.content.select("node_id", "embedding"), "node_id").select("section_id", "node_id", "embedding", "sections"), "members")
+
+    def run(l: pa.Table, r: pa.Table) -> pa.Table:
+        section, x, y = l.column("section_id")[0].as_py(), blocks.matrix(l), blocks.matrix(r)
+        one, two = l.column("query_id").to_pylist(), r.column("node_id").to_pylist()
+        place = {n: i for i, n in enumerate(sorted({*one, *two}, key=str.encode))}
+        live = np.array([place[n] for n in one])[:, None] < np.array([place[n] for n in two])[None]
+        inside = [[set(s) for s in t.column("sections").to_pylist()] for t in (l, r)]
+        for other in sorted({o for s in inside[0] for o in s if o < section}):
+            live &= ~(np.array([other in s for s in inside[0]])[:, None] & np.array([other in s for s in inside[1]])[None])
+        i, j = np.nonzero(live)
+        best, which, kept = np.empty(len(i)), np.empty(len(i), dtype=np.int64), []
+        for p in range(0, len(i), blocks.PAIRS):
+            cut = slice(p, p + blocks.PAIRS)
+            v = x[i[cut]] + y[j[cut]]
+            n = np.sqrt(np.cumsum(v * v, axis=1)[:, -1:])
+            v = np.divide(v, n, out=v, where=n > 0)
+            s = blocks.nine(v @ centroids.T)
+            which[cut] = s.argmax(axis=1)
+            best[cut] = s.max(axis=1)
+            if least is not None:
+                kept.append(v[best[cut] >= least])
+        pick = np.arange(len(i)) if least is None else np.flatnonzero(best >= least)
+        ends = [*blocks.picked(l, ["query_id"], i[pick]), *blocks.picked(r, ["node_id"], j[pick])]
+        if least is None:
+            return pa.Table.from_arrays([*ends, pa.array(best), names.take(pa.array(which))], ["a", "b", "best", "rel_type"])
+        flat = np.concatenate([k.ravel() for k in kept]) if kept else np.zeros(0)
+        vectors = pa.ListArray.from_arrays(pa.array(np.arange(len(pick) + 1) * x.shape[1], pa.int32()), pa.array(flat))
+        return pa.Table.from_arrays([*ends, vectors], ["a", "b", "embedding"])
+
+    schema = "a string, b string, best double, rel_type string" if least is None else "a string, b string, embedding array<double>"
+    if not types:
+        return spark.createDataFrame([], schema)
+    again = spark.read.schema(h.schema).parquet(h.inputFiles()[0].rsplit("/", 1)[0])  # a side of its own: sides must not share columns
+    return blocks.products(h.withColumnRenamed("node_id", "query_id"), again, run, schema, by=["section_id"], rows=1_024, columns=1_024)
+
+
+def _filtered(s, d, keep_fraction: float = 0.5) -> tuple[DataFrame, float]:
+    """(best, kept) of all candidate pairs, and the threshold."""
+    best = written(scored_pairs(s, d).select("best"), "best")
+    theta = quantile(best, "best", 1 - keep_fraction)
+    theta = 1.0 if theta is None else theta
+    return best.withColumn("kept", F.col("best") >= F.lit(theta)), theta
 
 
 def _extracted(s, d):
     o = relation_ontology(s, d).orderBy("rel_type").collect()  # some dozens of relation types
-    return extract_relations(_kept_pairs(s, d), RuleExtractor([r["rel_type"] for r in o], [r["centroid"] for r in o]))
+    return extract_relations(scored_pairs(s, d, _filtered(s, d)[1]), RuleExtractor([r["rel_type"] for r in o], [r["centroid"] for r in o]))
 
 
 def text_items(s, d) -> DataFrame:
@@ -325,11 +391,11 @@ QUERIES = {
     "components": lambda s, d: connected_components(graph_e(s, d).sem_edges.select(F.col("src").alias("a"), F.col("dst").alias("b"))),
     "merge_study": _merged,
     "summaries_lead": _lead,
-    "centroid_filter_saving": lambda s, d: prompt_saving(centroid_filter(candidate_pairs(s, d), relation_ontology(s, d))),
+    "centroid_filter_saving": lambda s, d: prompt_saving(_filtered(s, d)[0]),
     "extracted_types": lambda s, d: _extracted(s, d).groupBy("name").agg(F.count(F.lit(1)).alias("n")),
     "validator_trace": _trace,
     "validator_blocking": lambda s, d: blocking_rate(_trace(s, d), proposals(s, d)),
-    "call_split": lambda s, d: call_split(_trace(s, d), _kept_pairs(s, d)),
+    "call_split": lambda s, d: call_split(_trace(s, d), _filtered(s, d)[0].where("kept")),
     "ontology_growth": _growth,
 }
 
