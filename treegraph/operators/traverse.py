@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -19,6 +21,16 @@ from .blocks import with_cosine
 TOP_SECTIONS, SEEDS, CLIMBERS, TOP_TYPES = 3, 10, 50, 3
 
 
+Keep = Callable[[str, Callable[[], DataFrame]], DataFrame]  # (name, build) -> frame: how a part is kept that several methods need
+
+
+Near = Callable[[int], DataFrame]  # k -> the k nearest content nodes of each query, as vector_topk gives them
+
+
+def kept(name: str, build: Callable[[], DataFrame]) -> DataFrame:
+    return written(build(), name)
+
+
 # Top-down
 
 
@@ -41,13 +53,17 @@ def below(g: Graph, seeds: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     return blocks.topk(asked, inside, k, by=["section_id"]).distinct()
 
 
-def topdown(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, kind: str = "section", top: int = TOP_SECTIONS, lam: float = 0.7) -> DataFrame:
-    seeds = written(match_sections(g, queries, kind, top), "seeds")
+def topdown(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, kind: str = "section", top: int = TOP_SECTIONS, lam: float = 0.7, pool: int = 50, keep: Keep = kept) -> DataFrame:
+    seeds = keep(f"seeds_{kind}_{top}", lambda: match_sections(g, queries, kind, top))
     if variant == "cosine":
         return S.cut(below(g, seeds, queries, k), k, "cos")
-    c = with_cosine(descend(seeds, g.closure), queries, g.content)
-    fused = S.rrf_columns(c, ["cos", "seed_score"])
-    return S.cut(fused, k) if variant == "rrf" else S.mmr(fused, g.content, k, lam)
+
+    def fused() -> DataFrame:
+        c = with_cosine(descend(seeds, g.closure), queries, g.content)
+        return S.cut(S.rrf_columns(c, ["cos", "seed_score"]), max(k, pool))
+
+    first = keep(f"fused_{kind}_{top}_{max(k, pool)}", fused)
+    return S.cut(first, k) if variant == "rrf" else S.mmr(first, g.content, k, lam, pool)
 
 
 # Horizontal
@@ -89,19 +105,28 @@ def hop(g: Graph, seeds: DataFrame, relations: DataFrame | None = None, cross_br
     return out.groupBy("query_id", "node_id").agg(F.max("seed_score").alias("seed_score"))
 
 
-def horizontal(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, seeds: int = SEEDS, top_types: int = TOP_TYPES, types_by: str = "frequency", allow: tuple[str, ...] = ()) -> DataFrame:
-    start = written(search.vector_topk(queries, g.content, seeds).select("query_id", "node_id", F.col("score").alias("seed_score")), "seeds")
-    rel = select_relations(g, types_by, top_types, queries, allow) if variant == "filtered" else None
-    c = with_cosine(hop(g, start, rel), queries, g.content)
+def candidates(g: Graph, start: DataFrame, queries: DataFrame, relations: DataFrame | None = None) -> DataFrame:
+    """(query_id, node_id, seed_score, cos) of the run start and of what is one hop away."""
+    seeds = start.select("query_id", "node_id", F.col("score").alias("seed_score"))
+    return with_cosine(hop(g, seeds, relations), queries, g.content)
+
+
+def horizontal(g: Graph, queries: DataFrame, k: int, variant: str = "cosine", *, seeds: int = SEEDS, top_types: int = TOP_TYPES, types_by: str = "frequency", allow: tuple[str, ...] = (), near: Near | None = None, share: Keep = lambda name, build: build()) -> DataFrame:
+    """share keeps the candidates, which are many, for other rankings of them."""
+    start = near(seeds) if near else written(search.vector_topk(queries, g.content, seeds), "seeds")
+    if variant == "filtered":
+        c = candidates(g, start, queries, select_relations(g, types_by, top_types, queries, allow))
+    else:
+        c = share(f"hop_{seeds}", lambda: candidates(g, start, queries))
     return S.cut(S.rrf_columns(c, ["seed_score", "cos"]), k) if variant == "rrf" else S.cut(c, k, "cos")
 
 
 # Bottom-up
 
 
-def climb(g: Graph, queries: DataFrame, c: int = CLIMBERS) -> DataFrame:
+def climb(g: Graph, queries: DataFrame, c: int = CLIMBERS, near: Near | None = None) -> DataFrame:
     """(query_id, parent_id): parents of the nearest content."""
-    near = search.vector_topk(queries, g.content, c).select("query_id", F.col("node_id").alias("child_id"))
+    near = (near(c) if near else search.vector_topk(queries, g.content, c)).select("query_id", F.col("node_id").alias("child_id"))
     return g.struct_edges.join(small(near), "child_id").select("query_id", "parent_id").distinct()
 
 
@@ -127,9 +152,9 @@ def family_scores(asked: DataFrame, kids: DataFrame) -> DataFrame:
     return out.select("query_id", "parent_id", F.round(V.damped(F.col("mean"), "n_above"), 9).alias("agg_score"), "n_children", "n_above")
 
 
-def parent_scores(g: Graph, queries: DataFrame, c: int = CLIMBERS, child_scope: str = "all", family: int = FAMILY) -> DataFrame:
+def parent_scores(g: Graph, queries: DataFrame, c: int = CLIMBERS, child_scope: str = "all", family: int = FAMILY, near: Near | None = None) -> DataFrame:
     """(query_id, parent_id, cos, agg_score, n_children, n_above): the summary's cosine and the score from all children."""
-    parents = written(climb(g, queries, c), "parents")
+    parents = written(climb(g, queries, c, near), "parents")
     own = with_cosine(parents.withColumnRenamed("parent_id", "node_id"), queries, g.structural).withColumnRenamed("node_id", "parent_id")
     edges = g.struct_edges.where("child_id like 'v:%'").select("parent_id", F.col("child_id").alias("node_id"))
     as_rows = lambda some: with_cosine(edges.join(small(some), "parent_id").select("query_id", "parent_id", "node_id"), queries, g.content)
@@ -148,10 +173,10 @@ def parent_scores(g: Graph, queries: DataFrame, c: int = CLIMBERS, child_scope:
     return own.join(agg, ["query_id", "parent_id"])
 
 
-def bottomup(g: Graph, queries: DataFrame, k: int, variant: str = "parent", *, emit: str = "children", c: int = CLIMBERS) -> DataFrame:
+def bottomup(g: Graph, queries: DataFrame, k: int, variant: str = "parent", *, emit: str = "children", c: int = CLIMBERS, near: Near | None = None, keep: Keep = lambda name, build: build()) -> DataFrame:
     """Parents by summary cosine, child score, or both fused; emit parents, their children in the order of the parents, or both:
     each parent before its children."""
-    p = parent_scores(g, queries, c).withColumnRenamed("parent_id", "node_id")
+    p = keep(f"parent_scores_{c}", lambda: parent_scores(g, queries, c, near=near)).withColumnRenamed("parent_id", "node_id")
     p = S.rrf_columns(p, ["cos", "agg_score"]) if variant == "rrf" else p.withColumn("score", F.col({"parent": "cos", "agg": "agg_score"}[variant]))
     if emit == "parents":
         return S.cut(p, k)

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from functools import reduce
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -11,11 +13,14 @@ from ..functions import vectors as V
 from ..operators import measures as A
 from ..operators import search, traverse
 from ..operators.scoring import agg_score
-from ..sources.graphs import KINDS, graph_e, graph_s_edges, queries_e
-from ..sources.stored import stored
+from ..sources.graphs import GRAPH_TABLES, KINDS, graph_e, graph_s_edges, queries_e
+from ..sources.stored import is_stored, stored
 from ..sources.tables import load, words
 
 K, DEPTH = 10, 100
+RUN_TABLES = ("embeddings", "documents")
+#: Methods that run at a time: jobs of one leave cores idle while they are planned and while their last tasks run.
+AT_ONCE = 4
 
 
 def node_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,6 +36,14 @@ def query_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.select(F.concat(F.lit("q:"), "num").alias("query_id"), F.explode(F.array_distinct("tokens")).alias("term"))
 
 
+def firsts(spark: SparkSession, d: str, name: str, tables: tuple[str, ...], k: int, build) -> DataFrame:
+    """The stored run build() of the k first, or the k first of a longer one that is stored already: ranks don't depend on the length."""
+    for more in (x for x in (traverse.SEEDS, K, traverse.CLIMBERS, DEPTH) if x > k):
+        if is_stored(spark, d, f"{name}_{more}", tables):
+            return stored(spark, d, f"{name}_{more}", tables, build).where(F.col("rank") <= k)
+    return stored(spark, d, f"{name}_{k}", tables, build)
+
+
 def _b1(spark, d, k=K):
     g = graph_e(spark, d)
     return search.vector_topk(queries_e(spark, d, g)[0], g.content, k)
@@ -40,10 +53,22 @@ def _b2(spark, d, k=K):
     return search.bm25_topk(query_terms(spark, d), node_texts(spark, d), k)
 
 
+def nearest(spark, d, k=K):
+    return firsts(spark, d, "nearest", GRAPH_TABLES, k, lambda: _b1(spark, d, k))
+
+
+def lexical(spark, d, k=K):
+    return firsts(spark, d, "lexical", RUN_TABLES, k, lambda: _b2(spark, d, k))
+
+
 def _on_graph(f, **options):
     def run(spark: SparkSession, d: str) -> DataFrame:
         g = graph_e(spark, d)
-        return f(g, queries_e(spark, d, g)[0], K, **options)
+        keep = lambda name, build: stored(spark, d, name, GRAPH_TABLES, build)
+        if_kept = lambda name, build: keep(name, build) if is_stored(spark, d, name, GRAPH_TABLES) else build()
+        near = lambda k: nearest(spark, d, k)
+        parts = {traverse.topdown: {"keep": keep}, traverse.horizontal: {"near": near, "share": if_kept}, traverse.bottomup: {"near": near, "keep": keep}}
+        return f(g, queries_e(spark, d, g)[0], K, **parts[f], **options)
 
     return run
 
@@ -51,7 +76,7 @@ def _on_graph(f, **options):
 METHODS = {
     "b1_vector": _b1,
     "b2_bm25": _b2,
-    "b3_hybrid": lambda s, d: search.hybrid_topk(_b1(s, d, DEPTH), _b2(s, d, DEPTH), K),
+    "b3_hybrid": lambda s, d: search.hybrid_topk(nearest(s, d, DEPTH), lexical(s, d, DEPTH), K),
     "td_cosine": _on_graph(traverse.topdown, variant="cosine"),
     "td_rrf": _on_graph(traverse.topdown, variant="rrf"),
     "td_mmr": _on_graph(traverse.topdown, variant="mmr"),
@@ -63,17 +88,37 @@ METHODS = {
     "bu_rrf": _on_graph(traverse.bottomup, variant="rrf"),
 }
 
-RUN_TABLES = ("embeddings", "documents")
 
 
 def run_of(spark: SparkSession, d: str, name: str) -> DataFrame:
     """One method's run, stored: the comparisons scan it."""
-    rows = lambda: METHODS[name](spark, d).select(F.lit(name).alias("method"), "query_id", "node_id", F.col("score").cast("double").alias("score"), F.col("rank").cast("int").alias("rank"))
+    method = {"b1_vector": nearest, "b2_bm25": lexical}.get(name, METHODS[name])
+    rows = lambda: method(spark, d).select(F.lit(name).alias("method"), "query_id", "node_id", F.col("score").cast("double").alias("score"), F.col("rank").cast("int").alias("rank"))
     return stored(spark, d, f"run_{name}", RUN_TABLES, rows)
 
 
 def all_runs(spark: SparkSession, d: str) -> DataFrame:
-    """The twelve runs under their names."""
+    """The twelve runs under their names. What several need is stored first; then some run at a time."""
+    g = graph_e(spark, d)
+    queries = queries_e(spark, d, g)[0]
+    by_terms, by_edges = ("b2_bm25", "b3_hybrid"), ("hz_cosine", "hz_rrf")
+    nearest(spark, d, DEPTH)
+
+    def terms() -> None:
+        lexical(spark, d, DEPTH)
+        for name in by_terms:
+            run_of(spark, d, name)
+
+    def hops() -> None:
+        start = nearest(spark, d, traverse.SEEDS)
+        stored(spark, d, f"hop_{traverse.SEEDS}", GRAPH_TABLES, lambda: traverse.candidates(g, start, queries))
+        for name in by_edges:
+            run_of(spark, d, name)
+
+    lines = [terms, hops, *[lambda name=name: run_of(spark, d, name) for name in METHODS if name not in by_terms + by_edges]]
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        for done in [pool.submit(inheritable_thread_target(spark)(line)) for line in lines]:
+            done.result()
     return reduce(DataFrame.unionByName, [run_of(spark, d, name) for name in METHODS])
 
 

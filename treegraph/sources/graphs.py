@@ -164,38 +164,54 @@ def queries_e(spark: SparkSession, sf_dir: str, g: Graph | None = None) -> tuple
     """
     g = g or graph_e(spark, sf_dir)
     c = g.content.withColumn("section_id", F.concat_ws(":", F.lit("s"), F.col("label").cast("string"), (F.col("num") % 4).cast("string")))
-    n = c.count()
     base = c.where("num % 10 = 0").select(F.col("num").alias("q"), "label", "section_id", F.col("embedding").alias("own"))
     base = base.withColumn("direction", F.element_at(F.array(*[F.lit(x) for x in ("NT", "TD", "HZ", "BU", "CS")]), (F.floor(F.col("q") / 10) % 5 + 1).cast("int")))
     base = base.withColumn("other_id", F.concat_ws(":", F.lit("s"), ((F.col("label") + 5) % 10).cast("string"), (F.col("q") % 4).cast("string")))
     both = g.sem_edges.select("src", "dst", "weight").unionByName(g.sem_edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"))
+    both = both.where(F.substring("src", 3, 20).cast("long") % 10 == 0)
     near = both.withColumn("d", F.substring("dst", 3, 20).cast("long")).groupBy("src").agg(F.max(F.struct("weight", (-F.col("d")).alias("d"))).alias("m")).select(F.substring("src", 3, 20).cast("long").alias("q"), (-F.col("m.d")).alias("mate"))
     vec = c.select(F.col("num").alias("mate"), F.col("embedding").alias("mate_vec"), F.col("section_id").alias("mate_section"))
     summary = g.structural.where("kind = 'section'").select(F.col("node_id").alias("section_id"), F.col("embedding").alias("summary"))
     base = base.join(near, "q", "left").join(vec, "mate", "left").join(summary, "section_id")
     base = base.join(summary.select(F.col("section_id").alias("other_id"), F.col("summary").alias("other_summary")), "other_id", "left")
     far = c.select(F.col("num").alias("far"), F.col("embedding").alias("far_vec"))
-    base = base.withColumn("far", F.pmod(F.col("q") * 7 + 3, F.lit(n))).join(far, "far")
     half = lambda x, y: V.scale(V.add(x, y), 0.5)
     v = F.when(F.col("direction").isin("TD", "BU"), F.col("summary")).when((F.col("direction") == "HZ") & F.col("mate").isNotNull(), half("own", "mate_vec"))
     v = v.when((F.col("direction") == "CS") & F.col("other_summary").isNotNull(), half("summary", "other_summary")).otherwise(F.col("own"))
-    base = base.withColumn("embedding", V.l2_normalise(V.rounded(V.l2_normalise(V.add(v, V.scale("far_vec", 0.5))))))
-    base = base.withColumn("query_id", F.concat(F.lit("q:"), "q"))
-    base = stored(spark, sf_dir, "asked", GRAPH_TABLES, lambda base=base: base)
+
+    def asked(base: DataFrame = base) -> DataFrame:
+        base = base.withColumn("far", F.pmod(F.col("q") * 7 + 3, F.lit(c.count()))).join(far, "far")
+        base = base.withColumn("embedding", V.l2_normalise(V.rounded(V.l2_normalise(V.add(v, V.scale("far_vec", 0.5))))))
+        return base.withColumn("query_id", F.concat(F.lit("q:"), "q"))
+
+    base = stored(spark, sf_dir, "asked", GRAPH_TABLES, asked)
     queries = base.select("query_id", "direction", "embedding", F.col("q").alias("num"))
 
+    return queries, stored(spark, sf_dir, "qrels", GRAPH_TABLES, lambda: labels_of(g, base))
+
+
+def labels_of(g: Graph, base: DataFrame) -> DataFrame:
+    """(query_id, node_id, grade) of base(query_id, direction, q, mate, section_id, other_id, mate_section).
+
+    A node's place in its section is counted once, for all queries: grades need the first ten of a section and the nodes that a query
+    is made of. Nodes of grade 0 depend on the sections alone, so that each set of sections finds them once.
+    """
     d = F.col("direction")
     sections = F.array_compact(F.array("section_id", F.when(d == "CS", F.col("other_id")), F.when(d == "HZ", F.col("mate_section"))))
+    base = base.select("query_id", "direction", "q", "mate", F.array_sort(F.array_distinct(sections)).alias("sections"))
     members = g.homes.join(g.content.select("node_id", "num"), "node_id")
-    inside = base.select("query_id", "direction", "q", "mate", F.explode(F.array_distinct(sections)).alias("section_id")).join(members, "section_id")
-    inside = inside.withColumn("k", F.row_number().over(Window.partitionBy("query_id", "section_id").orderBy("num")))
-    used = F.when(F.col("direction") == "NT", F.col("num") == F.col("q")).when(F.col("direction") == "HZ", (F.col("num") == F.col("q")) | F.coalesce(F.col("num") == F.col("mate"), F.lit(False))).otherwise(F.col("k") <= 5)
+    members = members.withColumn("k", F.row_number().over(Window.partitionBy("section_id").orderBy("num")))
+    each = base.select("query_id", "direction", "q", "mate", F.explode("sections").alias("section_id"))
+    inside = each.join(members.where("k <= 10"), "section_id")
+    own = each.withColumn("num", F.explode(F.array_compact(F.array_distinct(F.array("q", "mate"))))).join(members, ["section_id", "num"])
+    inside = inside.unionByName(own).dropDuplicates(["query_id", "section_id", "node_id"])
+    used = F.when(d == "NT", F.col("num") == F.col("q")).when(d == "HZ", (F.col("num") == F.col("q")) | F.coalesce(F.col("num") == F.col("mate"), F.lit(False))).otherwise(F.col("k") <= 5)
     graded = inside.withColumn("used", used).withColumn("j", F.row_number().over(Window.partitionBy("query_id", "section_id", "used").orderBy("num")))
     graded = graded.where("used or j <= 5").select("query_id", "node_id", F.when(F.col("used"), 2).otherwise(1).alias("grade"))
-    # a query's own sections hold at most `most` of the first nodes, so the first most + 5 nodes hold its five others
-    most = inside.groupBy("query_id").agg(F.countDistinct("node_id").alias("n")).agg(F.max("n")).first()[0] or 0
-    low = g.content.orderBy("num").limit(most + 5).select("node_id", "num")
-    none = base.select("query_id").crossJoin(F.broadcast(low)).join(inside.select("query_id", "node_id").distinct(), ["query_id", "node_id"], "left_anti")
-    none = none.withColumn("k", F.row_number().over(Window.partitionBy("query_id").orderBy("num"))).where("k <= 5").select("query_id", "node_id", F.lit(0).alias("grade"))
-    qrels = graded.unionByName(none).groupBy("query_id", "node_id").agg(F.max("grade").cast("int").alias("grade"))
-    return queries, stored(spark, sf_dir, "qrels", GRAPH_TABLES, lambda: qrels)
+    # a set of two sections at most holds no more of the first nodes than twice the largest has, so the nodes up to five more hold five others
+    most = g.homes.groupBy("section_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    low = g.content.orderBy("num").limit(2 * most + 5).select("node_id", "num").join(g.homes.groupBy("node_id").agg(F.collect_set("section_id").alias("at")), "node_id")
+    none = base.select("sections").distinct().join(F.broadcast(low), ~F.arrays_overlap("sections", "at"))
+    none = none.withColumn("k", F.row_number().over(Window.partitionBy("sections").orderBy("num"))).where("k <= 5")
+    none = base.select("query_id", "sections").join(none, "sections").select("query_id", "node_id", F.lit(0).alias("grade"))
+    return graded.unionByName(none).groupBy("query_id", "node_id").agg(F.max("grade").cast("int").alias("grade"))
