@@ -69,12 +69,45 @@ def hyperplane_codes(df: DataFrame, id_col: str, bits: int, tables: int, probes:
     return d.select(id_col, "table", F.explode(each).alias("bucket"))
 
 
+def codes(x: np.ndarray, planes: np.ndarray, probes: int) -> np.ndarray:
+    """(row, table, bucket): the buckets of each row as hyperplane_codes gives them, its own one first."""
+    p = np.einsum("nd,tbd->ntb", x, planes, optimize=True)
+    bit = 1 << np.arange(planes.shape[1])
+    own = ((p > 0) * bit).sum(axis=2)[:, :, None]
+    weak = np.argsort(np.abs(p), axis=2, kind="stable")[:, :, :probes]
+    return np.concatenate([own, own ^ bit[weak]], axis=2)
+
+
+def best_in_buckets(x: np.ndarray, y: np.ndarray, names: pa.Array, k: int, planes: np.ndarray, probes: int):
+    """(row of x, row of y, cosine) of the k best of each row of x among the rows of y in a bucket of its own."""
+    asked, held, cells = codes(x, planes, probes), codes(y, planes, 0)[:, :, 0], []
+    for t in range(len(planes)):
+        by_x, by_y = np.argsort(asked[:, t].ravel(), kind="stable"), np.argsort(held[:, t], kind="stable")
+        ends = np.arange((1 << planes.shape[1]) + 1)
+        of_x, of_y = np.searchsorted(asked[:, t].ravel()[by_x], ends), np.searchsorted(held[by_y, t], ends)
+        rows = by_x // asked.shape[2]
+        for c in np.flatnonzero((np.diff(of_x) > 0) & (np.diff(of_y) > 0)):
+            j = by_y[of_y[c] : of_y[c + 1]]
+            right = y[j].T
+            for at in range(of_x[c], of_x[c + 1], blocks.AT_ONCE):
+                i = rows[at : min(at + blocks.AT_ONCE, of_x[c + 1])]
+                u, v = blocks.leading(x[i] @ right, k)
+                cells.append(i[u] * len(y) + j[v])
+    i, j = np.divmod(np.unique(np.concatenate([np.zeros(0, dtype=np.int64), *cells])), len(y))
+    return blocks.firsts(i, j, blocks.cosines(x, y, i, j), blocks.places(names), k)
+
+
 def ann_topk(queries: DataFrame, nodes: DataFrame, k: int, *, bits: int = 6, tables: int = 16, probes: int = 4, seed: int = 42, dim: int = 64) -> DataFrame:
-    """Approximate search: equal codes in some table make candidates, exact cosines rank them. A bucket's queries meet its nodes in
-    blocks, which keep the k best of each query; both sides travel once for each of their codes."""
-    q = hyperplane_codes(queries, "query_id", bits, tables, probes, seed, dim).join(queries.select("query_id", "embedding"), "query_id")
-    n = hyperplane_codes(nodes, "node_id", bits, tables, 0, seed, dim).join(nodes.select("node_id", "embedding"), "node_id")
-    return S.cut(blocks.topk(written(q, "codes"), written(n, "codes"), k, by=["table", "bucket"]).distinct(), k, "cos")
+    """Approximate search: equal codes in some table make candidates, exact cosines rank them. A block of queries and one of nodes find
+    their codes in the task where they meet, so that neither side travels once for each code; each keeps the k best of a query."""
+    planes = np.random.default_rng(seed).normal(size=(tables, bits, dim))
+
+    def run(l: pa.Table, r: pa.Table) -> pa.Table:
+        i, j, cos = best_in_buckets(blocks.matrix(l), blocks.matrix(r), r.column("node_id").combine_chunks(), k, planes, probes)
+        return pa.Table.from_arrays([*blocks.picked(l, ["query_id"], i), *blocks.picked(r, ["node_id"], j), pa.array(cos)], ["query_id", "node_id", "cos"])
+
+    q, n = queries.select("query_id", "embedding"), nodes.select("node_id", "embedding")
+    return S.cut(blocks.products(q, n, run, "query_id string, node_id string, cos double"), k, "cos")
 
 
 def postings(texts: DataFrame, tokens: str = "tokens") -> tuple[DataFrame, DataFrame, DataFrame]:
